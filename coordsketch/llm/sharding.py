@@ -33,7 +33,7 @@ def _ranked(df: DataFrame, bucket: str, group: list[str], order: list, name: str
 def interleaved(rows: DataFrame, shards: int, seed: str = "interleave", stratum: str = "source", key: str = "doc_id", tie: str = "text_crc32") -> DataFrame:
     """rows with shard (from 0) and slot (gapless from 0 within the shard). rows needs stratum, key and tie columns."""
     total = rows.count()
-    bits = max(4, (max(total, 1) // BUCKET_ROWS).bit_length())
+    bits = max(8, (max(total, 1) // BUCKET_ROWS).bit_length())
     drawn = rows.withColumn("_draw", F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(F.col(key).cast("string"), F.lit("null")))))
     drawn = drawn.withColumn("_bucket", F.shiftright(F.conv(F.substring("_draw", 1, 8), 16, 10).cast("long"), 32 - bits)).withColumn("_stratum", F.coalesce(F.concat(F.lit("="), F.col(stratum)), F.lit("")))
     ranked = _ranked(drawn, "_bucket", ["_stratum"], [F.col("_draw"), F.col(key).asc_nulls_first(), F.col(tie).asc_nulls_first()], "_rank")
