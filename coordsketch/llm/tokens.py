@@ -1,23 +1,27 @@
 """Encoding whole texts with a given tokenizer file, with a bounded memory of the pieces seen before.
 
-Byte-pair merging never crosses the borders that the tokenizer's own splitting rule draws. At a single space between
-two characters that are not white space, both tokenizers used here always draw one: the space starts the next piece or
-is dropped. So a text is cut there and every distinct piece is encoded once, by the tokenizers library, and remembered.
-Texts in which white space stands together are cut with a pattern that keeps it whole.
+Byte-pair merging never crosses the borders that a tokenizer's own splitting rule draws. Both kinds of tokenizers used
+here always draw one at a single space between two other characters that are not white space (the byte-level kind gives
+the space to the next piece, the word-end kind drops it), around a single line feed between such characters, and between
+letters and the usual closing signs. So a text is cut at spaces, every distinct piece is composed of its parts once, and
+remembered. Parts that are letters only are encoded by the tokenizers library many at a time, separated by spaces: each
+is one word there, and the ids that begin (byte-level kind) or end (word-end kind) a word show where each one lies.
+Texts in which white space stands together are cut so that it stays whole. Other tokenizers encode whole texts.
 """
 
 from __future__ import annotations
 
+import json
 import os
 import re
-from collections.abc import Iterable
 
 import numpy as np
 
 _INNER_SPACE = re.compile(r"(?<=\S) (?=\S)")
 _TOGETHER = re.compile(r"\s\s|^\s|\s$")
+_CLOSING = ".,;:!?#*%&$|)"
 #: Pieces remembered in each of two generations; older ones are forgotten, which only costs time.
-REMEMBERED = 250_000
+REMEMBERED = 600_000
 
 
 def vocabulary(name: str) -> str:
@@ -36,41 +40,102 @@ class Encoder:
 
         self._tokenizer = Tokenizer.from_file(path)
         self._tokenizer.encode_special_tokens = True
+        with open(path, encoding="utf-8") as file:
+            said = json.load(file)
+        end = said["model"].get("end_of_word_suffix")
+        rule = json.dumps(said.get("pre_tokenizer")) + json.dumps(said.get("normalizer"))
+        self._words = bool(end) and "Lowercase" in rule and "Removed" in rule
+        self._bytes = not end and not said.get("normalizer") and (said.get("pre_tokenizer") or {}).get("use_regex") is True
+        edges = [i for t, i in said["model"]["vocab"].items() if (t.endswith(end) if end else t.startswith("Ġ"))]
+        self._edge = np.zeros(self._tokenizer.get_vocab_size() + 1, bool)
+        self._edge[edges] = True
         self._young: dict[str, bytes] = {}
         self._old: dict[str, bytes] = {}
 
-    def _plain(self, pieces: list[str]) -> list[bytes]:
+    def _plain(self, texts: list[str]) -> list[bytes]:
         encode = getattr(self._tokenizer, "encode_batch_fast", self._tokenizer.encode_batch)
-        return [np.array(e.ids, "<u4").tobytes() for e in encode(pieces, add_special_tokens=False)]
+        return [np.array(e.ids, "<u4").tobytes() for e in encode(texts, add_special_tokens=False)]
+
+    def _letters(self, words: list[str]) -> list[bytes]:
+        """The ids of words of letters only, each after a space."""
+        out: list[bytes] = []
+        for at in range(0, len(words), 4000):
+            some = words[at : at + 4000]
+            raw = self._plain([" " + " ".join(some)])[0]
+            edges = np.flatnonzero(self._edge[np.frombuffer(raw, "<u4")])
+            if len(edges) != len(some):  # a word that is not one word to the tokenizer: each by itself
+                out += self._plain([" " + w for w in some])
+                continue
+            cuts = 4 * (np.append(edges, len(raw) // 4) if self._bytes else np.insert(edges + 1, 0, 0))
+            out += [raw[a:b] for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)]
+        return out
+
+    def _learn(self, missing: list[str]) -> None:
+        """Remembers pieces, each standing after a space: letters, letters and closing signs, or anything else."""
+        young = self._young
+        whole = [p for p in missing if p.isalpha()]
+        closed = [(p, stem, p[len(stem) :]) for p in missing if (stem := p.rstrip(_CLOSING)) != p and stem.isalpha()]
+        stems = whole + [stem for _, stem, _ in closed]
+        if self._words and stems:  # ASCII letters only, in bulk; the tokenizer lower-cases the others
+            stems = "\n".join(stems).encode().lower().decode().split("\n")
+        fresh = [w for w in {*stems} if w not in young]
+        young.update(zip(fresh, self._letters(fresh), strict=True))
+        young.update(zip(whole, map(young.__getitem__, stems), strict=False))
+        signs = list({c[2] for c in closed})
+        signs = dict(zip(signs, self._plain(signs), strict=True))
+        young.update((p, young[stem] + signs[sign]) for (p, _, sign), stem in zip(closed, stems[len(whole) :], strict=True))
+        rest = [p for p in missing if p not in young]
+        if self._words:  # white space is only a border: the lines of a piece are pieces
+            lined = [(p, p.split("\n")) for p in rest if "\n" in p]
+            lines = [x for x in {x for _, parts in lined for x in parts} if x not in young]
+            if lines:
+                self._learn(lines)
+            young.update((p, b"".join([young[x] for x in parts])) for p, parts in lined)
+            rest = [p for p in rest if "\n" not in p]
+        if rest:
+            self._compose(rest)
+
+    def _compose(self, pieces: list[str]) -> None:
+        """Remembers other pieces: those that hold single line feeds are composed of their lines."""
+        parts: list[str] = []
+        counts = []
+        for piece in pieces:
+            lines = piece.split("\n") if "\n" in piece else [piece]
+            if not all(lines) or any(x[0].isspace() or x[-1].isspace() for x in lines):
+                made = [" " + piece]
+            else:
+                made = [" " + lines[0], *(x for line in lines[1:] for x in ("\n", line))]
+            parts += made
+            counts.append(len(made))
+        distinct = list(dict.fromkeys(parts))
+        known = dict(zip(distinct, self._plain(distinct), strict=True))
+        at = 0
+        for piece, n in zip(pieces, counts, strict=True):
+            self._young[piece] = b"".join([known[x] for x in parts[at : at + n]])
+            at += n
 
-    def _learn(self, pieces: Iterable[str]) -> None:
+    def encode(self, texts: list[str]) -> list[bytes]:
+        if not (self._words or self._bytes):
+            return self._plain(texts)
+        cut = [t.split(" ") if self._words or not _TOGETHER.search(t) else _INNER_SPACE.split(t) for t in texts]
+        firsts: list[bytes] = []
+        if self._bytes:  # the first piece stands after no space
+            firsts = self._plain([pieces[0] for pieces in cut])
+            cut = [pieces[1:] for pieces in cut]
         if len(self._young) > REMEMBERED:
             self._old, self._young = self._young, {}
         young, old = self._young, self._old
-        missing = []
-        for piece in set(pieces):
-            if piece not in young:
-                if piece in old:
-                    young[piece] = old[piece]
-                else:
-                    missing.append(piece)
-        if missing:
-            young.update(zip(missing, self._plain(missing), strict=True))
-
-    def encode(self, texts: list[str]) -> list[bytes]:
-        cut = [_pieces(t) for t in texts]
-        self._learn(p for pieces in cut for p in pieces)
-        get = self._young.__getitem__
+        missing = [p for p in set().union(*cut) if p not in young]
+        if old:
+            young.update((p, old[p]) for p in missing if p in old)
+            missing = [p for p in missing if p not in young]
+        self._learn(missing)
+        get = young.__getitem__
+        if firsts:
+            return [first + b"".join(map(get, pieces)) for first, pieces in zip(firsts, cut, strict=True)]
         return [b"".join(map(get, pieces)) for pieces in cut]
 
 
-def _pieces(text: str) -> list[str]:
-    if not text:
-        return []
-    first, *rest = text.split(" ") if not _TOGETHER.search(text) else _INNER_SPACE.split(text)
-    return [first, *[" " + p for p in rest]]
-
-
 _ENCODERS: dict[str, Encoder] = {}
 
 
