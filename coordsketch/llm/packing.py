@@ -14,7 +14,6 @@ an empty table gives an empty result; texts of any length are cut, never truncat
 from __future__ import annotations
 
 from collections.abc import Iterator
-from zlib import crc32
 
 import numpy as np
 import pyarrow as pa
@@ -130,5 +129,3 @@ def with_checksums(pieces: DataFrame) -> DataFrame:
 def query(spark, sf_dir: str) -> DataFrame:
     return with_checksums(packed(load(spark, sf_dir, "documents"), vocabulary("word_bpe_49k.json")))
 
-
-__all__ = ["LevelArray", "crc32", "packed", "query", "with_checksums"]

@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
-from . import chat, packing, pii, quality, sharding, simhash
+from . import chat, packing, pii, quality, records, repeats, sharding, simhash
 
 QUERIES = {
+    "op1_suffix_array_intervals": repeats.query,
     "op2_simhash_ball": simhash.query,
     "op3_chat_event_fold": chat.query,
     "op4_stratified_interleave": sharding.query,
     "op5_adaptive_quality": quality.query,
+    "op6_binary_records": records.query,
     "op8_weak_supervision_pii": pii.query,
     "op10_sum_of_squares_packing": packing.query,
 }

@@ -24,10 +24,10 @@ from zlib import crc32
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import load, shared_folder, slices
+from .common import load, materialize, shared_folder, slices
 from .tokens import encoder, vocabulary
 
 _HEAD, _SUM = struct.Struct("<QI"), struct.Struct("<I")
@@ -100,7 +100,7 @@ def write_records(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 2,
         for kind in ("idx", "rec"):
             system.move(f"{name}.{kind}.{tag}", f"{name}.{kind}")
         if index:
-            yield pa.RecordBatch.from_pydict({"part": [part], "path": [f"part-{part:05d}"], "records": [len(index)], "ids": [total]})
+            yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([f"part-{part:05d}"]), pa.array([len(index)]), pa.array([total])], ["part", "path", "records", "ids"])
 
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     count = partitions or int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
@@ -108,18 +108,19 @@ def write_records(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 2,
 
 
 def read_records(parts: DataFrame, folder: str) -> DataFrame:
-    """part, row (from 0), doc_id, ids (unsigned 32-bit, in bytes) of every record of the parts, in file order."""
+    """part, before (ids of earlier records of the part), doc_id, ids (unsigned 32-bit, in bytes) of every record of the parts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         system, root = _place(folder)
         for batch in batches:
             for part, path in zip(batch["part"].to_pylist(), batch["path"].to_pylist(), strict=True):
                 rows: list[tuple] = []
-                held = 0
+                held = before = 0
                 with system.open_input_stream(f"{root}/{path}.rec") as stream:
-                    for n, payload in enumerate(unframe(stream)):
+                    for payload in unframe(stream):
                         doc, ids = unpack(payload)
-                        rows.append((part, n, doc, ids.tobytes()))
+                        rows.append((part, before, doc, ids.tobytes()))
+                        before += len(ids)
                         held += len(payload)
                         if held > 4_000_000:
                             yield _rows(rows)
@@ -127,11 +128,11 @@ def read_records(parts: DataFrame, folder: str) -> DataFrame:
                 if rows:
                     yield _rows(rows)
 
-    return parts.select("part", "path").mapInArrow(run, "part int, row long, doc_id long, ids binary")
+    return parts.select("part", "path").mapInArrow(run, "part int, before long, doc_id long, ids binary")
 
 
 def _rows(rows: list[tuple]) -> pa.RecordBatch:
-    kinds, names = [pa.int32(), pa.int64(), pa.int64(), pa.binary()], ["part", "row", "doc_id", "ids"]
+    kinds, names = [pa.int32(), pa.int64(), pa.int64(), pa.binary()], ["part", "before", "doc_id", "ids"]
     return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], names)
 
 
@@ -149,16 +150,13 @@ def read_shuffled(folder: str, part: str, seed: int) -> Iterator[tuple[int | Non
 def positions(spark: SparkSession, docs: DataFrame, folder: str, tokenizer: str) -> DataFrame:
     """doc_id, start, n_tokens, ids_crc32 of every record, read back from the files written for docs.
 
-    Starts add up over the parts first (one row for each part), then over records within a part."""
-    parts = spark.createDataFrame(write_records(docs, folder, tokenizer).collect() or [], "part int, path string, records long, ids long")
-    back = read_records(parts.repartition(max(1, parts.count())), folder).select("part", "row", "doc_id", (F.octet_length("ids") / 4).cast("long").alias("n_tokens"), F.crc32("ids").alias("ids_crc32"))
-    from pyspark.sql import Window
-
+    Starts are the ids of earlier parts (summed over one row for each part) and of earlier records of the part."""
+    parts = materialize(write_records(docs, folder, tokenizer))
     earlier = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     base = parts.select(F.col("part").alias("p"), F.coalesce(F.sum("ids").over(earlier), F.lit(0)).alias("base"))
-    within = Window.partitionBy("part").orderBy("row").rowsBetween(Window.unboundedPreceding, -1)
-    placed = back.withColumn("_before", F.coalesce(F.sum("n_tokens").over(within), F.lit(0))).join(base, F.col("part") == F.col("p"))
-    return placed.select("doc_id", (F.col("base") + F.col("_before")).alias("start"), "n_tokens", "ids_crc32")
+    back = read_records(parts.repartition(max(1, parts.count())), folder)
+    back = back.select("part", "before", "doc_id", (F.octet_length("ids") / 4).cast("long").alias("n_tokens"), F.crc32("ids").alias("ids_crc32"))
+    return back.join(F.broadcast(base), F.col("part") == F.col("p")).select("doc_id", (F.col("base") + F.col("before")).alias("start"), "n_tokens", "ids_crc32")
 
 
 def query(spark, sf_dir: str) -> DataFrame:

@@ -1,9 +1,9 @@
 """Repeated passages by enhanced suffix arrays and their interval trees, over all texts of a table.
 
-Every string of `length` bytes has a minimum among the hashes of its short grams; a run of consecutive string starts with
-one and the same minimum is an anchored context, from the first of these starts to the end of the last string. Strings
-that are equal have equal minima, so they can only meet within a bucket of contexts of one minimum. Buckets are small
-parts of the corpus, of similar size, and contexts that are equal as a whole are one class with a count.
+Every string of `length` bytes has a first minimum among the hashes of its short grams; the consecutive strings with one
+and the same minimal gram are an anchored context, from the first of their starts to the end of the last one. Strings
+that are equal have equal minima at equal places, so they meet within a bucket of contexts of one minimum and never
+within a single context. Contexts that are equal as a whole are one class with a count.
 
 For each bucket of several classes, the suffixes of the class contexts make an enhanced suffix array: suffixes in
 lexicographic order with the lengths of the common prefixes of neighbours. One scan with a stack turns these lengths into
@@ -22,7 +22,6 @@ result. Extra columns are ignored. Texts are UTF-8 bytes; what is left may split
 from __future__ import annotations
 
 from collections.abc import Iterator
-from hashlib import sha256
 
 import numpy as np
 import pyarrow as pa
@@ -39,6 +38,7 @@ ARRAY_SUFFIXES = 100_000
 #: Bytes to which suffixes are sorted and compared; contexts are shorter.
 DEPTH = 2 * LENGTH
 
+_UPPER = np.uint64(0xFFFFFFFF00000000)
 _ANCHORS = "key long, low long, class long, at int, starts int"
 
 
@@ -51,21 +51,21 @@ def contexts(data: np.ndarray, starts: np.ndarray, lengths: np.ndarray, length:
     hashes = RollingHash(data)
     grams, width = hashes.windows(gram), length - gram + 1
     padded = np.full(-(-len(grams) // width) * width, np.iinfo(np.uint64).max, np.uint64)
-    padded[: len(grams)] = grams
+    padded[: len(grams)] = (grams & _UPPER) | np.arange(len(grams), dtype=np.uint64)  # ties: the first gram
     blocks = padded.reshape(-1, width)
     ahead = np.minimum.accumulate(blocks, axis=1).ravel()
     behind = np.minimum.accumulate(blocks[:, ::-1], axis=1)[:, ::-1].ravel()
     lowest = np.minimum(behind[: len(data) - length + 1], ahead[width - 1 : width - 1 + len(data) - length + 1])
     counts = lengths[long] - length + 1
     at = ranges(starts[long], counts)
-    low, text = lowest[at], np.repeat(long, counts)
+    place, text = (lowest[at] & ~_UPPER).astype(np.int64), np.repeat(long, counts)
     first = np.ones(len(at), bool)
-    first[1:] = (low[1:] != low[:-1]) | (text[1:] != text[:-1])
+    first[1:] = (place[1:] != place[:-1]) | (text[1:] != text[:-1])
     begin = np.flatnonzero(first)
     number = np.diff(np.append(begin, len(at)))
     origin = at[begin]
     classes = mix(hashes.of(origin, origin + number + length - 1) + number.astype(np.uint64))
-    return text[begin], low[begin].view(np.int64), classes.view(np.int64), (origin - starts[text[begin]]).astype(np.int32), number.astype(np.int32)
+    return text[begin], grams[place[begin]].view(np.int64), classes.view(np.int64), (origin - starts[text[begin]]).astype(np.int32), number.astype(np.int32)
 
 
 def anchors(keyed: DataFrame, length: int, gram: int) -> DataFrame:
@@ -205,9 +205,8 @@ def repeated_ranges(docs_keyed: DataFrame, length: int = LENGTH, gram: int = GRA
             if rows:
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], names)
 
-    texts = docs_keyed.dropDuplicates(["key"]) if False else docs_keyed
-    fetched = texts.join(wanted, "key").select("text", "wanted").mapInArrow(fetch, "low long, class long, n long, context binary, start int, suffix long")
-    fetched = materialize(fetched.dropDuplicates(["low", "class", "start"]))
+    fetched = docs_keyed.join(wanted, "key").select("text", "wanted").mapInArrow(fetch, "low long, class long, n long, context binary, start int, suffix long")
+    fetched = materialize(fetched)
     arrays = _scan(fetched.where("context is not null").select("low", "class", "context").repartition("low").sortWithinPartitions("low", "class"), length)
     parts = fetched.where("context is null")
     often = parts.groupBy("low", "suffix").agg(F.sum("n").alias("times")).where("times > 1").select("low", "suffix")
@@ -248,4 +247,4 @@ def query(spark, sf_dir: str) -> DataFrame:
     return left.select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
 
 
-__all__ = ["contexts", "intervals", "maximal_repeats", "query", "repeated_ranges", "sha256", "suffix_array", "without_repeats"]
+__all__ = ["contexts", "intervals", "maximal_repeats", "query", "repeated_ranges", "suffix_array", "without_repeats"]
