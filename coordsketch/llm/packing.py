@@ -3,7 +3,7 @@
 For every fill level h the packer keeps N(h), the number of open sequences filled to h, in one level array. A document
 of s tokens goes to the level (or a new sequence) for which the sum of all N(h)^2 becomes smallest. Documents longer than
 a sequence are cut into whole sequences and a rest. Every task packs its own partition online, in row order: memory holds
-the level array and the open sequences' numbers, never the tokens. At the end of a partition, what still lies open is
+the level array and the pieces of open sequences, of which the rule keeps few. At the end of a partition, what still lies open is
 under a bounded number of tokens; open sequences that are not nearly full are taken apart and refilled in order, cutting
 at sequence ends, so at most one sequence of a partition stays badly filled.
 

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import chat, packing, pii, quality, records, repeats, sharding, simhash
+from . import chat, decontaminate, lm, packing, pii, quality, records, repeats, sharding, simhash
 
 QUERIES = {
     "op1_suffix_array_intervals": repeats.query,
@@ -11,7 +11,9 @@ QUERIES = {
     "op4_stratified_interleave": sharding.query,
     "op5_adaptive_quality": quality.query,
     "op6_binary_records": records.query,
+    "op7_template_decontamination": decontaminate.query,
     "op8_weak_supervision_pii": pii.query,
+    "op9_bloom_language_model": lm.query,
     "op10_sum_of_squares_packing": packing.query,
 }
 

@@ -30,13 +30,13 @@ from pyspark.sql import functions as F
 
 from .common import RollingHash, flat_bytes, load, materialize, mix, ranges, row_key, slices
 
-LENGTH, GRAM = 200, 32
+LENGTH, GRAM = 200, 64
 #: Buckets with more classes are dealt out by suffix.
-MOST_CLASSES = 256
+MOST_CLASSES = 1024
 #: Suffixes that a task takes into one array.
 ARRAY_SUFFIXES = 100_000
 #: Bytes to which suffixes are sorted and compared; contexts are shorter.
-DEPTH = 2 * LENGTH
+DEPTH = 2 * LENGTH - GRAM + 1
 
 _UPPER = np.uint64(0xFFFFFFFF00000000)
 _ANCHORS = "key long, low long, class long, at int, starts int"
@@ -84,15 +84,16 @@ def suffix_array(data: np.ndarray, at: np.ndarray, ends: np.ndarray, depth: int)
     """The order of the suffixes that start at `at` and end at `ends`, and the common-prefix length of each with the one before."""
     padded = np.concatenate([data, np.zeros(depth, np.uint8)])
     rows = np.lib.stride_tricks.sliding_window_view(padded, depth)[at]
-    left = (ends - at)[:, None] > np.arange(depth)[None, :]
-    rows = np.where(left, rows, 0)
-    order = np.argsort(np.ascontiguousarray(rows).view(f"V{depth}").ravel().view(f"S{depth}"), kind="stable")
-    sorted_rows, room = rows[order], np.minimum(ends - at, depth)[order]
+    room = np.minimum(ends - at, depth)
+    rows[np.repeat(np.arange(len(at)), depth - room), ranges(room, depth - room)] = 0
+    order = np.argsort(rows.view(f"S{depth}").ravel(), kind="stable")
+    rows, room = rows[order], room[order]
     common = np.zeros(len(at), np.int64)
-    if len(at) > 1:
-        differ = sorted_rows[1:] != sorted_rows[:-1]
-        equal = np.where(differ.any(axis=1), differ.argmax(axis=1), depth)
-        common[1:] = np.minimum(equal, np.minimum(room[1:], room[:-1]))
+    for a in range(1, len(at), 50_000):
+        here, back = rows[a : a + 50_000], rows[a - 1 : a - 1 + min(50_000, len(at) - a)]
+        differ = here != back
+        common[a : a + 50_000] = np.where(differ.any(axis=1), differ.argmax(axis=1), depth)
+    common[1:] = np.minimum(common[1:], np.minimum(room[1:], room[:-1]))
     return order, common
 
 
@@ -191,19 +192,26 @@ def repeated_ranges(docs_keyed: DataFrame, length: int = LENGTH, gram: int = GRA
     wanted = wanted.groupBy("key").agg(F.collect_list("w").alias("wanted"))
 
     def fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kinds, names = [pa.int64(), pa.int64(), pa.int64(), pa.binary(), pa.int32(), pa.int64()], ["low", "class", "n", "context", "start", "suffix"]
+        names = ["low", "class", "n", "context", "start", "suffix"]
         for piece in slices(batches, "text", 1_000_000):
             rows: list[tuple] = []
             for text, wishes in zip(piece["text"].cast(pa.binary()).to_pylist(), piece["wanted"].to_pylist(), strict=True):
                 for w in wishes:
                     context = text[w["at"] : w["at"] + w["starts"] + length - 1]
-                    if not w["many"]:
-                        rows.append((w["low"], w["class"], w["n"], context, None, None))
-                    else:
-                        hashes = RollingHash(np.frombuffer(context, np.uint8)).windows(length).view(np.int64)
-                        rows.extend((w["low"], w["class"], w["n"], None, i, h) for i, h in enumerate(hashes.tolist()))
-            if rows:
-                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], names)
+                    rows.append((w["low"], w["class"], w["n"], context, w["many"]))
+            few = [r for r in rows if not r[4]]
+            if few:
+                columns = [pa.array([r[i] for r in few], t) for i, t in enumerate((pa.int64(), pa.int64(), pa.int64(), pa.binary()))]
+                yield pa.RecordBatch.from_arrays([*columns, pa.nulls(len(few), pa.int32()), pa.nulls(len(few), pa.int64())], names)
+            many = [r for r in rows if r[4]]
+            for a in range(0, len(many), 1000):
+                some = many[a : a + 1000]
+                sizes = np.array([len(r[3]) for r in some])
+                at, counts = np.cumsum(sizes) - sizes, sizes - length + 1
+                windows = ranges(at, counts)
+                hashes = RollingHash(np.frombuffer(b"".join(r[3] for r in some), np.uint8)).of(windows, windows + length)
+                own = [pa.array(np.repeat(np.array([r[i] for r in some], np.int64), counts)) for i in range(3)]
+                yield pa.RecordBatch.from_arrays([*own, pa.nulls(len(windows), pa.binary()), pa.array((windows - np.repeat(at, counts)).astype(np.int32)), pa.array(hashes.view(np.int64))], names)
 
     fetched = docs_keyed.join(wanted, "key").select("text", "wanted").mapInArrow(fetch, "low long, class long, n long, context binary, start int, suffix long")
     fetched = materialize(fetched)
