@@ -41,7 +41,11 @@ def by_leaks(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def by_privacy(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return pii.redact(docs)
+    clean = pii.redact(docs)
+    if "n_chars" not in docs.columns:
+        return clean
+    counted = F.when(F.col("n_chars").isNotNull(), F.length("text")).cast(docs.schema["n_chars"].dataType)
+    return clean.withColumn("n_chars", F.coalesce(counted, F.col("n_chars")))
 
 
 def packed(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
