@@ -125,7 +125,7 @@ def word_counts(parts: DataFrame) -> DataFrame:
             n = np.bincount(index, weights=np.concatenate([w for _, w in held]), minlength=len(tokens)).astype(np.int64)
             return pa.RecordBatch.from_arrays([pa.array(np.full(len(tokens), now, np.int64)), pa.array(tokens.view(np.int64)), pa.array(n)], ["part", "token", "n"])
 
-        for piece in slices(batches, "text", 2_000_000):
+        for piece in slices(batches, "text", 1_000_000):
             part = piece["part"].to_numpy(zero_copy_only=False)
             for a, b in _runs(part):
                 if held and part[a] != now:
@@ -171,7 +171,7 @@ def segments(parts: DataFrame, tokens: int) -> DataFrame:
             for a in range(0, len(rows), 64):
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows[a : a + 64], strict=True), (pa.int64(), pa.binary(), pa.binary()), strict=True)], ["segment", "steps", "counts"])
 
-        for piece in slices(batches, "text", 2_000_000):
+        for piece in slices(batches, "text", 1_000_000):
             pairs, _ = pair_hashes(*token_hashes(piece["text"]))
             held.append(pairs)
             room += len(pairs)
@@ -245,7 +245,7 @@ def _score(spark, parts: DataFrame, words: DataFrame, group: dict[int, bytes], k
         texts = docs["text"].combine_chunks()
         texts = texts.chunk(0) if isinstance(texts, pa.ChunkedArray) else texts
         sizes = pa.RecordBatch.from_arrays([texts], ["text"])
-        for piece in slices(iter([sizes]), "text", 2_000_000):
+        for piece in slices(iter([sizes]), "text", 1_000_000):
             tokens, lengths = token_hashes(piece["text"])
             pairs, before = pair_hashes(tokens, lengths)
             place = np.minimum(np.searchsorted(known, tokens), len(known) - 1)

@@ -21,7 +21,7 @@ _INNER_SPACE = re.compile(r"(?<=\S) (?=\S)")
 _TOGETHER = re.compile(r"\s\s|^\s|\s$")
 _CLOSING = ".,;:!?#*%&$|)"
 #: Pieces remembered in each of two generations; older ones are forgotten, which only costs time.
-REMEMBERED = 600_000
+REMEMBERED = 150_000
 
 
 def vocabulary(name: str) -> str:
