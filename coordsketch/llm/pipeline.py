@@ -19,7 +19,7 @@ from .tokens import vocabulary
 
 
 def _without(docs: DataFrame, bad: DataFrame) -> DataFrame:
-    gone = bad.select(F.col("doc_id").alias("_gone")).distinct()
+    gone = bad.select(F.col("doc_id").alias("_gone")).distinct().hint("merge")  # it grows with the documents: never broadcast
     return docs.join(gone, F.col("doc_id").eqNullSafe(F.col("_gone")), "left_anti").select(docs.columns)
 
 
@@ -30,7 +30,7 @@ def by_quality(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
 def by_copies(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     first = simhash.simhash_components(docs.select("doc_id", "text")).where("doc_id <=> component_id")
     kept = materialize(first.groupBy(F.col("doc_id").alias("_kept")).agg(F.count(F.lit(1)).alias("_rows")))
-    joined = docs.join(kept, F.col("doc_id").eqNullSafe(F.col("_kept")))
+    joined = docs.join(kept.hint("merge"), F.col("doc_id").eqNullSafe(F.col("_kept")))
     if not kept.where("_rows > 1").limit(1).count():
         return joined.select(docs.columns)
     return joined.where("_rows = 1").unionByName(joined.where("_rows > 1").dropDuplicates(["doc_id", "text"])).select(docs.columns)
