@@ -194,8 +194,9 @@ ORACLES = {
     "k_mins": f"with m as ({_periods(True)}), x as (select set_id, key, weight, j, -ln({_u(repr(f'{SEED}/') + ' || j::varchar', 'key')}) / weight as rank from m, range(1, {K_SMALL + 1}) t(j)) select set_id, j, arg_min(key, rank) as key, round(min(rank), 8) as min_rank from x group by 1, 2",
     "poisson_fixed": f"with m as ({_periods(True)}) select set_id, key, round(u / weight, 8) as rank from (select *, {_u(repr(str(SEED)), 'key')} as u from m) where u / weight < 0.002",
     "poisson_expected_k_ipps": f"""with m as ({_periods(True)}), w as (select *, row_number() over (partition by set_id order by weight desc, key) - 1 as j, coalesce(sum(weight) over (partition by set_id order by weight desc, key rows between unbounded preceding and 1 preceding), 0.0) as top, sum(weight) over (partition by set_id) as total from m),
-      t as (select set_id, arg_min(({K} - j) / (total - top), j) as thr from w where j < {K} and weight * (({K} - j) / (total - top)) <= 1 group by 1)
-      select set_id, key, round(thr, 8) as threshold from (select m.*, {_u(repr(str(SEED)), 'key')} as u, thr from m join t using (set_id)) where u / weight < thr""",
+      t as (select set_id, arg_min(({K} - j) / (total - top), j) as thr from w where j < {K} and weight * (({K} - j) / (total - top)) <= 1 group by 1),
+      n as (select set_id, case when count(*) > {K} then any_value(thr) end as thr from m left join t using (set_id) group by 1)
+      select set_id, key, round(thr, 8) as threshold from (select m.*, {_u(repr(str(SEED)), 'key')} as u, thr from m join n using (set_id)) where thr is null or u / weight < thr""",
     **{f"bottom_k_{short}": f"with {_sketch(_buyers(), K_SMALL, family)} select set_id, pos::int as pos, key, round(rank, 8) as rank, {_FIN} from sk" for short, family in (("exp", "exponential"), ("pri", "priority"), ("uniform", "uniform"))},
     **{f"{name}": f"{_base(kind)} select query_id, key, {_FIN}, sets from comb" for name, kind in (("union_sketch", "union"), ("short_combination", "short"), ("long_combination", "long"))},
     **{f"adj_{kind}": f"{_base(kind)} select query_id, key, round({_adj()}, 6) as adj from comb" for kind in ("union", "short", "long")},

@@ -94,7 +94,7 @@ def _poisson_fixed(spark, d):
 
 def _poisson_k(spark, d):
     rows = D.periods(spark, d, True)
-    return sketch.poisson(rows, sketch.poisson_threshold(rows, K, "priority"), "priority", SEED, **MD5).select("set_id", "key", F.round("bound", 8).alias("threshold"))
+    return sketch.poisson(rows, sketch.poisson_threshold(rows, K, "priority"), "priority", SEED, **MD5).select("set_id", "key", finite("bound").alias("threshold"))
 
 
 def _threshold_exp(spark, d):
