@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from . import chat, decontaminate, lm, packing, pii, quality, records, repeats, sharding, simhash
+from .oracles import ORACLES
 
 QUERIES = {
     "op1_suffix_array_intervals": repeats.query,
@@ -17,4 +18,4 @@ QUERIES = {
     "op10_sum_of_squares_packing": packing.query,
 }
 
-ORACLES: dict[str, str] = {}
+__all__ = ["ORACLES", "QUERIES"]
