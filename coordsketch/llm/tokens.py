@@ -11,7 +11,6 @@ Texts in which white space stands together are cut so that it stays whole. Other
 
 from __future__ import annotations
 
-import json
 import os
 import re
 
@@ -21,7 +20,7 @@ _INNER_SPACE = re.compile(r"(?<=\S) (?=\S)")
 _TOGETHER = re.compile(r"\s\s|^\s|\s$")
 _CLOSING = ".,;:!?#*%&$|)"
 #: Pieces remembered in each of two generations; older ones are forgotten, which only costs time.
-REMEMBERED = 150_000
+REMEMBERED = 250_000
 
 
 def vocabulary(name: str) -> str:
@@ -40,13 +39,11 @@ class Encoder:
 
         self._tokenizer = Tokenizer.from_file(path)
         self._tokenizer.encode_special_tokens = True
-        with open(path, encoding="utf-8") as file:
-            said = json.load(file)
-        end = said["model"].get("end_of_word_suffix")
-        rule = json.dumps(said.get("pre_tokenizer")) + json.dumps(said.get("normalizer"))
-        self._words = bool(end) and "Lowercase" in rule and "Removed" in rule
-        self._bytes = not end and not said.get("normalizer") and (said.get("pre_tokenizer") or {}).get("use_regex") is True
-        edges = [i for t, i in said["model"]["vocab"].items() if (t.endswith(end) if end else t.startswith("Ġ"))]
+        end = self._tokenizer.model.end_of_word_suffix
+        splits, normal = str(self._tokenizer.pre_tokenizer), str(self._tokenizer.normalizer)
+        self._words = bool(end) and "Lowercase" in normal and "Removed" in splits
+        self._bytes = not end and normal == "None" and splits.startswith("ByteLevel(") and "add_prefix_space=False" in splits and "use_regex=True" in splits
+        edges = [i for t, i in self._tokenizer.get_vocab().items() if (t.endswith(end) if end else t.startswith("Ġ"))]
         self._edge = np.zeros(self._tokenizer.get_vocab_size() + 1, bool)
         self._edge[edges] = True
         self._young: dict[str, bytes] = {}
