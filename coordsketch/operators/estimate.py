@@ -159,25 +159,30 @@ def intersection_uncoordinated(a: DataFrame, b: DataFrame, family: str) -> Colum
     return left.join(right, "key").agg(F.coalesce(F.sum(F.col("weight") / (F.col("p_a") * F.col("p_b"))), F.lit(0.0)).alias("estimate"))
 
 
-def similar_pairs(sketch: DataFrame, theta: float, *, method: str = "short", k: int | None = None, salt: int = 16) -> DataFrame:
+def similar_pairs(sketch: DataFrame, theta: float, *, method: str = "short", k: int | None = None, salt: int = 1) -> DataFrame:
     """a, b, jaccard of all pairs of sets whose estimated Jaccard ratio is at least theta.
 
-    Candidates share a sampled key. Keys are joined with themselves in salted pieces, so a key of very many sets is not one
-    task; pairs are counted before and after the shuffle. short: keys known in both; union: the k lowest of both."""
-    held = sketch.select("key", "set_id", "rank", "bound").withColumn("s", F.pmod(F.xxhash64("set_id"), F.lit(salt)))
-    spread = held.withColumn("t", F.explode(F.sequence(F.lit(0), F.lit(salt - 1))))
-    left = spread.select("key", F.col("s").alias("s1"), F.col("t").alias("s2"), F.col("set_id").alias("a"), F.col("bound").alias("bound_a"), "rank")
-    right = spread.select("key", F.col("t").alias("s1"), F.col("s").alias("s2"), F.col("set_id").alias("b"), F.col("bound").alias("bound_b"))
-    met = left.join(right, ["key", "s1", "s2"]).where("a < b").withColumn("low", F.least("bound_a", "bound_b"))
-    common = met.groupBy("a", "b").agg(F.collect_list("rank").alias("ranks"), F.first("low").alias("low"))
-    sets = sketch.groupBy("set_id").agg(F.array_sort(F.collect_list("rank")).alias("of"))
-    joined = common.join(sets.select(F.col("set_id").alias("a"), F.col("of").alias("of_a")), "a").join(sets.select(F.col("set_id").alias("b"), F.col("of").alias("of_b")), "b")
-    union = F.array_sort(F.array_union("of_a", "of_b"))
-    known = F.filter(union, lambda r: r < F.col("low"))
-    if method == "union":
-        known = F.slice(known, 1, F.lit(k))
-    counted = joined.withColumn("known", known)
-    hit = F.size(F.array_intersect("ranks", "known"))
+    In such a pair, the set with the smaller bound has at least the share theta of its sampled keys in the other one. So it
+    is enough that this set offers its rarest keys, one more than it may miss, and the other one all of its keys: very
+    common keys, which nearly all pairs share, make no candidates, and no pair is lost. salt > 1 deals a key's sets out to
+    that many squared tasks. short: keys known in both; union: the k lowest of both."""
+    of_set = Window.partitionBy("set_id")
+    common = sketch.groupBy(F.col("key").alias("_k")).agg(F.count(F.lit(1)).alias("_df"))
+    held = sketch.select("key", "set_id", "bound").withColumn("s", F.pmod(F.xxhash64("set_id"), F.lit(salt)))
+    placed = held.join(common, F.col("key") == F.col("_k")).withColumn("_i", F.row_number().over(of_set.orderBy("_df", "key"))).withColumn("_n", F.count(F.lit(1)).over(of_set))
+    offers = placed.where(F.col("_i") <= F.col("_n") - F.ceil(F.col("_n") * theta - 1e-9) + 1)
+    spread = F.explode(F.sequence(F.lit(0), F.lit(salt - 1)))
+    left = offers.select("key", F.col("s").alias("s1"), spread.alias("s2"), F.col("set_id").alias("x"), F.col("bound").alias("_bx"))
+    right = held.select("key", spread.alias("s1"), F.col("s").alias("s2"), F.col("set_id").alias("y"), F.col("bound").alias("_by"))
+    met = left.join(right, ["key", "s1", "s2"]).where("_bx < _by or (_bx = _by and x < y)")
+    pairs = met.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+    sets = sketch.groupBy("set_id").agg(F.array_sort(F.collect_list("rank")).alias("of"), F.first("bound").alias("bound"))
+    one = lambda c: sets.select(F.col("set_id").alias(c), F.col("of").alias(f"of_{c}"), F.col("bound").alias(f"bound_{c}"))
+    joined = pairs.join(one("a"), "a").join(one("b"), "b")
+    low = F.least("bound_a", "bound_b")
+    known = F.filter(F.array_sort(F.array_union("of_a", "of_b")), lambda r: r < low)
+    counted = joined.withColumn("known", F.slice(known, 1, F.lit(k)) if method == "union" else known)
+    hit = F.size(F.array_intersect(F.array_intersect("of_a", "of_b"), "known"))
     return counted.select("a", "b", F.try_divide(hit.cast("double"), F.size("known")).alias("jaccard")).where(F.col("jaccard") >= theta)
 
 
