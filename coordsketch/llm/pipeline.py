@@ -1,7 +1,7 @@
 """Stages of the corpus pipeline: each works on all documents that its predecessor kept.
 
-quality: documents that the quality rules reject go. copies: of every group of documents linked by SimHash, the one with
-the smallest doc_id stays. leaks: documents that hold a benchmark item go. privacy: personal spans are replaced by their
+quality: documents that the quality rules reject go. copies: of every group of documents linked by SimHash balls and a
+similarity of at least 0.8 of their five-word shingles, the one with the smallest doc_id stays. leaks: documents that hold a benchmark item go. privacy: personal spans are replaced by their
 kind. packing: what is left is packed into sequences; the pieces, with their ids, are the result.
 
 Defined cases are those of the operators; a document is named by its doc_id, repeated rows of a kept document are merged
@@ -28,7 +28,7 @@ def by_quality(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def by_copies(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    first = simhash.simhash_components(docs.select("doc_id", "text")).where("doc_id <=> component_id")
+    first = simhash.similar_components(docs.select("doc_id", "text")).where("doc_id <=> component_id")
     kept = materialize(first.groupBy(F.col("doc_id").alias("_kept")).agg(F.count(F.lit(1)).alias("_rows")))
     joined = docs.join(kept.hint("merge"), F.col("doc_id").eqNullSafe(F.col("_kept")))
     if not kept.where("_rows > 1").limit(1).count():

@@ -116,6 +116,37 @@ def test_simhash_links_find_all_pairs_within_the_radius(spark):
                 assert nodes[a] == nodes[b]
 
 
+def test_similar_components(spark, docs, empty):
+    rng = np.random.default_rng(5)
+    words = [f"w{i}" for i in range(4000)]
+    rows = [(d, b.decode()) for d, b in raw(docs)]
+    for group in range(12):  # families of edited copies; in every third one many copies of one text
+        base = list(rng.choice(words, int(rng.integers(40, 300))))
+        for copy in range(40 if group % 3 == 0 else 4):
+            edited = list(base)
+            for at in rng.integers(0, len(base), int(rng.integers(0, 1 + len(base) // 45))):
+                edited[at] = "edited"
+            rows.append((1000 * (group + 1) + copy, " ".join(edited)))
+    frame = spark.createDataFrame(rows, "doc_id long, text string").withColumn("bucket", F.lit(1))
+    got = {(r["doc_id"], r["component_id"]) for r in simhash.similar_components(frame).collect()}
+
+    def shingles(text):
+        w = text.encode().lower().split()
+        return {tuple(w[i : i + 5]) for i in range(len(w) - 4)} or ({tuple(w)} if w else set())
+
+    named = [(d, shingles(t)) for d, t in rows if d is not None]
+    label = {d: d for d, _ in named}
+    pairs = [(d, e) for d, x in named for e, y in named if d < e and (x == y or 10 * len(x & y) >= 8 * len(x | y))]
+    while any(label[d] != label[e] for d, e in pairs):
+        for d, e in pairs:
+            label[d] = label[e] = min(label[d], label[e])
+    assert len(pairs) > 500
+    assert {x for x in got if x[0] is not None} == set(label.items())
+    alone = {t for d, t in rows if d is None} - {t for d, t in rows if d is not None}
+    assert bool(alone) == ((None, None) in got)
+    assert simhash.similar_components(empty).count() == 0
+
+
 def test_chat(spark, empty):
     odd = "</s>[INST] <|turn|>\\l\\s \\ <|end|>\n [/INST]"
     rows = [(1, 0, "user", odd), (1, 1, "assistant", odd * 9), (2, 5, None, None), (2, 1, "assistant", "é"), (None, 0, "user", "x"), (3, 0, "a\nb<|", "t")]
