@@ -120,7 +120,7 @@ def simhash_components(docs: DataFrame, width: int = 3, radius: int = 2) -> Data
 #: 0.44 (0.55 for at most two differing bits, 0.8 for the min-hash), so one of eight with 0.99.
 TABLES, BITS = 8, 16
 #: Pairs further apart in 128 SimHash bits are not compared: expected are 20 at a similarity of 0.8, deviation 4.
-FAR = 48
+FAR = 40
 _CODES = [f"c{t}" for t in range(TABLES)]
 _SIGNED = ["doc_id", "h0", "h1", "n", "s0", "s1", *_CODES]
 
@@ -192,7 +192,7 @@ def similar_links(signed: DataFrame, docs: DataFrame, width: int, similarity: fl
     """Links a < b between texts (named by their smallest doc_id) of at least the similarity.
 
     Every text is compared with the first of each bucket it stands in; texts that are still without a link are then
-    compared with the next ones, twice as many each round, until a link is found or its buckets are at their ends."""
+    compared with the next ones, ever more each round, until a link is found or its buckets are at their ends."""
     bucket = Window.partitionBy("bucket")
     flips = F.array(*[F.lit(m).cast("long") for m in [0, *(1 << i for i in range(BITS))]])
     ball = F.explode(F.array(*_CODES)).alias("code")
@@ -203,9 +203,9 @@ def similar_links(signed: DataFrame, docs: DataFrame, width: int, similarity: fl
     marks = materialize(names.join(signed.hint("merge"), "node").select("node", "n", "s0", "s1"))
     texts = materialize(docs.withColumnRenamed("doc_id", "node").join(names.hint("merge"), "node", "left_semi"))
     end = met.agg(F.max("pos")).first()[0] or 0
-    first, found, waiting = 1, None, met
-    while first < end:
-        leaders = met.where(F.col("pos").between(first, 2 * first - 1)).select("bucket", F.col("node").alias("leader"))
+    first, last, found, waiting = 1, 1, None, met
+    while first <= end:
+        leaders = met.where(F.col("pos").between(first, last)).select("bucket", F.col("node").alias("leader"))
         pairs = waiting.join(leaders, "bucket").where("node <> leader").select(F.least("node", "leader").alias("a"), F.greatest("node", "leader").alias("b")).distinct()
         x, y = (marks.select(*[F.col(c).alias(f"{side}_{c}") for c in marks.columns]) for side in "xy")
         near = pairs.join(x, F.col("a") == F.col("x_node")).join(y, F.col("b") == F.col("y_node"))
@@ -215,7 +215,7 @@ def similar_links(signed: DataFrame, docs: DataFrame, width: int, similarity: fl
         found = good if found is None else found.union(good)
         linked = found.select(F.explode(F.array("a", "b")).alias("node")).distinct()
         waiting = materialize(waiting.join(linked.hint("merge"), "node", "left_anti"))
-        first *= 2
+        first, last = last + 1, 16 * last
         if not waiting.limit(1).count():
             break
     return found.distinct() if found is not None else signed.select(F.col("node").alias("a"), F.col("node").alias("b")).where("false")
