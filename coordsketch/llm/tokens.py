@@ -4,9 +4,8 @@ Byte-pair merging never crosses the borders that a tokenizer's own splitting rul
 here always draw one at a single space between two other characters that are not white space (the byte-level kind gives
 the space to the next piece, the word-end kind drops it), around a single line feed between such characters, and between
 letters and the usual closing signs. So a text is cut at spaces, every distinct piece is composed of its parts once, and
-remembered. Parts that are letters only are encoded by the tokenizers library many at a time, separated by spaces: each
-is one word there, and the ids that begin (byte-level kind) or end (word-end kind) a word show where each one lies.
-Texts in which white space stands together are cut so that it stays whole. Other tokenizers encode whole texts.
+remembered. Parts that are Latin letters only are one word to the splitting rule, so they go straight to the library's
+merging model, without the library's normalising and splitting. Texts in which white space stands together are cut so that it stays whole. Other tokenizers encode whole texts.
 """
 
 from __future__ import annotations
@@ -17,7 +16,8 @@ import re
 import numpy as np
 
 _INNER_SPACE = re.compile(r"(?<=\S) (?=\S)")
-_TOGETHER = re.compile(r"\s\s|^\s|\s$")
+#: Words of Latin letters, which every version of the Unicode tables takes for letters and composes and lower-cases alike.
+_LATIN = re.compile("[A-Za-zÀ-ÖØ-öø-ɏ]+").fullmatch
 _CLOSING = ".,;:!?#*%&$|)"
 #: Pieces remembered in each of two generations; older ones are forgotten, which only costs time.
 REMEMBERED = 250_000
@@ -30,22 +30,41 @@ def vocabulary(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def _apart(text: str) -> bool:
+    """Whether white space stands neither together nor at an end: there is one less of it than words."""
+    words = text.split()
+    return len(text) == sum(map(len, words)) + len(words) - 1
+
+
+class _Shown(dict):
+    """For str.translate: how the models show the bytes of a character, asked of the library once a character."""
+
+    def __init__(self, splitter):
+        self._splitter = splitter
+
+    def __missing__(self, code: int) -> str:
+        self[code] = self._splitter.pre_tokenize_str(chr(code))[0][0]
+        return self[code]
+
+
 class Encoder:
     """encode(texts) gives the ids of each text as little-endian unsigned 32-bit integers, in bytes."""
 
     def __init__(self, path: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-        from tokenizers import Tokenizer
+        from tokenizers import Tokenizer, pre_tokenizers
 
         self._tokenizer = Tokenizer.from_file(path)
         self._tokenizer.encode_special_tokens = True
         end = self._tokenizer.model.end_of_word_suffix
         splits, normal = str(self._tokenizer.pre_tokenizer), str(self._tokenizer.normalizer)
-        self._words = bool(end) and "Lowercase" in normal and "Removed" in splits
-        self._bytes = not end and normal == "None" and splits.startswith("ByteLevel(") and "add_prefix_space=False" in splits and "use_regex=True" in splits
-        edges = [i for t, i in self._tokenizer.get_vocab().items() if (t.endswith(end) if end else t.startswith("Ġ"))]
-        self._edge = np.zeros(self._tokenizer.get_vocab_size() + 1, bool)
-        self._edge[edges] = True
+        known = not self._tokenizer.model.dropout and not any(t.content.isalpha() for t in self._tokenizer.get_added_tokens_decoder().values())
+        self._words = known and bool(end) and "Lowercase" in normal and "Removed" in splits and "ByteLevel(" in splits
+        self._bytes = known and not end and normal == "None" and splits.startswith("ByteLevel(") and "add_prefix_space=False" in splits and "use_regex=True" in splits
+        self._model = self._tokenizer.model
+        self._raw = [i.to_bytes(4, "little") for i in range(self._tokenizer.get_vocab_size() + 1)]
+        self._shown = _Shown(pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False))
+        self._signs: dict[str, bytes] = {"": b""}
         self._young: dict[str, bytes] = {}
         self._old: dict[str, bytes] = {}
 
@@ -53,68 +72,66 @@ class Encoder:
         encode = getattr(self._tokenizer, "encode_batch_fast", self._tokenizer.encode_batch)
         return [np.array(e.ids, "<u4").tobytes() for e in encode(texts, add_special_tokens=False)]
 
-    def _letters(self, words: list[str]) -> list[bytes]:
-        """The ids of words of letters only, each after a space."""
-        out: list[bytes] = []
-        for at in range(0, len(words), 4000):
-            some = words[at : at + 4000]
-            raw = self._plain([" " + " ".join(some)])[0]
-            edges = np.flatnonzero(self._edge[np.frombuffer(raw, "<u4")])
-            if len(edges) != len(some):  # a word that is not one word to the tokenizer: each by itself
-                out += self._plain([" " + w for w in some])
-                continue
-            cuts = 4 * (np.append(edges, len(raw) // 4) if self._bytes else np.insert(edges + 1, 0, 0))
-            out += [raw[a:b] for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)]
-        return out
+    def _letters(self, word: str, lead: str) -> bytes:
+        """The ids of one word as the model sees it: its letters shown as bytes, lead for a space before it."""
+        raw = self._raw
+        return b"".join([raw[t.id] for t in self._model.tokenize(lead + (word if word.isascii() else word.translate(self._shown)))])
+
+    def _closing(self, signs: str) -> bytes:
+        if signs not in self._signs:
+            if len(self._signs) > REMEMBERED:
+                self._signs = {"": b""}
+            self._signs[signs] = self._plain([signs])[0]
+        return self._signs[signs]
+
+    def _lines(self, piece: str) -> list[str] | None:
+        """The pieces that a piece with line feeds is composed of; None where white space stands together in it."""
+        lines = piece.split("\n")
+        if self._words:  # white space is only a border there
+            return lines
+        if not all(lines) or any(x[0].isspace() or x[-1].isspace() for x in lines):
+            return None
+        return [lines[0], *("\n" + x for x in lines[1:])]
 
     def _learn(self, missing: list[str]) -> None:
-        """Remembers pieces, each standing after a space: letters, letters and closing signs, or anything else."""
-        young = self._young
-        whole = [p for p in missing if p.isalpha()]
-        closed = [(p, stem, p[len(stem) :]) for p in missing if (stem := p.rstrip(_CLOSING)) != p and stem.isalpha()]
-        stems = whole + [stem for _, stem, _ in closed]
-        if self._words and stems:  # ASCII letters only, in bulk; the tokenizer lower-cases the others
-            stems = "\n".join(stems).encode().lower().decode().split("\n")
-        fresh = [w for w in {*stems} if w not in young]
-        young.update(zip(fresh, self._letters(fresh), strict=True))
-        young.update(zip(whole, map(young.__getitem__, stems), strict=False))
-        signs = list({c[2] for c in closed})
-        signs = dict(zip(signs, self._plain(signs), strict=True))
-        young.update((p, young[stem] + signs[sign]) for (p, _, sign), stem in zip(closed, stems[len(whole) :], strict=True))
-        rest = [p for p in missing if p not in young]
-        if self._words:  # white space is only a border: the lines of a piece are pieces
-            lined = [(p, p.split("\n")) for p in rest if "\n" in p]
+        """Remembers pieces: each stands after a space or, in the byte-level kind, after the line feed that it begins with."""
+        young, lead = self._young, "" if self._words else self._shown[32]
+        rest: list[str] = []
+        lined: list[tuple[str, list[str]]] = []
+        for piece in missing:
+            feed = piece[:1] == "\n" and self._bytes
+            if "\n" in piece[feed:]:
+                parts = self._lines(piece)
+                if parts:
+                    lined.append((piece, parts))
+                else:
+                    rest.append(piece)
+                continue
+            whole = piece[1:] if feed else piece
+            stem = whole.rstrip(_CLOSING)
+            signs = whole[len(stem) :]
+            if self._words:
+                stem = stem.lower()
+            if not _LATIN(stem):
+                rest.append(piece)
+            elif feed:
+                young[piece] = self._closing("\n") + self._letters(stem, "") + self._closing(signs)
+            else:
+                ids = young.get(stem)
+                if ids is None:
+                    ids = young[stem] = self._letters(stem, lead)
+                if piece is not stem:
+                    young[piece] = ids + self._closing(signs)
+        young.update(zip(rest, self._plain([p if p[:1] == "\n" else " " + p for p in rest]), strict=True))
+        if lined:
             lines = [x for x in {x for _, parts in lined for x in parts} if x not in young]
-            if lines:
-                self._learn(lines)
+            self._learn(lines)
             young.update((p, b"".join([young[x] for x in parts])) for p, parts in lined)
-            rest = [p for p in rest if "\n" not in p]
-        if rest:
-            self._compose(rest)
-
-    def _compose(self, pieces: list[str]) -> None:
-        """Remembers other pieces: those that hold single line feeds are composed of their lines."""
-        parts: list[str] = []
-        counts = []
-        for piece in pieces:
-            lines = piece.split("\n") if "\n" in piece else [piece]
-            if not all(lines) or any(x[0].isspace() or x[-1].isspace() for x in lines):
-                made = [" " + piece]
-            else:
-                made = [" " + lines[0], *(x for line in lines[1:] for x in ("\n", line))]
-            parts += made
-            counts.append(len(made))
-        distinct = list(dict.fromkeys(parts))
-        known = dict(zip(distinct, self._plain(distinct), strict=True))
-        at = 0
-        for piece, n in zip(pieces, counts, strict=True):
-            self._young[piece] = b"".join([known[x] for x in parts[at : at + n]])
-            at += n
 
     def encode(self, texts: list[str]) -> list[bytes]:
         if not (self._words or self._bytes):
             return self._plain(texts)
-        cut = [t.split(" ") if self._words or not _TOGETHER.search(t) else _INNER_SPACE.split(t) for t in texts]
+        cut = [t.split(" ") if self._words or _apart(t) else _INNER_SPACE.split(t) for t in texts]
         firsts: list[bytes] = []
         if self._bytes:  # the first piece stands after no space
             firsts = self._plain([pieces[0] for pieces in cut])
@@ -122,11 +139,12 @@ class Encoder:
         if len(self._young) > REMEMBERED:
             self._old, self._young = self._young, {}
         young, old = self._young, self._old
-        missing = [p for p in set().union(*cut) if p not in young]
+        missing = set().union(*cut).difference(young)
         if old:
-            young.update((p, old[p]) for p in missing if p in old)
-            missing = [p for p in missing if p not in young]
-        self._learn(missing)
+            again = missing & old.keys()
+            young.update((p, old[p]) for p in again)
+            missing -= again
+        self._learn(list(missing))
         get = young.__getitem__
         if firsts:
             return [first + b"".join(map(get, pieces)) for first, pieces in zip(firsts, cut, strict=True)]
