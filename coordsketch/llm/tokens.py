@@ -47,6 +47,20 @@ class _Shown(dict):
         return self[code]
 
 
+class _Pieces(dict):
+    """Ids of pieces; a new one is taken from the older generation or learned."""
+
+    def __init__(self, learn, old: dict[str, bytes]):
+        self._learn, self._old = learn, old
+
+    def __missing__(self, piece: str) -> bytes:
+        ids = self._old.get(piece)
+        if ids is None:
+            ids = self._learn(piece)
+        self[piece] = ids
+        return ids
+
+
 class Encoder:
     """encode(texts) gives the ids of each text as little-endian unsigned 32-bit integers, in bytes."""
 
@@ -65,8 +79,8 @@ class Encoder:
         self._raw = [i.to_bytes(4, "little") for i in range(self._tokenizer.get_vocab_size() + 1)]
         self._shown = _Shown(pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False))
         self._signs: dict[str, bytes] = {"": b""}
-        self._young: dict[str, bytes] = {}
-        self._old: dict[str, bytes] = {}
+        self._lead = "" if self._words else self._shown[32]
+        self._young = _Pieces(self._learn, {})
 
     def _plain(self, texts: list[str]) -> list[bytes]:
         encode = getattr(self._tokenizer, "encode_batch_fast", self._tokenizer.encode_batch)
@@ -93,40 +107,24 @@ class Encoder:
             return None
         return [lines[0], *("\n" + x for x in lines[1:])]
 
-    def _learn(self, missing: list[str]) -> None:
-        """Remembers pieces: each stands after a space or, in the byte-level kind, after the line feed that it begins with."""
-        young, lead = self._young, "" if self._words else self._shown[32]
-        rest: list[str] = []
-        lined: list[tuple[str, list[str]]] = []
-        for piece in missing:
-            feed = piece[:1] == "\n" and self._bytes
-            if "\n" in piece[feed:]:
-                parts = self._lines(piece)
-                if parts:
-                    lined.append((piece, parts))
-                else:
-                    rest.append(piece)
-                continue
-            whole = piece[1:] if feed else piece
-            stem = whole.rstrip(_CLOSING)
-            signs = whole[len(stem) :]
-            if self._words:
-                stem = stem.lower()
-            if not _LATIN(stem):
-                rest.append(piece)
-            elif feed:
-                young[piece] = self._closing("\n") + self._letters(stem, "") + self._closing(signs)
-            else:
-                ids = young.get(stem)
-                if ids is None:
-                    ids = young[stem] = self._letters(stem, lead)
-                if piece is not stem:
-                    young[piece] = ids + self._closing(signs)
-        young.update(zip(rest, self._plain([p if p[:1] == "\n" else " " + p for p in rest]), strict=True))
-        if lined:
-            lines = [x for x in {x for _, parts in lined for x in parts} if x not in young]
-            self._learn(lines)
-            young.update((p, b"".join([young[x] for x in parts])) for p, parts in lined)
+    def _learn(self, piece: str) -> bytes:
+        """The ids of a piece, standing after a space or, in the byte-level kind, after the line feed that it begins with."""
+        feed = self._bytes and piece[0] == "\n" if piece else False
+        if "\n" in piece[feed:]:
+            parts = self._lines(piece)
+            return b"".join([self._young[x] for x in parts]) if parts else self._plain([piece if feed else " " + piece])[0]
+        whole = piece[1:] if feed else piece
+        stem = whole.rstrip(_CLOSING)
+        signs = whole[len(stem) :]
+        if self._words:
+            stem = stem.lower()
+        if not _LATIN(stem):
+            return self._plain([piece if feed else " " + piece])[0]
+        if feed:
+            return self._closing("\n") + self._letters(stem, "") + self._closing(signs)
+        if stem == piece:
+            return self._letters(stem, self._lead)
+        return self._young[stem] + self._closing(signs)
 
     def encode(self, texts: list[str]) -> list[bytes]:
         if not (self._words or self._bytes):
@@ -137,15 +135,8 @@ class Encoder:
             firsts = self._plain([pieces[0] for pieces in cut])
             cut = [pieces[1:] for pieces in cut]
         if len(self._young) > REMEMBERED:
-            self._old, self._young = self._young, {}
-        young, old = self._young, self._old
-        missing = set().union(*cut).difference(young)
-        if old:
-            again = missing & old.keys()
-            young.update((p, old[p]) for p in again)
-            missing -= again
-        self._learn(list(missing))
-        get = young.__getitem__
+            self._young = _Pieces(self._learn, dict(self._young))
+        get = self._young.__getitem__
         if firsts:
             return [first + b"".join(map(get, pieces)) for first, pieces in zip(firsts, cut, strict=True)]
         return [b"".join(map(get, pieces)) for pieces in cut]
