@@ -117,8 +117,10 @@ def simhash_components(docs: DataFrame, width: int = 3, radius: int = 2) -> Data
 
 
 #: Short fingerprints of a text: their number, and bits of each. At a similarity of 0.8 one of them meets with probability
-#: 0.44 (0.55 for at most two differing bits, 0.8 for the min-hash), so one of eight with 0.99.
-TABLES, BITS = 8, 16
+#: 0.44 (0.55 for at most two differing bits, 0.8 for the min-hash), so one of sixteen with 0.9999.
+TABLES, BITS = 16, 16
+#: Members of a bucket that others are compared with: this many times as many after each round.
+GROWTH = 4
 #: Pairs further apart in 128 SimHash bits are not compared: expected are 20 at a similarity of 0.8, deviation 4.
 FAR = 40
 _CODES = [f"c{t}" for t in range(TABLES)]
@@ -140,16 +142,16 @@ def _signature(raw: bytes, width: int) -> tuple[int, ...]:
     first = np.fromiter((xxh64_intdigest(x, 42) for x in found), np.uint64, len(found))
     if not len(first):
         return (0,) * (3 + TABLES)
-    second = mix(first + np.uint64(0x9E3779B97F4A7C15))
-    sums = np.zeros(128, np.int64)
+    words = np.stack([first, *(mix(first + np.uint64(i * 0x9E3779B97F4A7C15 % (1 << 64))) for i in range(1, TABLES * BITS // 64))], axis=1)
+    sums = np.zeros(TABLES * BITS, np.int64)
     for at in range(0, len(first), 65536):
-        both = np.stack((first[at : at + 65536], second[at : at + 65536]), axis=1)
-        sums += np.unpackbits(both.view(np.uint8).reshape(-1, 16), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+        bits = np.unpackbits(words[at : at + 65536].view(np.uint8), axis=1, bitorder="little")
+        sums += bits.sum(axis=0, dtype=np.int64)
     sides = np.packbits(2 * sums > len(first), bitorder="little").view(np.uint64)
     least = np.array([mix(first ^ np.uint64(pow(0x7FB5D329728EA185, t + 2, 1 << 64))).min() for t in range(TABLES)])
     salts = mix(least ^ np.arange(TABLES, dtype=np.uint64))
     codes = salts ^ sides.view(np.uint16)[:TABLES].astype(np.uint64)
-    return (len(first), *sides.view(np.int64).tolist(), *codes.view(np.int64).tolist())
+    return (len(first), *sides[:2].view(np.int64).tolist(), *codes.view(np.int64).tolist())
 
 
 def _signatures(docs: DataFrame, width: int) -> DataFrame:
@@ -188,11 +190,12 @@ def _verified(pairs: DataFrame, texts: DataFrame, width: int, similarity: float)
     return pairs.join(right, "b").join(left, "a").select("a", "b", "x", "y").mapInArrow(run, "a long, b long").distinct()
 
 
-def similar_links(signed: DataFrame, docs: DataFrame, width: int, similarity: float) -> DataFrame:
-    """Links a < b between texts (named by their smallest doc_id) of at least the similarity.
+def similar_labels(signed: DataFrame, docs: DataFrame, width: int, similarity: float) -> DataFrame:
+    """node, label of texts (named by their smallest doc_id) that are linked to others: the smallest name linked to them.
 
-    Every text is compared with the first of each bucket it stands in; texts that are still without a link are then
-    compared with the next ones, ever more each round, until a link is found or its buckets are at their ends."""
+    Members of a bucket are compared with its first one, then with the next ones, ever more each round. A pair is left
+    out only if it was compared before or both its ends have one label already, and labels are found anew each round; so
+    what is linked at the end is what comparing all pairs that meet would link."""
     bucket = Window.partitionBy("bucket")
     flips = F.array(*[F.lit(m).cast("long") for m in [0, *(1 << i for i in range(BITS))]])
     ball = F.explode(F.array(*_CODES)).alias("code")
@@ -202,23 +205,27 @@ def similar_links(signed: DataFrame, docs: DataFrame, width: int, similarity: fl
     names = met.select("node").distinct()
     marks = materialize(names.join(signed.hint("merge"), "node").select("node", "n", "s0", "s1"))
     texts = materialize(docs.withColumnRenamed("doc_id", "node").join(names.hint("merge"), "node", "left_semi"))
-    end = met.agg(F.max("pos")).first()[0] or 0
-    first, last, found, waiting = 1, 1, None, met
-    while first <= end:
-        leaders = met.where(F.col("pos").between(first, last)).select("bucket", F.col("node").alias("leader"))
-        pairs = waiting.join(leaders, "bucket").where("node <> leader").select(F.least("node", "leader").alias("a"), F.greatest("node", "leader").alias("b")).distinct()
-        x, y = (marks.select(*[F.col(c).alias(f"{side}_{c}") for c in marks.columns]) for side in "xy")
+    x, y = (marks.select(*[F.col(c).alias(f"{side}_{c}") for c in marks.columns]) for side in "xy")
+    apart = F.bit_count(F.col("x_s0").bitwiseXOR(F.col("y_s0"))) + F.bit_count(F.col("x_s1").bitwiseXOR(F.col("y_s1")))
+    labels = signed.select("node", F.col("node").alias("label")).where("false")
+    waiting, compared, last = met.withColumn("label", F.col("node")), None, 0
+    while waiting.limit(1).count():
+        last = max(1, GROWTH * last)
+        leaders = waiting.where(F.col("pos") <= last).select("bucket", F.col("node").alias("leader"), F.col("pos").alias("at"), F.col("label").alias("its"))
+        pairs = waiting.join(leaders, "bucket").where("pos > at and label <> its").select(F.least("node", "leader").alias("a"), F.greatest("node", "leader").alias("b")).distinct()
         near = pairs.join(x, F.col("a") == F.col("x_node")).join(y, F.col("b") == F.col("y_node"))
-        apart = F.bit_count(F.col("x_s0").bitwiseXOR(F.col("y_s0"))) + F.bit_count(F.col("x_s1").bitwiseXOR(F.col("y_s1")))
         near = near.where((apart <= FAR) & (F.least("x_n", "y_n") >= similarity * F.greatest("x_n", "y_n") - 1e-9)).select("a", "b")
+        near = materialize(near if compared is None else near.join(compared.hint("merge"), ["a", "b"], "left_anti"))
+        compared = near if compared is None else compared.union(near)
         good = materialize(_verified(near, texts, width, similarity))
-        found = good if found is None else found.union(good)
-        linked = found.select(F.explode(F.array("a", "b")).alias("node")).distinct()
-        waiting = materialize(waiting.join(linked.hint("merge"), "node", "left_anti"))
-        first, last = last + 1, 16 * last
-        if not waiting.limit(1).count():
-            break
-    return found.distinct() if found is not None else signed.select(F.col("node").alias("a"), F.col("node").alias("b")).where("false")
+        if good.limit(1).count():
+            labels = components(good.union(labels.where("node <> label").select(F.col("label").alias("a"), F.col("node").alias("b"))))
+        # pairs with members up to `last` are done; buckets whose other members have one label are as well
+        known = labels.withColumnRenamed("label", "known").hint("merge")
+        rest = waiting.where(F.col("pos") > last).join(known, "node", "left").select("bucket", "node", "pos", F.coalesce("known", "node").alias("label"))
+        rest = rest.withColumn("least", F.min("label").over(bucket)).withColumn("most", F.max("label").over(bucket)).where("least < most")
+        waiting = materialize(rest.drop("least", "most"))
+    return labels
 
 
 def similar_components(docs: DataFrame, width: int = 5, similarity: float = 0.8) -> DataFrame:
@@ -230,7 +237,7 @@ def similar_components(docs: DataFrame, width: int = 5, similarity: float = 0.8)
     signed = materialize(_signatures(slim, width))
     same = signed.groupBy("h0", "h1").agg(F.min("doc_id").alias("node"), *[F.first(c).alias(c) for c in _SIGNED[3:]])
     same = materialize(same)
-    labels = components(similar_links(same.where("node is not null"), slim, width, similarity))
+    labels = similar_labels(same.where("node is not null"), slim, width, similarity)
     labels = labels.withColumnRenamed("node", "_node").hint("merge")
     named = same.join(labels, F.col("node") == F.col("_node"), "left").select("h0", "h1", F.coalesce("label", "node").alias("component_id"))
     return signed.join(named.hint("merge"), ["h0", "h1"]).select("doc_id", "component_id")

@@ -147,6 +147,36 @@ def test_similar_components(spark, docs, empty):
     assert simhash.similar_components(empty).count() == 0
 
 
+def test_similar_groups_joined_by_few_pairs(spark):
+    rng = np.random.default_rng(8)
+    rows, family = [], {}
+    for f in range(60):  # two clusters of edited copies; few pairs across them are similar
+        words = [f"f{f}w{i}" for i in range(150)]
+        for side in range(2):
+            core = list(words)
+            for at in range(2 + 75 * side, 2 + 75 * side + 5):
+                core[at] = f"side{side}_{at}"
+            for copy in range(4):
+                edited = list(core)
+                for at in rng.integers(0, 150, min(copy, 1)):
+                    edited[at] = f"edit{side}_{copy}"
+                rows.append((int(rng.integers(1 << 40)), " ".join(edited)))
+                family[rows[-1][0]] = f
+    got = {r["doc_id"]: r["component_id"] for r in simhash.similar_components(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+
+    def shingles(text):
+        w = text.split()
+        return {tuple(w[i : i + 5]) for i in range(len(w) - 4)}
+
+    sets = [(d, shingles(t)) for d, t in rows]
+    label = {d: d for d, _ in sets}
+    pairs = [(d, e) for d, x in sets for e, y in sets if family[d] == family[e] and d < e and 10 * len(x & y) >= 8 * len(x | y)]
+    while any(label[d] != label[e] for d, e in pairs):
+        for d, e in pairs:
+            label[d] = label[e] = min(label[d], label[e])
+    assert got == label
+
+
 def test_chat(spark, empty):
     odd = "</s>[INST] <|turn|>\\l\\s \\ <|end|>\n [/INST]"
     rows = [(1, 0, "user", odd), (1, 1, "assistant", odd * 9), (2, 5, None, None), (2, 1, "assistant", "é"), (None, 0, "user", "x"), (3, 0, "a\nb<|", "t")]
