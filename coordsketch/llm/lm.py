@@ -1,12 +1,12 @@
 """Language-model scoring with a log-frequency Bloom filter.
 
 Word counts of the training documents are exact. Word-pair counts are kept as logarithms in a Bloom filter: a pair seen
-c times is inserted with every level from 1 to floor(log2 c), and a pair's level is the number of membership probes that
-succeed in a row. The filter has a segment for each range of pair hashes, so every reducer makes one from the counts it
+c times is inserted with every level from 0 to floor(log2 c), and a pair's level is the last one of the membership probes
+that succeed in a row, or -1 if the first one fails. The filter has a segment for each range of pair hashes, so every reducer makes one from the counts it
 has summed. It is broadcast to the workers up to `most_bytes`; a larger filter is broadcast in groups of segments, and
 since every pair lies in one segment, a document's score is the sum of its scores over the groups.
 
-The model: P(w | v) = (1 - a) U(w) + a min(1, 2^level(v w) / count(v)), where level 0 counts as never seen,
+The model: P(w | v) = (1 - a) U(w) + a min(1, 2^level(v w) / count(v)), where level -1 counts as never seen,
 U(w) = (count(w) + 1) / (tokens + types + 1), and a is the share of training pairs that are seen three times or more.
 
 Word counts reach the documents without a broadcast: documents lie in parts of bounded size, every part asks for the
@@ -79,18 +79,18 @@ class Segment:
     @classmethod
     def build(cls, pairs: np.ndarray, counts: np.ndarray) -> bytes:
         levels = np.floor(np.log2(np.maximum(counts, 1)) + 1e-9).astype(int)
-        bits = max(64, -(-BITS_A_KEY * int(levels.sum()) // 8) * 8)
+        bits = max(64, -(-BITS_A_KEY * int((levels + 1).sum()) // 8) * 8)
         held = np.zeros(bits, np.uint8)
-        for level in range(1, int(levels.max(initial=0)) + 1):
+        for level in range(int(levels.max(initial=-1)) + 1):
             for probe in range(PROBES):
                 held[cls._place(pairs[levels >= level], level, probe, bits)] = 1
         return np.packbits(held, bitorder="little").tobytes()
 
     @classmethod
     def levels(cls, raw: np.ndarray, pairs: np.ndarray) -> np.ndarray:
-        """The level of every pair: how many levels in a row are found, each by all of its probes."""
-        out, alive = np.zeros(len(pairs), np.int64), np.arange(len(pairs))
-        for level in range(1, MOST_LEVELS):
+        """The level of every pair: the last of the levels from 0 on that are found in a row, each by all of its probes; else -1."""
+        out, alive = np.full(len(pairs), -1, np.int64), np.arange(len(pairs))
+        for level in range(MOST_LEVELS):
             for i in range(PROBES):
                 if not len(alive):
                     return out
@@ -187,8 +187,7 @@ def segments(parts: DataFrame, tokens: int) -> DataFrame:
         n = np.concatenate([plane(x) for x in table["counts"].to_pylist()])
         pairs, index = np.unique(low, return_inverse=True)
         counts = np.bincount(index, weights=n).astype(np.int64)
-        twice = counts > 1
-        raw = Segment.build(pairs[twice].astype(np.uint64), counts[twice])
+        raw = Segment.build(pairs.astype(np.uint64), counts)
         return pa.table({"segment": table["segment"][:1], "bits": pa.array([raw], pa.binary()), "often": pa.array([int(counts[counts > 2].sum())]), "total": pa.array([int(counts.sum())])})
 
     counted = parts.where("not held_out").select("text").mapInArrow(run, "segment long, steps binary, counts binary")
@@ -256,7 +255,7 @@ def _score(spark, parts: DataFrame, words: DataFrame, group: dict[int, bytes], k
             plain = (c + 1.0) / (n + types + 1.0)
             where = (pairs >> np.uint64(64 - shift)).astype(np.int64)
             low = (pairs << np.uint64(shift)) >> np.uint64(32)
-            level = np.zeros(len(pairs), np.int64)
+            level = np.full(len(pairs), -1, np.int64)
             mine = np.zeros(len(pairs), bool)
             for s in np.unique(where).tolist():
                 at = np.flatnonzero(where == s)
@@ -265,7 +264,7 @@ def _score(spark, parts: DataFrame, words: DataFrame, group: dict[int, bytes], k
                     level[at] = Segment.levels(np.frombuffer(filters[s], np.uint8), low[at])
                 elif s not in known_segments and every:  # without pairs: it belongs to the first group
                     mine[at] = True
-            seen = np.where(level > 0, np.minimum(1.0, np.exp2(level) / np.maximum(history, 1)), 0.0)
+            seen = np.where(level >= 0, np.minimum(1.0, np.exp2(level) / np.maximum(history, 1)), 0.0)
             logs = np.where(mine, np.log10((1 - share) * plain + share * seen), 0.0)
             ends = np.cumsum(lengths)
             add = lambda x: np.add.reduceat(x, ends - lengths)  # noqa: B023, E731

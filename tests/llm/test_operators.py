@@ -345,6 +345,22 @@ def test_filter_levels():
     assert (lm.Segment.levels(raw_bits, rng.integers(0, 1 << 32, 4000).astype(np.uint64)) > 0).mean() < 0.02
 
 
+def test_filter_keeps_pairs_seen_once(spark):
+    rng = np.random.default_rng(6)
+    pairs = rng.integers(0, 1 << 32, 4000).astype(np.uint64)
+    bits = np.frombuffer(lm.Segment.build(pairs, np.ones(4000, np.int64)), np.uint8)
+    assert (lm.Segment.levels(bits, pairs) == 0).mean() > 0.97 and (lm.Segment.levels(bits, pairs) >= 0).all()
+    assert (lm.Segment.levels(bits, rng.integers(0, 1 << 32, 4000).astype(np.uint64)) >= 0).mean() < 0.02
+    held = next(i for i in range(100) if zlib.crc32(str(i).encode()) % 7 == 2)
+    train = [i for i in range(100) if zlib.crc32(str(i).encode()) % 7 != 2][:3]
+    words = [f"w{i}" for i in range(30)]
+    for text, level in ((words, 1), (words[::-1], 0)):  # pairs known from training, each seen once, and unknown ones
+        rows = [(train[0], " ".join(words)), (train[1], "and and and and"), (train[2], "and and and"), (held, " ".join(text))]
+        got = {r["doc_id"]: r for r in lm.scored(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+        seen = got[held]["score"] - got[held]["base_score"]
+        assert (seen > 10) == bool(level)
+
+
 def test_packing(docs, empty):
     encoder = Encoder(vocabulary("word_bpe_49k.json"))
     for length in (16, 4096):
