@@ -101,9 +101,9 @@ class Segment:
 
 
 def with_parts(docs: DataFrame) -> DataFrame:
-    """part, doc_id, text, held_out. A part is a fixed run of rows of a file, whatever the splits; else docs is written first."""
+    """part, row, doc_id, text, held_out. row is the row's number in its file; a part is a fixed run of rows of a file, whatever the splits; else docs is written first."""
     try:
-        named = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.xxhash64(F.col("_metadata.file_path"), F.floor(F.col("_metadata.row_index") / PART_ROWS)).alias("part"))
+        named = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.xxhash64(F.col("_metadata.file_path"), F.floor(F.col("_metadata.row_index") / PART_ROWS)).alias("part"), F.col("_metadata.row_index").alias("row"))
         named.schema  # noqa: B018  analysed here
     except Exception as e:
         if "_metadata" not in str(e):
@@ -273,7 +273,7 @@ def _score(spark, parts: DataFrame, words: DataFrame, group: dict[int, bytes], k
             columns[2].append(add(np.log10(plain)) * every)
             columns[3].append(add(logs))
         merged = [np.concatenate(x) for x in columns]
-        return pa.table({"part": docs["part"], "row": pa.array(np.arange(len(docs))), "doc_id": docs["doc_id"], "held_out": docs["held_out"], "n_tokens": pa.array(merged[0]), "n_known": pa.array(merged[1]), "train_tokens": pa.array(np.full(len(docs), n)), "base_score": pa.array(merged[2]), "score": pa.array(merged[3])})
+        return pa.table({"part": docs["part"], "row": docs["row"], "doc_id": docs["doc_id"], "held_out": docs["held_out"], "n_tokens": pa.array(merged[0]), "n_known": pa.array(merged[1]), "train_tokens": pa.array(np.full(len(docs), n)), "base_score": pa.array(merged[2]), "score": pa.array(merged[3])})
 
     schema = "part long, row long, doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
     return parts.groupBy("part").cogroup(words.select("part", "token", "count").groupBy("part")).applyInArrow(run, schema)

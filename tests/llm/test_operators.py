@@ -361,6 +361,21 @@ def test_filter_keeps_pairs_seen_once(spark):
         assert (seen > 10) == bool(level)
 
 
+def test_lm_sums_groups_by_row_whatever_their_order(spark, monkeypatch):
+    rows = [(i, f"same words in every text but {i} and {i * i % 7}") for i in range(40)]
+    frame = spark.createDataFrame(rows, "doc_id long, text string").coalesce(1)
+    once = {(r["doc_id"], r["n_tokens"], round(r["score"], 6)) for r in lm.scored(frame).collect()}
+    plain = lm._score
+
+    def turned(spark, parts, words, group, known, first, *rest):
+        order = F.col("doc_id") if first else F.col("doc_id").desc()
+        return plain(spark, parts.coalesce(1).sortWithinPartitions(order), words, group, known, first, *rest)
+
+    monkeypatch.setattr(lm, "_score", turned)
+    got = [(r["doc_id"], r["n_tokens"], round(r["score"], 6)) for r in lm.scored(frame, most_bytes=1).collect()]
+    assert len(got) == len(rows) and set(got) == once
+
+
 def test_packing(docs, empty):
     encoder = Encoder(vocabulary("word_bpe_49k.json"))
     for length in (16, 4096):
