@@ -16,6 +16,7 @@ tables give an empty result. Long texts are read whole. Extra columns are ignore
 
 from __future__ import annotations
 
+from bisect import bisect_left
 from collections import defaultdict
 from collections.abc import Iterator
 
@@ -138,22 +139,36 @@ class Index:
                     for j in first[left[h] : right[h]].tolist():
                         pairs[int(docs.owner[at[h]]), int(self.tokens.owner[j])].append((int(at[h]), j))
                 for key, hit in pairs.items():
-                    share = len({j for _, j in hit}) / totals[key[1]]
-                    if share >= SHARE and (kind := self._consistent(docs, hit, name, width)) and share > found.get(key, (0.0, ""))[0]:
-                        found[key] = (share, kind)
+                    if len({j for _, j in hit}) / totals[key[1]] >= SHARE:
+                        share, kind = self._consistent(docs, hit, name, width, totals[key[1]])
+                        if kind and share > found.get(key, (0.0, ""))[0]:
+                            found[key] = (share, kind)
         for (doc, item), (share, kind) in sorted(found.items()):
             yield doc, item, share, kind
 
-    def _consistent(self, docs: Tokens, hit: list[tuple[int, int]], name: str, width: int) -> str:
-        """copied, changed, or nothing if no run of windows fills the item's slots with one value each.
+    def _consistent(self, docs: Tokens, hit: list[tuple[int, int]], name: str, width: int, total: int) -> tuple[float, str]:
+        """The share of the item's windows, and copied, changed, or nothing if no alignment with a sufficient share fills the slots with one value each.
 
-        A document may hold an item many times, with other values each time, so hits are judged by their alignment."""
+        A document may hold an item many times, with other values each time, so hits are judged by their alignment: one shift
+        between document and item by itself, or with windows it lacks taken from the nearest other shifts (insertions)."""
         view = getattr(self.tokens, name)
-        by_shift: dict[int, list[tuple[int, int]]] = defaultdict(list)
+        by_shift: dict[int, set[int]] = defaultdict(set)
         for d, j in hit:
-            by_shift[(d - j) // (4 * WIDTH)].append((d, j))
-        best, most = "", 0
-        for group in by_shift.values():
+            by_shift[d - j].add(j)
+        places: dict[int, list[int]] = defaultdict(list)
+        for s in sorted(by_shift):
+            for j in by_shift[s]:
+                places[j].append(s)
+
+        def nearest(s: int, held: list[int]) -> int:
+            i = bisect_left(held, s)
+            return min(held[max(i - 1, 0) : i + 1], key=lambda x: abs(x - s))
+
+        need, best, most = SHARE * total - 1e-9, "", 0
+        tried = {tuple((s + j, j) for j in sorted(own)) for s, own in by_shift.items() if len(own) >= need}
+        if len(places) >= need:
+            tried |= {tuple((nearest(s, places[j]) + j, j) for j in sorted(places)) for s, own in by_shift.items() if len(own) < need}
+        for group in sorted(tried):
             forward: dict[bytes, bytes] = {}
             back: dict[bytes, bytes] = {}
             good = same = True
@@ -165,7 +180,7 @@ class Index:
                         same &= a == b
             if (good or same) and len(group) > most:
                 best, most = "copied" if same else "changed", len(group)
-        return best
+        return most / total, best
 
 
 def _blocks(benchmark: DataFrame) -> Iterator[list[tuple]]:

@@ -286,6 +286,19 @@ def test_decontamination(spark, docs, empty):
     assert decontaminate.leaks(rows, bench.where("false")).count() == 0
 
 
+def test_decontamination_judges_each_alignment(spark):
+    lines = "In this shop each red box holds 12 pens, each red box holds 30 caps and nobody counts them"
+    short = "every tall jar keeps 7 sweet plums inside"
+    bench = spark.createDataFrame([(1, lines), (2, short)], "item_id long, text string")
+    rows = [(n, "word " * n + lines) for n in range(20)] + [(50, lines.replace("12", "5").replace("30", "8"))]
+    rows += [(60, " ".join(short.replace("7", str(n)) for n in (11, 12, 13, 14))), (61, lines.replace("30", "12"))]
+    rows += [(62, lines.replace("holds 30", "really and truly holds 30")), (63, lines.replace("nobody", "surely " * 30 + "nobody"))]
+    got = {(r["doc_id"], r["item_id"]): r["kind"] for r in decontaminate.leaks(spark.createDataFrame(rows, "doc_id long, text string").coalesce(1), bench).collect()}
+    want = {(n, 1): "copied" for n in range(20)} | {(50, 1): "changed", (60, 2): "changed"}
+    assert {k: v for k, v in got.items() if k[0] < 61} == want
+    assert (61, 1) not in got
+
+
 def test_pii(docs, empty):
     patterns = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", "card": r"[0-9]([\x20-]?[0-9])+", "phone": r"\+[0-9][\x20().0-9-]+[0-9]"}
 
