@@ -1,16 +1,19 @@
 """Benchmark decontamination by template windows.
 
-Texts become sequences of tokens: runs of letters, lower-cased, and numbers. In the plain view numbers, and units right
-after numbers, are typed placeholders; in the name view, capitalised words inside sentences are placeholders as well.
+Texts become sequences of tokens: runs of letters, lower-cased, single Chinese or Japanese characters, and numbers. In the
+plain view numbers, and units right after numbers, are typed placeholders; in the name view, capitalised words are
+placeholders as well, but where a sentence begins only those that the benchmark never writes in lower case. In the exact
+view every token stands for itself, which finds items that are nearly all numbers.
 Windows of five tokens of the benchmark items are hashed, and every document's windows are looked up in them. An item is
-found in a document if at least 0.8 of its windows are, in either view, and if its slots are filled consistently: each
+found in a document if at least 0.8 of its windows are, in any view, and if its slots are filled consistently: each
 value that stands in slots of the item is replaced by one value throughout, and different values stay different. Equal
-values mean a copied item, others a re-parameterised one. A window with under three literal tokens is no evidence.
+values mean a copied item, others a re-parameterised one. A window with under three literal tokens is no evidence but in
+the exact view.
 
 The benchmark's windows are broadcast in blocks of bounded size; a larger benchmark takes more passes over the documents.
 
 Defined cases: null and short texts hold no windows and are clean; an item with fewer than five tokens is one window of
-its own length, and one without literal tokens is never found; repeated rows and repeated items give repeated rows; empty
+its own length, and found only if at least three of its tokens, or all, are literal; repeated rows and repeated items give repeated rows; empty
 tables give an empty result. Long texts are read whole. Extra columns are ignored.
 """
 
@@ -37,9 +40,11 @@ _STEP = np.uint64(0x9E3779B97F4A7C15)
 
 
 class Tokens:
-    """The tokens of a text column: bytes (lower case), start, end, owner, and the hashes of both views."""
+    """The tokens of a text column: bytes (lower case), start, end, owner, and the hashes of the views.
 
-    def __init__(self, column: pa.Array):
+    known: sorted hashes of words that are no names where a sentence begins; else those of the column itself."""
+
+    def __init__(self, column: pa.Array, known: np.ndarray | None = None):
         data, starts, lengths = flat_bytes(column)
         upper = (data >= 65) & (data <= 90)
         after = np.zeros(len(data), bool)
@@ -53,8 +58,10 @@ class Tokens:
         if len(data) > 2:
             point[1:-1] = ((data[1:-1] == 46) | (data[1:-1] == 44)) & digit[:-2] & digit[2:]
         kind = letter.astype(np.int8) + 2 * (digit | point).astype(np.int8)
+        single = _classify(data, kind)
         border = np.ones(len(data) + 1, bool)
         border[1:-1] = kind[1:] != kind[:-1]
+        border[single] = border[single + np.where(data[single] >= 0xF0, 4, 3)] = True
         border[np.minimum(starts, len(data))] = True
         edges = np.flatnonzero(border)
         keep = kind[edges[:-1]] > 0 if len(data) else np.zeros(0, bool)
@@ -66,8 +73,9 @@ class Tokens:
         if len(hashes):
             follows[1:] = number[:-1] & (self.owner[1:] == self.owner[:-1]) & (self.start[1:] - self.end[:-1] <= 1)
         unit = follows & np.isin(hashes, _unit_hashes())
+        self.exact = hashes
         self.plain = np.where(number, _NUMBER, np.where(unit, _UNIT, hashes))
-        # a name: upper case, then lower case, and no sentence begins there
+        # a name: upper case, then lower case, and no sentence begins there with a known word
         lead = self.start + after[np.minimum(self.start + 1, max(len(data) - 1, 0))] if len(data) else self.start
         second = np.minimum(lead + 1, max(len(data) - 1, 0))
         title = upper[lead] & ~upper[second] & letter[second] & (second < self.end) if len(data) else np.zeros(0, bool)
@@ -76,6 +84,13 @@ class Tokens:
             gap = np.zeros(len(data) + 1, np.int64)
             np.cumsum((data == 46) | (data == 33) | (data == 63) | (data == 10), out=gap[1:])
             opening[1:] = (gap[self.start[1:]] > gap[self.end[:-1]]) | (self.owner[1:] != self.owner[:-1])
+        if known is None:
+            known = np.unique(hashes[~upper[lead] & ~number]) if len(data) else hashes
+        self.known = known
+        if len(known):
+            opening &= known[np.minimum(np.searchsorted(known, hashes), len(known) - 1)] == hashes
+        else:
+            opening[:] = False
         self.named = np.where(title & ~opening & ~number & ~unit, _NAME, self.plain)
 
     def text(self, i: int) -> bytes:
@@ -87,14 +102,38 @@ class Tokens:
         if n <= 0:
             return np.zeros(0, np.int64), np.zeros(0, np.uint64)
         first = np.flatnonzero(self.owner[:n] == self.owner[width - 1 :])
-        literal = np.concatenate([[0], np.cumsum((view != _NUMBER) & (view != _UNIT) & (view != _NAME))])
-        first = first[literal[first + width] - literal[first] >= min(LEAST_LITERALS, width)]
+        if view is not self.exact or width < WIDTH:
+            least = self.plain if view is self.exact else view
+            literal = np.concatenate([[0], np.cumsum((least != _NUMBER) & (least != _UNIT) & (least != _NAME))])
+            first = first[literal[first + width] - literal[first] >= min(LEAST_LITERALS, width)]
         value = np.zeros(len(first), np.uint64)
         for i in range(width):
             value = value * _STEP + view[first + i]
         return first, mix(value + np.uint64(width))
 
 
+def _classify(data: np.ndarray, kind: np.ndarray) -> np.ndarray:
+    """Corrects kind for characters beyond ASCII: punctuation and symbols are 0, wide digits 2. First bytes of the
+    characters that are words of their own (Chinese ideographs and Japanese syllables)."""
+    found = []
+    for least, most, size in ((0xC2, 0xDF, 2), (0xE0, 0xEF, 3), (0xF0, 0xF4, 4)):
+        at = np.flatnonzero((data >= least) & (data <= most))
+        if not len(at):
+            continue
+        code = data[at].astype(np.int64) & (0x1F >> (size - 2))
+        for i in range(1, size):
+            code = code << 6 | (data[at + i] & 63)
+        between = lambda *spans: np.any([(code >= a) & (code <= b) for a, b in spans], axis=0)  # noqa: B023, E731
+        signs = between((0xA0, 0xA9), (0xAB, 0xB4), (0xB6, 0xB9), (0xBB, 0xBF), (0xD7, 0xD7), (0xF7, 0xF7), (0x2000, 0x206F), (0x2190, 0x2BFF), (0x3000, 0x3004), (0x3008, 0x3020), (0x3030, 0x3030), (0x30FB, 0x30FB), (0xFE10, 0xFE6F), (0xFF01, 0xFF0F), (0xFF1A, 0xFF20), (0xFF3B, 0xFF40), (0xFF5B, 0xFF65))
+        digits = between((0xFF10, 0xFF19))
+        for i in range(size):
+            kind[at[signs] + i] = 0
+            kind[at[digits] + i] = 2
+        if size > 2:
+            found.append(at[between((0x3005, 0x3007), (0x3041, 0x30FA), (0x30FC, 0x30FF), (0x3400, 0x4DBF), (0x4E00, 0x9FFF), (0xF900, 0xFAFF), (0xFF66, 0xFF9D), (0x20000, 0x3FFFF))])
+    return np.concatenate(found) if found else np.zeros(0, np.int64)
+
+
 _HELD: list[np.ndarray] = []
 
 
@@ -115,7 +154,7 @@ class Index:
         self.tokens = Tokens(pa.array([t or "" for _, t in items], pa.string()))
         sizes = np.bincount(self.tokens.owner, minlength=len(items))
         self.views = {}
-        for name in ("plain", "named"):
+        for name in ("plain", "named", "exact"):
             entries = []
             for width in sorted({min(WIDTH, int(s)) for s in sizes if s}):
                 first, value = self.tokens.windows(getattr(self.tokens, name), width)
@@ -178,11 +217,31 @@ class Index:
                         a, b = self.tokens.text(j + i), docs.text(d + i)
                         good &= forward.setdefault(a, b) == b and back.setdefault(b, a) == a
                         same &= a == b
+            if name == "exact":  # its windows are equal; the numbers between them have to be filled consistently
+                same = good = self._filled(docs, group)
             if (good or same) and len(group) > most:
                 best, most = "copied" if same else "changed", len(group)
         return most / total, best
 
 
+    def _filled(self, docs: Tokens, group: tuple[tuple[int, int], ...]) -> bool:
+        """Whether all numbers of the item that have a number at their place in the document have one value each there."""
+        (d, j), *_ = group
+        item, doc = self.tokens.owner[j], docs.owner[d]
+        start, end = np.searchsorted(self.tokens.owner, item, "left"), np.searchsorted(self.tokens.owner, item, "right")
+        forward: dict[bytes, bytes] = {}
+        back: dict[bytes, bytes] = {}
+        known = dict((j, d - j) for d, j in group)
+        shift = d - j
+        for j in range(start, end):
+            shift = known.get(j, shift)
+            if self.tokens.plain[j] == _NUMBER and 0 <= j + shift < len(docs.plain) and docs.owner[j + shift] == doc and docs.plain[j + shift] == _NUMBER:
+                a, b = self.tokens.text(j), docs.text(j + shift)
+                if forward.setdefault(a, b) != b or back.setdefault(b, a) != a:
+                    return False
+        return True
+
+
 def _blocks(benchmark: DataFrame) -> Iterator[list[tuple]]:
     block: list[tuple] = []
     size = 0
@@ -208,7 +267,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
             for piece in slices(batches, "text", 1_000_000):
                 index = index or Index(sent.value)
                 doc_ids = piece["doc_id"].to_pylist()
-                rows = [(doc_ids[d], index.ids[i], float(share), kind) for d, i, share, kind in index.search(Tokens(piece["text"]))]
+                rows = [(doc_ids[d], index.ids[i], float(share), kind) for d, i, share, kind in index.search(Tokens(piece["text"], index.tokens.known))]
                 if rows:
                     yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), (pa.int64(), pa.int64(), pa.float64(), pa.string()), strict=True)], ["doc_id", "item_id", "share", "kind"])
 

@@ -299,6 +299,16 @@ def test_decontamination_judges_each_alignment(spark):
     assert (61, 1) not in got
 
 
+def test_decontamination_of_numbers_names_and_unspaced_text(spark):
+    sums = "Compute 12 + 35 * 7 - 4"
+    tom = "Tom has 12 apples. Tom buys 30 more apples at the market. How many apples does Tom have?"
+    wide = "小明有十二个苹果，他在市场上又买了三十个苹果。请问他现在一共有多少个苹果？"
+    bench = spark.createDataFrame([(1, sums), (2, tom), (3, wide)], "item_id long, text string")
+    rows = [(1, "Now: " + sums + ". Good."), (2, "Then. " + tom.replace("Tom", "Maria")), (3, "前面的话。" + wide + "后面的话。"), (4, sums.replace("35", "36")), (5, wide[:12]), (6, tom.replace("does Tom", "does Ben").replace("Tom", "Maria"))]
+    got = {(r["doc_id"], r["item_id"]): r["kind"] for r in decontaminate.leaks(spark.createDataFrame(rows, "doc_id long, text string"), bench).collect()}
+    assert got == {(1, 1): "copied", (2, 2): "changed", (3, 3): "copied"}
+
+
 def test_pii(docs, empty):
     patterns = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", "card": r"[0-9]([\x20-]?[0-9])+", "phone": r"\+[0-9][\x20().0-9-]+[0-9]"}
 
