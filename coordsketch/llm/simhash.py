@@ -11,8 +11,9 @@ empty table gives an empty result. Extra columns are ignored.
 
 `similar_components` links texts by the Jaccard similarity of their word shingles instead. One 64-bit ball cannot reach
 0.8: fingerprints of such texts differ in about ten bits. So every text has several short fingerprints, each joined with
-a min-hash of the same shingles, which keeps unrelated texts apart at any corpus size. Every fingerprint emits its ball of
-radius one; colliding pairs are compared by 128 bits of SimHash first and then by their whole shingle sets.
+two min-hashes of the same shingles, which keep unrelated texts apart at any corpus size. Every fingerprint emits its ball
+of radius one. Colliding pairs are first tested by exact bounds on how many shingles they must differ in, within the join,
+and then compared by their whole shingle sets.
 """
 
 from __future__ import annotations
@@ -116,15 +117,16 @@ def simhash_components(docs: DataFrame, width: int = 3, radius: int = 2) -> Data
     return prints.join(whole, "fp").select("doc_id", "fp", "component_id")
 
 
-#: Short fingerprints of a text: their number, and bits of each. At a similarity of 0.8 one of them meets with probability
-#: 0.44 (0.55 for at most two differing bits, 0.8 for the min-hash), so one of sixteen with 0.9999.
-TABLES, BITS = 16, 16
-#: Members of a bucket that others are compared with: this many times as many after each round.
-GROWTH = 4
-#: Pairs further apart in 128 SimHash bits are not compared: expected are 20 at a similarity of 0.8, deviation 4.
-FAR = 40
+#: Short fingerprints of a text: their number, bits of each, and min-hashes joined with each. At a similarity of 0.8 one of
+#: them meets with probability 0.57 (0.89 for at most two differing bits, 0.64 for the min-hashes), so one of twelve with 0.99996.
+TABLES, BITS, MINS = 12, 8, 2
+#: Cells of the parity vector of a shingle set, 64 to a column.
+CELLS = 512
+#: One text in so many leads in the first and the second round; in the third one all others do.
+LEADERS = (256, 16)
 _CODES = [f"c{t}" for t in range(TABLES)]
-_SIGNED = ["doc_id", "h0", "h1", "n", "s0", "s1", *_CODES]
+_ODD = [f"p{i}" for i in range(CELLS // 64)]
+_SIGNED = ["doc_id", "h0", "h1", "n", *_ODD, *_CODES]
 
 
 def _shingle_set(raw: bytes, width: int) -> set[bytes]:
@@ -134,24 +136,30 @@ def _shingle_set(raw: bytes, width: int) -> set[bytes]:
     return set(map(b" ".join, zip(*(words[j:] for j in range(width)), strict=False)))
 
 
-def _signature(raw: bytes, width: int) -> tuple[int, ...]:
-    """n, s0, s1 and the codes of one text, as signed longs. n: distinct shingles."""
+_SALTS = [np.uint64(pow(0x7FB5D329728EA185, t + 2, 1 << 64)) for t in range(TABLES * MINS)]
+
+
+def _signature(raw: bytes, width: int) -> np.ndarray:
+    """n (distinct shingles), the parity vector and the codes of one text, as signed longs."""
     from xxhash import xxh64_intdigest
 
     found = _shingle_set(raw, width)
+    out = np.zeros(1 + len(_ODD) + TABLES, np.uint64)
     first = np.fromiter((xxh64_intdigest(x, 42) for x in found), np.uint64, len(found))
     if not len(first):
-        return (0,) * (3 + TABLES)
-    words = np.stack([first, *(mix(first + np.uint64(i * 0x9E3779B97F4A7C15 % (1 << 64))) for i in range(1, TABLES * BITS // 64))], axis=1)
-    sums = np.zeros(TABLES * BITS, np.int64)
+        return out.view(np.int64)
+    words = np.stack([mix(first + np.uint64(i * 0x9E3779B97F4A7C15 % (1 << 64))) for i in range(-(-TABLES * BITS // 64))], axis=1)
+    sums = np.zeros(64 * words.shape[1], np.int64)
     for at in range(0, len(first), 65536):
-        bits = np.unpackbits(words[at : at + 65536].view(np.uint8), axis=1, bitorder="little")
-        sums += bits.sum(axis=0, dtype=np.int64)
-    sides = np.packbits(2 * sums > len(first), bitorder="little").view(np.uint64)
-    least = np.array([mix(first ^ np.uint64(pow(0x7FB5D329728EA185, t + 2, 1 << 64))).min() for t in range(TABLES)])
-    salts = mix(least ^ np.arange(TABLES, dtype=np.uint64))
-    codes = salts ^ sides.view(np.uint16)[:TABLES].astype(np.uint64)
-    return (len(first), *sides[:2].view(np.int64).tolist(), *codes.view(np.int64).tolist())
+        sums += np.unpackbits(words[at : at + 65536].view(np.uint8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+    sides = np.packbits(2 * sums[: TABLES * BITS] > len(first), bitorder="little")
+    least = np.array([((first ^ salt) * salt).min() for salt in _SALTS]).reshape(TABLES, MINS)
+    salts = np.arange(TABLES, dtype=np.uint64)
+    for i in range(MINS):
+        salts = mix(salts + least[:, i])
+    odd = np.packbits((np.bincount((first >> np.uint64(64 - CELLS.bit_length() + 1)).astype(np.int64), minlength=CELLS) & 1).astype(np.uint8), bitorder="little")
+    out[0], out[1 : 1 + len(_ODD)], out[1 + len(_ODD) :] = len(first), odd.view(np.uint64), salts ^ sides.astype(np.uint64)
+    return out.view(np.int64)
 
 
 def _signatures(docs: DataFrame, width: int) -> DataFrame:
@@ -170,6 +178,14 @@ def _signatures(docs: DataFrame, width: int) -> DataFrame:
     return docs.mapInArrow(run, ", ".join(f"{c} long" for c in _SIGNED))
 
 
+def _possible(x: str, y: str, similarity: float) -> Column:
+    """Whether sets x and y can have the similarity. Exact: they differ in at least as many shingles as their sizes do, and in
+    at least as many as there are cells in which the parities of their shingles differ."""
+    most = (1 - similarity) / (1 + similarity) * (F.col(f"{x}.n") + F.col(f"{y}.n")) + 1e-9
+    apart = sum((F.bit_count(F.col(f"{x}.{p}").bitwiseXOR(F.col(f"{y}.{p}"))) for p in _ODD), F.lit(0))
+    return (F.abs(F.col(f"{x}.n") - F.col(f"{y}.n")) <= most) & (apart <= most)
+
+
 def _verified(pairs: DataFrame, texts: DataFrame, width: int, similarity: float) -> DataFrame:
     """The pairs a, b whose shingle sets have at least the similarity. texts: node, text."""
 
@@ -190,41 +206,72 @@ def _verified(pairs: DataFrame, texts: DataFrame, width: int, similarity: float)
     return pairs.join(right, "b").join(left, "a").select("a", "b", "x", "y").mapInArrow(run, "a long, b long").distinct()
 
 
+def _first_pairs(signed: DataFrame, similarity: float) -> DataFrame:
+    """a, b: every text with one other one, the smallest name of most of the unchanged codes that it shares."""
+    own = signed.select("node", F.explode(F.array(*_CODES)).alias("code"))
+    least = own.groupBy("code").agg(F.min("node").alias("leader"), F.count(F.lit(1)).alias("_of")).where("_of > 1").drop("_of")
+    led = own.join(least.hint("merge"), "code").where("node <> leader")
+    often = led.groupBy("node", "leader").agg(F.count(F.lit(1)).alias("times"))
+    chosen = often.groupBy("node").agg(F.max_by("leader", F.struct("times", -F.col("leader"))).alias("leader"))
+    marks = signed.select("node", "n", *_ODD)
+    near = chosen.join(marks.alias("x").hint("merge"), "node").select("leader", F.struct("node", "n", *_ODD).alias("x"))
+    near = near.join(marks.select(F.col("node").alias("leader"), F.struct("n", *_ODD).alias("y")).hint("merge"), "leader")
+    return near.where(_possible("x", "y", similarity)).select(F.col("leader").alias("a"), F.col("x.node").alias("b"))
+
+
+def _unlike(rows: DataFrame) -> DataFrame:
+    """The rows (bucket, label, ...) of buckets that hold more than one label."""
+    small = F.hash("bucket").alias("_b")
+    mixed = rows.select(small, "label").groupBy("_b").agg(F.min("label").alias("_lo"), F.max("label").alias("_hi")).where("_lo < _hi").select("_b")
+    return rows.withColumn("_b", F.hash("bucket")).join(mixed.hint("merge"), "_b", "left_semi").drop("_b")
+
+
 def similar_labels(signed: DataFrame, docs: DataFrame, width: int, similarity: float) -> DataFrame:
     """node, label of texts (named by their smallest doc_id) that are linked to others: the smallest name linked to them.
 
-    Members of a bucket are compared with its first one, then with the next ones, ever more each round. A pair is left
-    out only if it was compared before or both its ends have one label already, and labels are found anew each round; so
-    what is linked at the end is what comparing all pairs that meet would link."""
-    bucket = Window.partitionBy("bucket")
-    flips = F.array(*[F.lit(m).cast("long") for m in [0, *(1 << i for i in range(BITS))]])
-    ball = F.explode(F.array(*_CODES)).alias("code")
-    met = signed.select("node", ball).select("node", F.explode(F.transform(flips, lambda m: F.col("code").bitwiseXOR(m))).alias("bucket"))
-    met = met.withColumn("least", F.min("node").over(bucket)).withColumn("most", F.max("node").over(bucket)).where("least < most")
-    met = materialize(met.select("bucket", "node", F.row_number().over(bucket.orderBy("node")).alias("pos")).where("bucket is not null"))
-    names = met.select("node").distinct()
-    marks = materialize(names.join(signed.hint("merge"), "node").select("node", "n", "s0", "s1"))
-    texts = materialize(docs.withColumnRenamed("doc_id", "node").join(names.hint("merge"), "node", "left_semi"))
-    x, y = (marks.select(*[F.col(c).alias(f"{side}_{c}") for c in marks.columns]) for side in "xy")
-    apart = F.bit_count(F.col("x_s0").bitwiseXOR(F.col("y_s0"))) + F.bit_count(F.col("x_s1").bitwiseXOR(F.col("y_s1")))
-    labels = signed.select("node", F.col("node").alias("label")).where("false")
-    waiting, compared, last = met.withColumn("label", F.col("node")), None, 0
-    while waiting.limit(1).count():
-        last = max(1, GROWTH * last)
-        leaders = waiting.where(F.col("pos") <= last).select("bucket", F.col("node").alias("leader"), F.col("pos").alias("at"), F.col("label").alias("its"))
-        pairs = waiting.join(leaders, "bucket").where("pos > at and label <> its").select(F.least("node", "leader").alias("a"), F.greatest("node", "leader").alias("b")).distinct()
-        near = pairs.join(x, F.col("a") == F.col("x_node")).join(y, F.col("b") == F.col("y_node"))
-        near = near.where((apart <= FAR) & (F.least("x_n", "y_n") >= similarity * F.greatest("x_n", "y_n") - 1e-9)).select("a", "b")
-        near = materialize(near if compared is None else near.join(compared.hint("merge"), ["a", "b"], "left_anti"))
-        compared = near if compared is None else compared.union(near)
-        good = materialize(_verified(near, texts, width, similarity))
-        if good.limit(1).count():
-            labels = components(good.union(labels.where("node <> label").select(F.col("label").alias("a"), F.col("node").alias("b"))))
-        # pairs with members up to `last` are done; buckets whose other members have one label are as well
-        known = labels.withColumnRenamed("label", "known").hint("merge")
-        rest = waiting.where(F.col("pos") > last).join(known, "node", "left").select("bucket", "node", "pos", F.coalesce("known", "node").alias("label"))
-        rest = rest.withColumn("least", F.min("label").over(bucket)).withColumn("most", F.max("label").over(bucket)).where("least < most")
-        waiting = materialize(rest.drop("least", "most"))
+    Every text is first compared with one promising other one, so large groups of near copies have one label early. Then
+    balls are emitted, and all pairs that meet in a bucket with unlike labels are compared, in the round in which one of
+    them leads: few texts lead in the first round, the rest in the last, and labels are found anew after each. A pair is
+    left out only if its labels are equal by then or an exact bound says that it is not similar; so what is linked at the
+    end is what comparing all pairs that meet would link."""
+    none = signed.select("node", F.col("node").alias("label")).where("false")
+
+    def relabel(old: DataFrame, pairs: DataFrame) -> tuple[DataFrame, bool]:
+        good = materialize(_verified(pairs, texts, width, similarity))
+        if not good.limit(1).count():
+            return old, False
+        return components(good.union(old.where("node <> label").select(F.col("label").alias("a"), F.col("node").alias("b")))), True
+
+    def labelled(rows: DataFrame, labels: DataFrame) -> DataFrame:
+        known = labels.withColumnRenamed("label", "_known").hint("merge")
+        return rows.drop("label").join(known, "node", "left").withColumn("label", F.coalesce("_known", "node")).drop("_known")
+
+    begun = materialize(_first_pairs(signed, similarity))
+    texts = docs.withColumnRenamed("doc_id", "node")
+    texts = materialize(texts.join(begun.select(F.explode(F.array("a", "b")).alias("node")).distinct().hint("merge"), "node", "left_semi"))
+    labels, _ = relabel(none, begun)
+    flips = F.array(*[F.struct(F.lit(i).cast("byte").alias("flip"), F.lit(m).cast("long").alias("mask")) for i, m in enumerate([0, *(1 << i for i in range(BITS))])])
+    codes = labelled(signed.select("node", F.array(*_CODES).alias("codes")), labels)
+    ball = codes.select("node", "label", F.explode("codes").alias("code")).select("node", "label", F.explode(flips).alias("f"), "code")
+    met = _unlike(ball.select(F.col("code").bitwiseXOR(F.col("f.mask")).alias("bucket"), "node", "label", F.col("f.flip").alias("flip")))
+    marks = signed.select("node", "n", *_ODD).hint("merge")
+    waiting = materialize(met.join(marks, "node"))
+    more = waiting.select("node").distinct().join(texts.select("node").hint("merge"), "node", "left_anti")
+    texts = texts.unionByName(materialize(docs.withColumnRenamed("doc_id", "node").join(more.hint("merge"), "node", "left_semi")))
+    turn = F.xxhash64("node", F.lit("turn"))
+    rank = F.when(F.pmod(turn, F.lit(LEADERS[0])) == 0, 0).when(F.pmod(turn, F.lit(LEADERS[1])) == 0, 1).otherwise(2)
+    for r in range(len(LEADERS) + 1):
+        ranked = waiting.withColumn("rank", rank)
+        x, y = ranked.where(F.col("rank") >= r).alias("x"), ranked.where(F.col("rank") == r).alias("y")
+        # two texts meet in several variants of one code, and count in one: both unchanged, or the flip of the lesser name first
+        low = F.col("x.node") < F.col("y.node")
+        once = (F.when(low, F.col("x.flip")).otherwise(F.col("y.flip")) < F.when(low, F.col("y.flip")).otherwise(F.col("x.flip"))) | ((F.col("x.flip") == 0) & (F.col("y.flip") == 0))
+        ordered = (F.col("x.rank") > r) | low
+        met = x.join(y, (F.col("x.bucket") == F.col("y.bucket")) & (F.col("x.label") != F.col("y.label")) & once & ordered & _possible("x", "y", similarity))
+        pairs = materialize(met.select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct())
+        labels, new = relabel(labels, pairs)
+        if new and r < len(LEADERS):
+            waiting = materialize(_unlike(labelled(waiting, labels)))
     return labels
 
 
@@ -235,12 +282,12 @@ def similar_components(docs: DataFrame, width: int = 5, similarity: float = 0.8)
     linked to nothing and have a null component."""
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     signed = materialize(_signatures(slim, width))
-    same = signed.groupBy("h0", "h1").agg(F.min("doc_id").alias("node"), *[F.first(c).alias(c) for c in _SIGNED[3:]])
-    same = materialize(same)
+    same = signed.groupBy("h0", "h1").agg(F.min("doc_id").alias("node"), F.first(F.struct(*_SIGNED[3:])).alias("s"))
+    same = materialize(same.select("h0", "h1", "node", "s.*"))
     labels = similar_labels(same.where("node is not null"), slim, width, similarity)
     labels = labels.withColumnRenamed("node", "_node").hint("merge")
     named = same.join(labels, F.col("node") == F.col("_node"), "left").select("h0", "h1", F.coalesce("label", "node").alias("component_id"))
-    return signed.join(named.hint("merge"), ["h0", "h1"]).select("doc_id", "component_id")
+    return signed.select("doc_id", "h0", "h1").join(named.hint("merge"), ["h0", "h1"]).select("doc_id", "component_id")
 
 
 def query(spark, sf_dir: str) -> DataFrame:
