@@ -122,8 +122,10 @@ def simhash_components(docs: DataFrame, width: int = 3, radius: int = 2) -> Data
 TABLES, BITS, MINS = 12, 8, 2
 #: Cells of the parity vector of a shingle set, 64 to a column.
 CELLS = 512
-#: One text in so many leads in the first and the second round; in the third one all others do.
-LEADERS = (256, 16)
+#: One text in so many leads in the first round; in the second one all others do.
+LEADERS = 16
+#: Names of texts up to which they are broadcast (counted first): 8 bytes each.
+MOST_NAMES = 500_000
 _CODES = [f"c{t}" for t in range(TABLES)]
 _ODD = [f"p{i}" for i in range(CELLS // 64)]
 _SIGNED = ["doc_id", "h0", "h1", "n", *_ODD, *_CODES]
@@ -220,10 +222,16 @@ def _first_pairs(signed: DataFrame, similarity: float) -> DataFrame:
 
 
 def _unlike(rows: DataFrame) -> DataFrame:
-    """The rows (bucket, label, ...) of buckets that hold more than one label."""
-    small = F.hash("bucket").alias("_b")
-    mixed = rows.select(small, "label").groupBy("_b").agg(F.min("label").alias("_lo"), F.max("label").alias("_hi")).where("_lo < _hi").select("_b")
-    return rows.withColumn("_b", F.hash("bucket")).join(mixed.hint("merge"), "_b", "left_semi").drop("_b")
+    """The rows (bucket, label, ...) of buckets that hold more than one label, without the label."""
+    mixed = rows.select(F.hash("bucket").alias("_b"), "label").groupBy("_b").agg(F.min("label").alias("_lo"), F.max("label").alias("_hi")).where("_lo < _hi").select("_b")
+    slim = rows.drop("label")
+    return slim.join(mixed.hint("merge"), F.hash(slim["bucket"]) == mixed["_b"], "left_semi")
+
+
+def _texts(docs: DataFrame, names: DataFrame) -> DataFrame:
+    """node, text of the names (node). A few names go to the documents; else both meet."""
+    few = names.limit(MOST_NAMES + 1).count() <= MOST_NAMES
+    return docs.withColumnRenamed("doc_id", "node").join(names.hint("broadcast" if few else "merge"), "node", "left_semi")
 
 
 def similar_labels(signed: DataFrame, docs: DataFrame, width: int, similarity: float) -> DataFrame:
@@ -231,13 +239,14 @@ def similar_labels(signed: DataFrame, docs: DataFrame, width: int, similarity: f
 
     Every text is first compared with one promising other one, so large groups of near copies have one label early. Then
     balls are emitted, and all pairs that meet in a bucket with unlike labels are compared, in the round in which one of
-    them leads: few texts lead in the first round, the rest in the last, and labels are found anew after each. A pair is
+    them leads: few texts lead in the first round, the rest in the second, and labels are found anew in between. A pair is
     left out only if its labels are equal by then or an exact bound says that it is not similar; so what is linked at the
     end is what comparing all pairs that meet would link."""
     none = signed.select("node", F.col("node").alias("label")).where("false")
 
     def relabel(old: DataFrame, pairs: DataFrame) -> tuple[DataFrame, bool]:
-        good = materialize(_verified(pairs, texts, width, similarity))
+        names = materialize(pairs.select(F.explode(F.array("a", "b")).alias("node")).distinct())
+        good = materialize(_verified(pairs, _texts(docs, names), width, similarity))
         if not good.limit(1).count():
             return old, False
         return components(good.union(old.where("node <> label").select(F.col("label").alias("a"), F.col("node").alias("b")))), True
@@ -247,20 +256,16 @@ def similar_labels(signed: DataFrame, docs: DataFrame, width: int, similarity: f
         return rows.drop("label").join(known, "node", "left").withColumn("label", F.coalesce("_known", "node")).drop("_known")
 
     begun = materialize(_first_pairs(signed, similarity))
-    texts = docs.withColumnRenamed("doc_id", "node")
-    texts = materialize(texts.join(begun.select(F.explode(F.array("a", "b")).alias("node")).distinct().hint("merge"), "node", "left_semi"))
     labels, _ = relabel(none, begun)
     flips = F.array(*[F.struct(F.lit(i).cast("byte").alias("flip"), F.lit(m).cast("long").alias("mask")) for i, m in enumerate([0, *(1 << i for i in range(BITS))])])
     codes = labelled(signed.select("node", F.array(*_CODES).alias("codes")), labels)
     ball = codes.select("node", "label", F.explode("codes").alias("code")).select("node", "label", F.explode(flips).alias("f"), "code")
     met = _unlike(ball.select(F.col("code").bitwiseXOR(F.col("f.mask")).alias("bucket"), "node", "label", F.col("f.flip").alias("flip")))
-    marks = signed.select("node", "n", *_ODD).hint("merge")
-    waiting = materialize(met.join(marks, "node"))
-    more = waiting.select("node").distinct().join(texts.select("node").hint("merge"), "node", "left_anti")
-    texts = texts.unionByName(materialize(docs.withColumnRenamed("doc_id", "node").join(more.hint("merge"), "node", "left_semi")))
-    turn = F.xxhash64("node", F.lit("turn"))
-    rank = F.when(F.pmod(turn, F.lit(LEADERS[0])) == 0, 0).when(F.pmod(turn, F.lit(LEADERS[1])) == 0, 1).otherwise(2)
-    for r in range(len(LEADERS) + 1):
+    waiting = materialize(met)
+    marks = labelled(signed.select("node", "n", *_ODD), labels)
+    waiting = materialize(waiting.join(marks.hint("merge"), "node"))
+    rank = F.when(F.pmod(F.xxhash64("node", F.lit("turn")), F.lit(LEADERS)) == 0, 0).otherwise(1)
+    for r in range(2):
         ranked = waiting.withColumn("rank", rank)
         x, y = ranked.where(F.col("rank") >= r).alias("x"), ranked.where(F.col("rank") == r).alias("y")
         # two texts meet in several variants of one code, and count in one: both unchanged, or the flip of the lesser name first
@@ -270,8 +275,10 @@ def similar_labels(signed: DataFrame, docs: DataFrame, width: int, similarity: f
         met = x.join(y, (F.col("x.bucket") == F.col("y.bucket")) & (F.col("x.label") != F.col("y.label")) & once & ordered & _possible("x", "y", similarity))
         pairs = materialize(met.select(F.least("x.node", "y.node").alias("a"), F.greatest("x.node", "y.node").alias("b")).distinct())
         labels, new = relabel(labels, pairs)
-        if new and r < len(LEADERS):
-            waiting = materialize(_unlike(labelled(waiting, labels)))
+        if new and not r:
+            waiting = labelled(waiting, labels)
+            mixed = materialize(_unlike(waiting.select("bucket", "label")).distinct())
+            waiting = materialize(waiting.join(mixed.hint("merge"), "bucket", "left_semi"))
     return labels
 
 
