@@ -11,13 +11,14 @@ string, nor those of other common templates, can be formed by a text.
 
 Defined cases: null text, role and kind are an empty text, an empty role and `message`; events of equal seq fold in
 the order of kind, role and text; a delta, edit or regenerate of an unknown turn starts it; a null conv_id is a
-conversation of its own; repeated rows are separate events (a repeated message restarts its turn with the same text);
-an empty log gives an empty result. Extra columns are ignored. One rendered conversation must fit in a row.
+conversation of its own; repeated events of a log fold as they stand (a repeated message restarts its turn with the same
+text), while every row of a table of turns is a turn of its own, repeated rows and rows without a turn included (the
+latter come first); an empty log gives an empty result. Extra columns are ignored. One rendered conversation must fit in a row.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import load
@@ -41,10 +42,14 @@ def unescape(text: Column) -> Column:
 
 
 def events_of(conversations: DataFrame, piece: int = 64) -> DataFrame:
-    """Turns as a log: the start of each text as a message, the rest as streamed deltas of `piece` characters."""
+    """Rows of turns as a log: the start of each text as a message, the rest as streamed deltas of `piece` characters.
+
+    A row's turn in the log is its place among the conversation's rows, by turn, role and text."""
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    place = F.row_number().over(Window.partitionBy(F.col("conv_id").cast("long")).orderBy(F.col("turn").cast("long"), F.coalesce(F.col("role").cast("string"), F.lit("")), text)).cast("long")
     cut = F.transform(F.sequence(F.lit(0), F.greatest(F.length(text) - 1, F.lit(0)).cast("int"), F.lit(piece)), lambda i: F.substring(text, i + 1, F.lit(piece)))
-    base = conversations.select(F.col("conv_id").cast("long").alias("conv_id"), F.col("turn").cast("long").alias("turn"), F.coalesce(F.col("role").cast("string"), F.lit("")).alias("role"), F.posexplode(cut).alias("step", "text"))
+    base = conversations.select(F.col("conv_id").cast("long").alias("conv_id"), place.alias("turn"), F.coalesce(F.col("role").cast("string"), F.lit("")).alias("role"), text.alias("text"))
+    base = base.select("conv_id", "turn", "role", F.posexplode(cut).alias("step", "text"))
     kind = F.when(F.col("step") == 0, F.lit("message")).otherwise(F.lit("delta"))
     return base.select("conv_id", F.struct("turn", "step").alias("seq"), "turn", kind.alias("kind"), "role", "text")
 
