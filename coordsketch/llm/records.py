@@ -8,11 +8,12 @@ bits otherwise; a flag byte after doc_id says which (2 or 4), and a second one w
 
 Documents are dealt out by ranges of doc_id, and each task sorts its range and writes one file, part-NNNNN.rec, and its
 index, part-NNNNN.idx: (doc_id, offset, frame length) as three signed 64-bit integers a record, so a reader can fetch
-records in any order without scanning. Files are written under a name of their attempt and renamed when whole, so a lost
-or repeated task leaves no torn file. Files go through Arrow's file systems: any URI that they open works.
+records in any order without scanning. Both carry the name of the attempt that wrote them, part-NNNNN-TAG, and the table
+that write_records returns names the attempts that count, so an index always fits its file, and what a lost or repeated task
+has left is never read. Files go through Arrow's file systems: any URI that they open works.
 
-Defined cases: a null text is an empty one and has only its end id; a null doc_id sorts first; repeated rows become
-repeated records; an empty table gives no records. Ids and texts are never cut.
+Defined cases: a null text is an empty one and has only its end id; a null doc_id sorts first; rows of equal doc_id are
+in the order of a hash of their text; repeated rows become repeated records; an id that 16 bits can't hold raises an error; an empty table gives no records. Ids and texts are never cut.
 """
 
 from __future__ import annotations
@@ -59,7 +60,12 @@ def unframe(stream) -> Iterator[bytes]:
 
 def pack(doc_id: int | None, ids: bytes, width: int) -> bytes:
     """ids: unsigned 32-bit little-endian. Narrowed to 16 bits if width is 2."""
-    return _KEY.pack(doc_id or 0, width, doc_id is None) + (np.frombuffer(ids, "<u4").astype("<u2").tobytes() if width == 2 else ids)
+    if width == 2:
+        held = np.frombuffer(ids, "<u4")
+        if len(held) and held.max() > 0xFFFF:
+            raise ValueError(f"id {held.max()} does not fit 16 bits")
+        ids = held.astype("<u2").tobytes()
+    return _KEY.pack(doc_id or 0, width, doc_id is None) + ids
 
 
 def unpack(payload: bytes) -> tuple[int | None, np.ndarray]:
@@ -73,8 +79,12 @@ def _place(uri: str):
     return fs.FileSystem.from_uri(uri)
 
 
-def write_records(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 2, width: int = 2, partitions: int | None = None) -> DataFrame:
-    """Writes docs to record and index files in folder; returns part, path, records, ids (in the order of doc_id)."""
+def write_records(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 2, width: int | None = None, partitions: int | None = None) -> DataFrame:
+    """Writes docs to record and index files in folder; returns part, path, records, ids (in the order of doc_id).
+
+    width: bytes of an id, 2 or 4; by default 2 if all ids of the vocabulary and end_id fit."""
+    if width is None:
+        width = 2 if max(encoder(tokenizer).most, end_id) <= 0xFFFF else 4
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
@@ -82,10 +92,10 @@ def write_records(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 2,
         part, encode, end = TaskContext.get().partitionId(), encoder(tokenizer).encode, np.array([end_id], "<u4").tobytes()
         system, root = _place(folder)
         system.create_dir(root, recursive=True)
-        name, tag = f"{root}/part-{part:05d}", uuid.uuid4().hex
+        path = f"part-{part:05d}-{uuid.uuid4().hex}"
         index: list[tuple[int, int, int]] = []
         at = total = 0
-        with system.open_output_stream(f"{name}.rec.{tag}") as out:
+        with system.open_output_stream(f"{root}/{path}.rec") as out:
             for piece in slices(batches, "text", 1_000_000):
                 texts = [x or "" for x in piece["text"].to_pylist()]
                 block = []
@@ -95,16 +105,15 @@ def write_records(docs: DataFrame, folder: str, tokenizer: str, end_id: int = 2,
                     index.append((doc or 0, at, len(block[-1])))
                     at += len(block[-1])
                 out.write(b"".join(block))
-        with system.open_output_stream(f"{name}.idx.{tag}") as out:
+        with system.open_output_stream(f"{root}/{path}.idx") as out:
             out.write(np.array(index, INDEX_ROW).tobytes())
-        for kind in ("idx", "rec"):
-            system.move(f"{name}.{kind}.{tag}", f"{name}.{kind}")
         if index:
-            yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([f"part-{part:05d}"]), pa.array([len(index)]), pa.array([total])], ["part", "path", "records", "ids"])
+            yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([path]), pa.array([len(index)]), pa.array([total])], ["part", "path", "records", "ids"])
 
     slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     count = partitions or int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return slim.repartitionByRange(count, "doc_id").sortWithinPartitions("doc_id").mapInArrow(run, "part int, path string, records long, ids long")
+    order = ("doc_id", F.xxhash64("text"))  # the hash cuts runs of one doc_id, too
+    return slim.repartitionByRange(count, *order).sortWithinPartitions(*order).mapInArrow(run, "part int, path string, records long, ids long")
 
 
 def read_records(parts: DataFrame, folder: str) -> DataFrame:
