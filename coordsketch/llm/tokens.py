@@ -5,7 +5,7 @@ here always draw one at a single space between two other characters that are not
 the space to the next piece, the word-end kind drops it), around a single line feed between such characters, and between
 letters and the usual closing signs. So a text is cut at spaces, every distinct piece is composed of its parts once, and
 remembered. Parts that are Latin letters only are one word to the splitting rule, so they go straight to the library's
-merging model, without the library's normalising and splitting. Texts in which white space stands together are cut so that it stays whole. Other tokenizers encode whole texts.
+merging model, without the library's normalising and splitting. Texts in which white space stands together are cut so that it stays whole. Texts that hold a special string of the tokenizer, and texts for other tokenizers, are encoded whole.
 """
 
 from __future__ import annotations
@@ -69,10 +69,13 @@ class Encoder:
         from tokenizers import Tokenizer, pre_tokenizers
 
         self._tokenizer = Tokenizer.from_file(path)
-        self._tokenizer.encode_special_tokens = True
+        tokens = self._tokenizer.get_added_tokens_decoder().values()
+        self._special = [t.content for t in tokens]
+        #: The largest id.
+        self.most = max(self._tokenizer.get_vocab(with_added_tokens=True).values(), default=0)
         end = self._tokenizer.model.end_of_word_suffix
         splits, normal = str(self._tokenizer.pre_tokenizer), str(self._tokenizer.normalizer)
-        known = not self._tokenizer.model.dropout and not any(t.content.isalpha() for t in self._tokenizer.get_added_tokens_decoder().values())
+        known = not self._tokenizer.model.dropout and not any(t.normalized or t.lstrip or t.rstrip or t.single_word for t in tokens)
         self._words = known and bool(end) and "Lowercase" in normal and "Removed" in splits and "ByteLevel(" in splits
         self._bytes = known and not end and normal == "None" and splits.startswith("ByteLevel(") and "add_prefix_space=False" in splits and "use_regex=True" in splits
         self._model = self._tokenizer.model
@@ -127,8 +130,17 @@ class Encoder:
         return self._young[stem] + self._closing(signs)
 
     def encode(self, texts: list[str]) -> list[bytes]:
+        """The ids of whole texts, as the library's encode(text, add_special_tokens=False) gives them."""
         if not (self._words or self._bytes):
             return self._plain(texts)
+        whole = [i for i, t in enumerate(texts) if any(x in t for x in self._special)]
+        if not whole:
+            return self._pieced(texts)
+        held = dict(zip(whole, self._plain([texts[i] for i in whole]), strict=True))
+        rest = iter(self._pieced([t for i, t in enumerate(texts) if i not in held]))
+        return [held[i] if i in held else next(rest) for i in range(len(texts))]
+
+    def _pieced(self, texts: list[str]) -> list[bytes]:
         cut = [t.split(" ") if self._words or _apart(t) else _INNER_SPACE.split(t) for t in texts]
         firsts: list[bytes] = []
         if self._bytes:  # the first piece stands after no space
