@@ -5,8 +5,9 @@ plain view numbers, and units right after numbers, are typed placeholders; in th
 placeholders as well, but where a sentence begins only those that the benchmark never writes in lower case. In the exact
 view every token stands for itself, which finds items that are nearly all numbers.
 Windows of five tokens of the benchmark items are hashed, and every document's windows are looked up in them. An item is
-found in a document if at least 0.8 of its windows are, in any view, and if its slots are filled consistently: each
-value that stands in slots of the item is replaced by one value throughout, and different values stay different. Equal
+found in a document if at least 0.8 of its windows are, in any view, in their order and at one place (with insertions of
+at most a quarter of the item's tokens, or SLACK), and if its slots are filled consistently there: each value that stands in slots of
+the item is replaced by one value throughout, and different values stay different. Equal
 values mean a copied item, others a re-parameterised one. A window with under three literal tokens is no evidence but in
 the exact view.
 
@@ -31,6 +32,8 @@ from pyspark.sql import functions as F
 from .common import RollingHash, flat_bytes, load, mix, slices
 
 WIDTH, SHARE, LEAST_LITERALS = 5, 0.8, 3
+#: Tokens by which a run of windows may always be shifted by insertions or deletions.
+SLACK = 8
 #: Fixed units, in lower case.
 UNITS = "mm cm m km in ft yd mi mg g kg t lb oz ml l gal s sec min h hr hrs hour hours day days week weeks month months year years km/h mph kph k c f hz kb mb gb tb eur euro euros usd dollar dollars cent cents pound pounds percent degrees meter meters metre metres mile miles liter liters litre litres gram grams second seconds minute minutes".split()
 #: Tokens of benchmark text in one broadcast block.
@@ -189,7 +192,8 @@ class Index:
         """The share of the item's windows, and copied, changed, or nothing if no alignment with a sufficient share fills the slots with one value each.
 
         A document may hold an item many times, with other values each time, so hits are judged by their alignment: one shift
-        between document and item by itself, or with windows it lacks taken from the nearest other shifts (insertions)."""
+        between document and item by itself, or with windows it lacks taken from the nearest other shifts (insertions), as far
+        as these are near and the windows stay in the item's order. Share and slots are judged within the same alignment."""
         view = getattr(self.tokens, name)
         by_shift: dict[int, set[int]] = defaultdict(set)
         for d, j in hit:
@@ -203,10 +207,18 @@ class Index:
             i = bisect_left(held, s)
             return min(held[max(i - 1, 0) : i + 1], key=lambda x: abs(x - s))
 
+        item = self.tokens.owner[hit[0][1]]
+        size = int(np.searchsorted(self.tokens.owner, item, "right") - np.searchsorted(self.tokens.owner, item, "left"))
+        slack = max(SLACK, size // 4)
+
+        def run(s: int) -> tuple[tuple[int, int], ...]:
+            near = [(t + j, j) for j in sorted(places) for t in (nearest(s, places[j]),) if abs(t - s) <= slack]
+            return tuple(_rising(near))
+
         need, best, most = SHARE * total - 1e-9, "", 0
         tried = {tuple((s + j, j) for j in sorted(own)) for s, own in by_shift.items() if len(own) >= need}
         if len(places) >= need:
-            tried |= {tuple((nearest(s, places[j]) + j, j) for j in sorted(places)) for s, own in by_shift.items() if len(own) < need}
+            tried |= {group for s, own in by_shift.items() if len(own) < need for group in (run(s),) if len(group) >= need}
         for group in sorted(tried):
             forward: dict[bytes, bytes] = {}
             back: dict[bytes, bytes] = {}
@@ -242,6 +254,23 @@ class Index:
         return True
 
 
+def _rising(hits: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """The longest part of hits (d, j), given by rising j, in which d rises as well."""
+    ends: list[int] = []
+    last: list[int] = []  # index of the hit that ends the best run of each length
+    before = []
+    for i, (d, _) in enumerate(hits):
+        n = bisect_left(ends, d)
+        before.append(last[n - 1] if n else -1)
+        ends[n : n + 1] = [d]
+        last[n : n + 1] = [i]
+    out, i = [], last[-1] if last else -1
+    while i >= 0:
+        out.append(hits[i])
+        i = before[i]
+    return out[::-1]
+
+
 def _blocks(benchmark: DataFrame) -> Iterator[list[tuple]]:
     block: list[tuple] = []
     size = 0
