@@ -6,11 +6,13 @@ that succeed in a row, or -1 if the first one fails. The filter has a segment fo
 has summed. It is broadcast to the workers up to `most_bytes`; a larger filter is broadcast in groups of segments, and
 since every pair lies in one segment, a document's score is the sum of its scores over the groups.
 
-The model: P(w | v) = (1 - a) U(w) + a min(1, 2^level(v w) / count(v)), where level -1 counts as never seen,
-U(w) = (count(w) + 1) / (tokens + types + 1), and a is the share of training pairs that are seen three times or more.
+The model: P(w | v) = (2^level(v w) + PRIOR U(w)) / (count(v) + PRIOR), where level -1 counts as never seen (0 in place of
+the power) and U(w) = (count(w) + 1) / (tokens + types + 1). With exact pair counts the probabilities of a history sum to one,
+whether it was seen or not; rounding counts down only lowers them.
 
-Word counts reach the documents without a broadcast: documents lie in parts of bounded size, every part asks for the
-counts of its distinct words, and the answers are grouped with the part.
+Word counts reach the documents without a broadcast: documents lie in parts of bounded bytes, every part asks for the
+counts of its distinct words, and the answers are grouped with the part. A part holds documents of one class of length, so
+that it has PART_BYTES at most, or one document.
 
 Defined cases: a null text is empty and has the end token only; a null doc_id belongs to the training documents; repeated
 rows count as often as they stand; without training documents every count is 0; an empty table gives an empty result.
@@ -26,17 +28,19 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .common import RollingHash, flat_bytes, load, materialize, mix, slices
+from .common import RollingHash, flat_bytes, load, materialize, mix, ranges, slices
 
-#: Rows of a file that make a part.
-PART_ROWS = 2048
+#: Rows of a file that make a part of short texts; texts twice as long come half as many to a part, and so on.
+PART_ROWS, PART_BYTES = 2048, 16 << 20
+#: Pseudo-count of the word distribution behind every history.
+PRIOR = 4.0
 BITS_A_KEY, PROBES, MOST_LEVELS = 12, 6, 48
 #: Training tokens that a filter segment is made for, on average.
 SEGMENT_TOKENS = 2_000_000
 MOST_BYTES = 256 << 20
 END, START = np.uint64(0x5851F42D4C957F2D), np.uint64(0x14057B7EF767814F)
 _PAIR = np.uint64(0xD1342543DE82EF95)
-#: Pairs that a task counts before it hands them on.
+#: Pairs, or tokens, that a task counts before it hands them on.
 FLUSH = 3_000_000
 
 
@@ -101,9 +105,11 @@ class Segment:
 
 
 def with_parts(docs: DataFrame) -> DataFrame:
-    """part, row, doc_id, text, held_out. row is the row's number in its file; a part is a fixed run of rows of a file, whatever the splits; else docs is written first."""
+    """part, row, doc_id, text, held_out. row is the row's number in its file; a part is of fixed rows of a file, whatever the splits; else docs is written first."""
+    size = F.coalesce(F.octet_length(F.col("text").cast("string")), F.lit(0))
+    longer = F.when(size < 2 * PART_BYTES // PART_ROWS, 0).otherwise(F.least(F.floor(F.log2(size * PART_ROWS / PART_BYTES)), F.lit(PART_ROWS.bit_length() - 1))).cast("int")
     try:
-        named = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.xxhash64(F.col("_metadata.file_path"), F.floor(F.col("_metadata.row_index") / PART_ROWS)).alias("part"), F.col("_metadata.row_index").alias("row"))
+        named = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.xxhash64(F.col("_metadata.file_path"), longer, F.floor(F.col("_metadata.row_index") * F.pow(F.lit(2), longer) / PART_ROWS)).alias("part"), F.col("_metadata.row_index").alias("row"))
         named.schema  # noqa: B018  analysed here
     except Exception as e:
         if "_metadata" not in str(e):
@@ -117,28 +123,30 @@ def word_counts(parts: DataFrame) -> DataFrame:
     """part, token, count (over all training documents), once (one row of each token): every distinct token of every part."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[tuple[np.ndarray, np.ndarray]] = []
-        now = None
+        held: dict[int, list[tuple[np.ndarray, np.ndarray]]] = {}
+        room = 0
 
-        def out() -> pa.RecordBatch:
-            tokens, index = np.unique(np.concatenate([t for t, _ in held]), return_inverse=True)
-            n = np.bincount(index, weights=np.concatenate([w for _, w in held]), minlength=len(tokens)).astype(np.int64)
-            return pa.RecordBatch.from_arrays([pa.array(np.full(len(tokens), now, np.int64)), pa.array(tokens.view(np.int64)), pa.array(n)], ["part", "token", "n"])
+        def out() -> Iterator[pa.RecordBatch]:
+            for now, own in held.items():
+                tokens, index = np.unique(np.concatenate([t for t, _ in own]), return_inverse=True)
+                n = np.bincount(index, weights=np.concatenate([w for _, w in own]), minlength=len(tokens)).astype(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(tokens), now, np.int64)), pa.array(tokens.view(np.int64)), pa.array(n)], ["part", "token", "n"])
 
         for piece in slices(batches, "text", 1_000_000):
             part = piece["part"].to_numpy(zero_copy_only=False)
-            for a, b in _runs(part):
-                if held and part[a] != now:
-                    yield out()
-                    held = []
-                now = part[a]
-                rows = piece.slice(a, b - a)
-                tokens, counts = token_hashes(rows["text"])
-                learns = np.repeat(~rows["held_out"].to_numpy(zero_copy_only=False), counts)
-                distinct, index = np.unique(tokens, return_inverse=True)
-                held.append((distinct, np.bincount(index, weights=learns, minlength=len(distinct))))
-        if held:
-            yield out()
+            tokens, counts = token_hashes(piece["text"])
+            learns = ~piece["held_out"].to_numpy(zero_copy_only=False)
+            ends = np.cumsum(counts)
+            for now in np.unique(part).tolist():
+                rows = np.flatnonzero(part == now)
+                own = tokens[ranges(ends[rows] - counts[rows], counts[rows])]
+                distinct, index = np.unique(own, return_inverse=True)
+                held.setdefault(now, []).append((distinct, np.bincount(index, weights=np.repeat(learns[rows], counts[rows]), minlength=len(distinct))))
+                room += len(distinct)
+            if room > FLUSH:
+                yield from out()
+                held, room = {}, 0
+        yield from out()
 
     asked = parts.select("part", "text", "held_out").mapInArrow(run, "part long, token long, n long")
     of_token = Window.partitionBy("token")
@@ -151,7 +159,7 @@ def _runs(keys: np.ndarray) -> Iterator[tuple[int, int]]:
 
 
 def segments(parts: DataFrame, tokens: int) -> DataFrame:
-    """segment, bits, often, total: the filter over the training documents; often of the total pairs were seen three times or more."""
+    """segment, bits: the filter over the training documents."""
     shift = max(4, (tokens // SEGMENT_TOKENS).bit_length())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -188,10 +196,10 @@ def segments(parts: DataFrame, tokens: int) -> DataFrame:
         pairs, index = np.unique(low, return_inverse=True)
         counts = np.bincount(index, weights=n).astype(np.int64)
         raw = Segment.build(pairs.astype(np.uint64), counts)
-        return pa.table({"segment": table["segment"][:1], "bits": pa.array([raw], pa.binary()), "often": pa.array([int(counts[counts > 2].sum())]), "total": pa.array([int(counts.sum())])})
+        return pa.table({"segment": table["segment"][:1], "bits": pa.array([raw], pa.binary())})
 
     counted = parts.where("not held_out").select("text").mapInArrow(run, "segment long, steps binary, counts binary")
-    return counted.groupBy("segment").applyInArrow(build, "segment long, bits binary, often long, total long")
+    return counted.groupBy("segment").applyInArrow(build, "segment long, bits binary")
 
 
 def _groups(spark: SparkSession, built: DataFrame, most_bytes: int) -> Iterator[dict[int, bytes]]:
@@ -215,13 +223,11 @@ def scored(docs: DataFrame, most_bytes: int = MOST_BYTES) -> DataFrame:
     n, types = words.where("once").agg(F.coalesce(F.sum("count"), F.lit(0)), F.count_if(F.col("count") > 0)).first()
     openings = parts.where("not held_out").count()
     built = materialize(segments(parts, n))
-    often, total = built.agg(F.coalesce(F.sum("often"), F.lit(0)), F.coalesce(F.sum("total"), F.lit(0))).first()
-    share = min(0.9, max(1e-6, often / max(total, 1)))
     shift = max(4, (n // SEGMENT_TOKENS).bit_length())
     known_segments = {r["segment"] for r in built.select("segment").collect()}
     results = []
     for k, group in enumerate(_groups(spark, built, most_bytes)):
-        results.append(_score(spark, parts, words, group, known_segments, k == 0, n, types, openings, share, shift))
+        results.append(_score(spark, parts, words, group, known_segments, k == 0, n, types, openings, shift))
     if len(results) == 1:
         return results[0].drop("part", "row")
     whole = results[0]
@@ -231,7 +237,7 @@ def scored(docs: DataFrame, most_bytes: int = MOST_BYTES) -> DataFrame:
     return whole.groupBy("part", "row", "doc_id", "held_out", "train_tokens").agg(*summed).select("doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score")
 
 
-def _score(spark, parts: DataFrame, words: DataFrame, group: dict[int, bytes], known_segments: set[int], first: bool, n: int, types: int, openings: int, share: float, shift: int) -> DataFrame:
+def _score(spark, parts: DataFrame, words: DataFrame, group: dict[int, bytes], known_segments: set[int], first: bool, n: int, types: int, openings: int, shift: int) -> DataFrame:
     sent = spark.sparkContext.broadcast(group)
     every = first  # what does not depend on the filter is added once
 
@@ -264,8 +270,8 @@ def _score(spark, parts: DataFrame, words: DataFrame, group: dict[int, bytes], k
                     level[at] = Segment.levels(np.frombuffer(filters[s], np.uint8), low[at])
                 elif s not in known_segments and every:  # without pairs: it belongs to the first group
                     mine[at] = True
-            seen = np.where(level >= 0, np.minimum(1.0, np.exp2(level) / np.maximum(history, 1)), 0.0)
-            logs = np.where(mine, np.log10((1 - share) * plain + share * seen), 0.0)
+            seen = np.where(level >= 0, np.minimum(np.exp2(level), history), 0.0)
+            logs = np.where(mine, np.log10((seen + PRIOR * plain) / (history + PRIOR)), 0.0)
             ends = np.cumsum(lengths)
             add = lambda x: np.add.reduceat(x, ends - lengths)  # noqa: B023, E731
             columns[0].append(lengths if every else 0 * lengths)
@@ -280,4 +286,4 @@ def _score(spark, parts: DataFrame, words: DataFrame, group: dict[int, bytes], k
 
 
 def query(spark, sf_dir: str) -> DataFrame:
-    return scored(load(spark, sf_dir, "documents"))
+    return scored(load(spark, sf_dir, "documents")).withColumn("score_per_token", F.col("score") / F.col("n_tokens"))
