@@ -22,11 +22,26 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder that driver and executors share; a temporary one only where the session names none."""
+    """The folder that driver and executors share. Where the session names none, a temporary one in local mode, where there
+    is one machine; on a cluster that is an error, as executors would write to their own disks."""
     named = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if named:
-        return named.rstrip("/")
-    return _OWN_FOLDER.setdefault("path", "file://" + tempfile.mkdtemp(prefix="coordsketch_"))
+    if not named:
+        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
+        named = _OWN_FOLDER.setdefault("path", "file://" + tempfile.mkdtemp(prefix="coordsketch_"))
+    return named.rstrip("/")
+
+
+def fresh(columns: list[str], *names: str) -> list[str]:
+    """names, changed so that none is one of columns."""
+    taken = {c.lower() for c in columns}
+    out = []
+    for name in names:
+        while name.lower() in taken:
+            name = "_" + name
+        taken.add(name.lower())
+        out.append(name)
+    return out
 
 
 def materialize(df: DataFrame) -> DataFrame:

@@ -23,7 +23,7 @@ from collections import defaultdict
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import load, materialize
+from .common import fresh, load, materialize
 
 KINDS = ("email", "ip", "card", "phone", "secret")
 #: Equal to the plain patterns in what they match; lookbehinds and possessive runs only keep long texts linear.
@@ -204,18 +204,19 @@ def personal_spans(docs: DataFrame) -> DataFrame:
 
 def redact(docs: DataFrame) -> DataFrame:
     """docs with each personal span of text replaced by its kind in brackets; overlapping spans are replaced as one."""
-    keyed = docs.withColumn("_row", F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit("")))).withColumn("_id", F.col("doc_id"))
+    row, key, found = fresh(docs.columns, "_row", "_key", "_spans")
+    keyed = docs.withColumn(row, F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit(""))))
     spans = materialize(candidates(docs.select("doc_id", "text").withColumn("doc_id", F.xxhash64(F.coalesce(F.col("text").cast("string"), F.lit(""))))).where(F.size("spans") > 0).dropDuplicates(["doc_id"]))
-    clean = decided(spans, train(spans)).where(F.size("spans") > 0).select(F.col("doc_id").alias("_key"), F.array_sort(F.transform("spans", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind")))).alias("_spans"))
-    joined = keyed.join(clean, F.col("_row") == F.col("_key"), "left")
+    clean = decided(spans, train(spans)).where(F.size("spans") > 0).select(F.col("doc_id").alias(key), F.array_sort(F.transform("spans", lambda s: F.struct(s["start"].alias("start"), s["end"].alias("end"), s["kind"].alias("kind")))).alias(found))
+    joined = keyed.join(clean, F.col(row) == F.col(key), "left")
     start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
 
     def step(state: Column, s: Column) -> Column:
         fresh = F.concat(state["out"], F.substring("text", state["at"] + 1, s["start"] - state["at"]), F.lit("["), s["kind"], F.lit("]"))
         return F.struct(F.greatest(state["at"], s["end"]).alias("at"), F.when(s["start"] >= state["at"], fresh).otherwise(state["out"]).alias("out"))
 
-    text = F.aggregate("_spans", start, step, lambda s: F.concat(s["out"], F.substring("text", s["at"] + 1, F.length("text"))))
-    return joined.withColumn("text", F.when(F.col("_spans").isNull(), F.col("text")).otherwise(text)).select(docs.columns)
+    text = F.aggregate(found, start, step, lambda s: F.concat(s["out"], F.substring("text", s["at"] + 1, F.length("text"))))
+    return joined.withColumn("text", F.when(F.col(found).isNull(), F.col("text")).otherwise(text)).select(docs.columns)
 
 
 def query(spark, sf_dir: str) -> DataFrame:
@@ -224,4 +225,4 @@ def query(spark, sf_dir: str) -> DataFrame:
     base = F.filter("spans", lambda s: s["base"] & (s["kind"] != "secret"))
     of_kind = lambda k: F.filter("spans", lambda s: s["base"] & (s["kind"] == k))
     counts = [F.size(of_kind(k)).cast("long").alias(f"n_{k}") for k in KINDS[:4]]
-    return rows.select("doc_id", *counts, F.sha2(F.array_join(F.transform(base, written), ",").cast("binary"), 256).alias("base_sha256"), F.array_join(F.transform("spans", written), ",").alias("spans"))
+    return rows.select("doc_id", *counts, F.sha2(F.array_join(F.transform(base, written), ",").cast("binary"), 256).alias("base_sha256"), F.array_join(F.transform("spans", written), ",").alias("spans"), F.size("spans").cast("long").alias("n_spans"))

@@ -14,13 +14,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from . import decontaminate, packing, pii, quality, simhash
-from .common import load, materialize
+from .common import fresh, load, materialize
 from .tokens import vocabulary
 
 
 def _without(docs: DataFrame, bad: DataFrame) -> DataFrame:
-    gone = bad.select(F.col("doc_id").alias("_gone")).distinct().hint("merge")  # it grows with the documents: never broadcast
-    return docs.join(gone, F.col("doc_id").eqNullSafe(F.col("_gone")), "left_anti").select(docs.columns)
+    (name,) = fresh(docs.columns, "_gone")
+    gone = bad.select(F.col("doc_id").alias(name)).distinct().hint("merge")  # it grows with the documents: never broadcast
+    return docs.join(gone, F.col("doc_id").eqNullSafe(F.col(name)), "left_anti").select(docs.columns)
 
 
 def by_quality(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -29,11 +30,12 @@ def by_quality(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def by_copies(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     first = simhash.similar_components(docs.select("doc_id", "text")).where("doc_id <=> component_id")
-    kept = materialize(first.groupBy(F.col("doc_id").alias("_kept")).agg(F.count(F.lit(1)).alias("_rows")))
-    joined = docs.join(kept.hint("merge"), F.col("doc_id").eqNullSafe(F.col("_kept")))
-    if not kept.where("_rows > 1").limit(1).count():
+    name, rows = fresh(docs.columns, "_kept", "_rows")
+    kept = materialize(first.groupBy(F.col("doc_id").alias(name)).agg(F.count(F.lit(1)).alias(rows)))
+    joined = docs.join(kept.hint("merge"), F.col("doc_id").eqNullSafe(F.col(name)))
+    if not kept.where(F.col(rows) > 1).limit(1).count():
         return joined.select(docs.columns)
-    return joined.where("_rows = 1").unionByName(joined.where("_rows > 1").dropDuplicates(["doc_id", "text"])).select(docs.columns)
+    return joined.where(F.col(rows) == 1).unionByName(joined.where(F.col(rows) > 1).dropDuplicates(["doc_id", "text"])).select(docs.columns)
 
 
 def by_leaks(spark, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -6,4 +6,4 @@ from coordsketch.llm import pipeline as _p
 
 STAGES = _p.STAGES
 run = _p.run
-ORACLE_SQL = None  # it holds a tokenizer, hashes and a trained classifier; tests compare it with a plain version
+ORACLE_SQL = None  # it holds a tokenizer, hashes and a trained classifier; a test compares each stage with a plain version
