@@ -49,4 +49,23 @@ bad as (select doc_id, bool_or(coalesce(bin > m + greatest({SPREADS} * (z - m),
 select v.doc_id, n_words, word_chars, n_symbols, n_dup_lines, n_repeat_words, base_failed, not base_failed and not out_ as kept, {", ".join(MEASURES)} from v join bad using (doc_id)"""
 
 
-ORACLES = {"op3_chat_event_fold": CHAT, "op5_adaptive_quality": _quality()}
+#: The table of CRC-32 by its rule (the reversed polynomial 0xEDB88320), and the checksum of a text's UTF-8 bytes.
+_CRC_TABLE = """(with recursive t as (select i, 0 as k, i::bigint as c from range(256) r(i)
+  union all select i, k + 1, case when c & 1 = 1 then xor(c >> 1, 3988292384) else c >> 1 end from t where k < 8) select list(c order by i) from t where k = 8)"""
+
+
+def _crc(text: str) -> str:
+    """text as SQL; a column `crc` with the table has to be there."""
+    raw = f"[('0x' || x)::bigint for x in regexp_extract_all(hex(encode({text})), '..')]"
+    return f"xor(list_reduce(list_prepend(4294967295::bigint, {raw}), lambda c, x: xor(c >> 8, crc[(xor(c, x) & 255) + 1])), 4294967295::bigint)"
+
+
+SHARDS = f"""
+with d as (select doc_id, source, strlen(coalesce(text, ''))::bigint + 1 as size, {_crc("coalesce(text, '')")} as text_crc32, md5('interleave:' || coalesce(doc_id::varchar, 'null')) as draw, coalesce('=' || source, '') as stratum
+  from documents, (select {_CRC_TABLE} as crc)),
+r as (select *, (2.0::double * row_number() over (partition by stratum order by draw, doc_id nulls first, text_crc32) - 1) / (2.0::double * count(*) over (partition by stratum)) as fraction from d),
+p as (select *, row_number() over (order by fraction, stratum, draw, doc_id nulls first, text_crc32) - 1 as place, count(*) over () as n from r),
+s as (select *, (place * 16 // n)::int as shard from p)
+select doc_id, size, text_crc32, 'rows' as law, shard, (place - (shard * n + 15) // 16)::bigint as slot, null::int as grown_shard from s"""
+
+ORACLES = {"op3_chat_event_fold": CHAT, "op4_stratified_interleave": SHARDS, "op5_adaptive_quality": _quality()}
