@@ -193,6 +193,10 @@ def test_chat(spark, empty):
     back = chat.read_back(chat.format_log(events)).first()["turns"]
     assert [(t["role"], t["text"]) for t in back] == [("user", "hello"), ("assistant", "Good day")]
     assert chat.format_log(events.where("false")).count() == 0
+    long = "word " * 30
+    again = [(1, 0, "user", long), (1, 0, "user", long), (1, None, "user", "b"), (1, None, "user", "a"), (1, 1, "assistant", long), (1, 1, "assistant", long)]
+    back = chat.read_back(chat.format_log(chat.events_of(spark.createDataFrame(again, turns.schema)))).first()["turns"]
+    assert [(t["role"], t["text"]) for t in back] == [("user", "a"), ("user", "b"), ("user", long), ("user", long), ("assistant", long), ("assistant", long)]
 
 
 def test_sharding(docs, empty, spark):
@@ -236,10 +240,9 @@ def test_quantile_sketches_merge(spark):
 def test_encoder_equals_whole_texts():
     from tokenizers import Tokenizer
 
-    odd = [*(t or "" for t in texts()), " ", "  a  b\n c  d", "x\x1c y\x1f z", "<|endoftext|> hi", "it's  \n\n ok ", "　x y", "don 't 's we're they'll.", "a\tb \tc", "1 2 33  4", "Σας ΑΣ. İstanbul H̱ello, Å", "foo.\nBar, baz.\n\nQux", "\n a", "日本語 テスト. ok", "x² ½ Ⅷ", "a.,; b...c ###"]
+    odd = [*(t or "" for t in texts()), " ", "  a  b\n c  d", "x\x1c y\x1f z", "<|endoftext|> hi", "it's  \n\n ok ", "　x y", "don 't 's we're they'll.", "a\tb \tc", "1 2 33  4", "Σας ΑΣ. İstanbul H̱ello, Å", "foo.\nBar, baz.\n\nQux", "\n a", "日本語 テスト. ok", "x² ½ Ⅷ", "a.,; b...c ###", "end<|endoftext|>", "<|startoftext|> a <|ENDOFTEXT|>"]
     for name in ("word_bpe_49k.json", "byte_bpe_50k.json"):
         whole = Tokenizer.from_file(vocabulary(name))
-        whole.encode_special_tokens = True
         want = [e.ids for e in whole.encode_batch(odd, add_special_tokens=False)]
         encoder = Encoder(vocabulary(name))
         for _ in range(2):
@@ -268,6 +271,13 @@ def test_records(spark, docs, empty, tmp_path):
     with pytest.raises(ValueError):
         list(records.unframe(pa.BufferReader(bytes(broken))))
     assert records.positions(spark, empty, f"file://{tmp_path}/none", vocabulary("byte_bpe_50k.json")).count() == 0
+    wide = np.array([70000, 5], "<u4").tobytes()
+    assert records.unpack(records.pack(3, wide, 4))[1].tolist() == [70000, 5]
+    with pytest.raises(ValueError):
+        records.pack(3, wide, 2)
+    again = records.write_records(docs.where("doc_id is null or doc_id = 9"), f"file://{tmp_path}/again", vocabulary("byte_bpe_50k.json"), partitions=3)
+    first, second = (sorted((r["part"], r["before"], r["doc_id"], bytes(r["ids"])) for r in records.read_records(again, f"file://{tmp_path}/again").collect()) for _ in range(2))
+    assert first == second and len(first) == docs.where("doc_id is null or doc_id = 9").count()
 
 
 def test_decontamination(spark, docs, empty):
@@ -299,6 +309,19 @@ def test_decontamination_judges_each_alignment(spark):
     assert (61, 1) not in got
 
 
+def test_decontamination_judges_share_and_slots_in_one_place(spark):
+    item = "Anna bought 12 apples for 30 dollars and gave 5 apples to her friend Peter before the long walk home in the rain"
+    torn = item.replace("12", "71").replace("gave 5 apples", "gave 8 pears").replace("30 dollars", "30 crowns")
+    words = item.split()
+    rng = np.random.default_rng(7)
+    scattered = " ".join(" ".join(words[i : i + 5]) + " " + " ".join(f"filler{k}x" for k in range(i * 40, i * 40 + 40)) for i in rng.permutation(len(words) - 4))
+    near = " ".join(" ".join(words[i : i + 5]) for i in rng.permutation(len(words) - 4))
+    rows = [(1, torn), (2, torn + " . Also: home in the rain before the long walk home in the rain"), (3, scattered), (4, near), (5, item.replace("her friend", "her very good old friend")), (6, "x " * 50 + item)]
+    bench = spark.createDataFrame([(1, item)], "item_id long, text string")
+    got = {r["doc_id"] for r in decontaminate.leaks(spark.createDataFrame(rows, "doc_id long, text string"), bench).collect()}
+    assert got & {1, 2, 3, 4} == set() and 6 in got
+
+
 def test_decontamination_of_numbers_names_and_unspaced_text(spark):
     sums = "Compute 12 + 35 * 7 - 4"
     tom = "Tom has 12 apples. Tom buys 30 more apples at the market. How many apples does Tom have?"
@@ -353,6 +376,28 @@ def test_lm(docs, empty):
     want = Counter((d, held(d), len(ws), sum(c[w] > 0 for w in ws), n, round(sum(math.log10((c[w] + 1) / (n + v + 1)) for w in ws), 6)) for d, ws in rows)
     assert Counter((r["doc_id"], r["held_out"], r["n_tokens"], r["n_known"], r["train_tokens"], round(r["base_score"], 6)) for r in got) == want
     assert all(-1e6 < r["score"] < 0 for r in got)
+    pairs, before = Counter(), Counter()
+    for d, ws in rows:
+        if not held(d):
+            pairs.update(zip(["start", *ws], ws, strict=False))
+            before.update(["start", *ws[:-1]])
+
+    def plain(ws):
+        total = 0.0
+        for v, w in zip(["start", *ws], ws, strict=False):
+            seen = 2 ** (pairs[v, w].bit_length() - 1) if pairs[v, w] else 0
+            total += math.log10((seen + lm.PRIOR * (c[w] + 1) / (n + v_types + 1)) / (before[v] + lm.PRIOR))
+        return total
+
+    v_types = v
+    scores = {}
+    for r in got:
+        scores.setdefault(r["doc_id"], []).append(r["score"])
+    for d, ws in rows:
+        assert min(abs(s - plain(ws)) for s in scores[d]) <= 0.05 + 0.02 * len(ws)  # what the filter finds wrongly
+        assert max(scores[d]) >= plain(ws) - 1e-6
+    assert sum(min(abs(s - plain(ws)) for s in scores[d]) < 1e-6 for d, ws in rows) >= len(rows) // 2
+    assert math.isclose(sum((pairs["start", w] + lm.PRIOR * (c[w] + 1) / (n + v + 1)) / (before["start"] + lm.PRIOR) for w in c) + lm.PRIOR / (n + v + 1) / (before["start"] + lm.PRIOR), 1)
     parts = {(r["doc_id"], round(r["score"], 6)) for r in lm.scored(docs, most_bytes=1).collect()}
     assert parts == {(r["doc_id"], round(r["score"], 6)) for r in got}
     assert lm.scored(empty).count() == 0
@@ -422,35 +467,86 @@ def test_packing(docs, empty):
 
 def test_level_array_takes_the_least_sum_of_squares():
     rng = np.random.default_rng(0)
-    levels = packing.LevelArray(32)
-    counts = np.zeros(33, int)
-    for size in rng.integers(1, 33, 300).tolist():
-        best = min(_after(counts, h, size) for h in [0, *np.flatnonzero(counts[1:32]) + 1] if h + size <= 32)
-        _, level = levels.place(size)
-        assert _after(counts, level, size) == best
-        if level:
-            counts[level] -= 1
-        if level + size < 32:
-            counts[level + size] += 1
-        assert (levels.counts[:32] == counts[:32]).all()
-
-
-def _after(counts, level, size):
-    c = counts.copy()
-    if level:
-        c[level] -= 1
-    if level + size < 32:
-        c[level + size] += 1
-    return int((c[1:32] ** 2).sum())
+    for most_open in (10_000, 3):
+        levels = packing.LevelArray(64, 4, most_open)
+        fills: dict[int, int] = {}
+        level = lambda f: 0 if f == 0 or f > 64 - levels.grain else f // levels.grain + 1
+        for size in rng.integers(1, 65, 400).tolist():
+            counts = Counter(level(f) for f in fills.values())
+            full = len(fills) >= most_open
+            def squares(old, new):
+                held = Counter(counts)  # noqa: B023
+                for lv, by in ((level(old), -1), (level(new), 1)):
+                    if lv:
+                        held[lv] += by
+                return sum(n * n for n in held.values())
+
+            whole = [squares(f, f + size) for f in fills.values() if f + size <= 64]
+            best = min(whole + ([] if full else [squares(0, size)]) or [squares(f, 64) for f in fills.values()])
+            sequence, fill, taken = levels.place(size)
+            assert fills.pop(sequence, 0) == fill and squares(fill, fill + taken) <= best + 0
+            assert taken == size or (full and not whole and fill + taken == 64)
+            if level(fill + taken):
+                fills[sequence] = fill + taken
+            assert len(fills) == levels.live <= most_open
+
+
+def test_packing_holds_few_open_sequences():
+    rng = np.random.default_rng(1)
+    for sizes in (rng.integers(2100, 3900, 3000), np.clip(rng.lognormal(6.2, 1.1, 3000).astype(int), 1, 4096)):
+        packer, rows, most = packing.Packer(4096), [], 0
+        for d, s in enumerate(sizes.tolist()):
+            rows.extend(packer.put(d, 0, bytes(4 * s), s))
+            most = max(most, packer.levels.live)
+        placed = len(rows)
+        rows.extend(packer.rest())
+        assert most <= packing.MOST_OPEN and sum(r[2] for r in rows) == sizes.sum()
+        assert len(rows) - placed <= 3 * packing.MOST_OPEN
+        used = len({r[5] for r in rows})
+        assert 1 - sizes.sum() / 4096 / used < 0.02
 
 
 def test_pipeline(spark, tiny, docs):
-    rows = docs
+    clash = [c for c in ("_row", "_key", "_spans", "_kept", "_rows", "_gone", "_id", "node", "label")]
+    rows = docs.drop("_row").select("*", *[F.lit(f"{c}!").alias(c) for c in clash])
+    left = {}
     for name, stage in pipeline.STAGES:
         before, rows = rows, stage(spark, rows, tiny)
         if name != "packing":
             assert rows.columns == before.columns
-            kept = {r["doc_id"] for r in rows.collect()}
+            left[name] = rows.collect()
+            kept = {r["doc_id"] for r in left[name]}
             assert kept <= {r["doc_id"] for r in before.select("doc_id").collect()}
-    assert rows.count() > 0
+            assert all(r[c] == f"{c}!" for r in left[name] for c in clash)
+    given = docs.collect()
+    good = {r["doc_id"] for r in quality.judged(docs).collect() if r["kept"]} - {r["doc_id"] for r in quality.judged(docs).collect() if not r["kept"]}
+    assert Counter(r["doc_id"] for r in left["quality"]) == Counter(r["doc_id"] for r in given if r["doc_id"] in good)
+
+    def shingles(t):
+        w = t.encode().lower().split()
+        return {tuple(w[i : i + 5]) for i in range(len(w) - 4)}
+
+    sets = sorted({(r["doc_id"], r["text"]) for r in left["quality"]})
+    label = {d: d for d, _ in sets}
+    pairs = [(d, e) for d, x in sets for e, y in sets if d < e and 10 * len(shingles(x) & shingles(y)) >= 8 * len(shingles(x) | shingles(y))]
+    while any(label[d] != label[e] for d, e in pairs):
+        for d, e in pairs:
+            label[d] = label[e] = min(label[d], label[e])
+    assert sorted(r["doc_id"] for r in left["copies"]) == sorted(d for d in label if label[d] == d)
+    assert {(r["doc_id"], r["text"]) for r in left["copies"]} <= set(sets)
+    found = pii.personal_spans(spark.createDataFrame([(r["doc_id"], r["text"]) for r in left["leaks"]], "doc_id long, text string")).collect()
+    texts = {r["doc_id"]: r["text"] for r in left["leaks"]}
+    for r in found:
+        t, at, out = texts[r["doc_id"]], 0, ""
+        for a, b, kind in sorted((s["start"], s["end"], s["kind"]) for s in r["spans"]):
+            if a >= at:
+                out += t[at:a] + f"[{kind}]"
+            at = max(at, b)
+        texts[r["doc_id"]] = out + t[at:]
+    assert {r["doc_id"]: r["text"] for r in left["privacy"]} == texts
+    encoder = Encoder(vocabulary("word_bpe_49k.json"))
+    pieces = {}
+    for r in rows.collect():
+        pieces.setdefault(r["doc_id"], {})[r["start"]] = bytes(r["ids"])
+    assert {d: b"".join(x for _, x in sorted(p.items())) for d, p in pieces.items()} == {d: encoder.encode([t])[0] + b"\x02\0\0\0" for d, t in texts.items()}
     assert pipeline.run(spark, tiny).count() > 0
