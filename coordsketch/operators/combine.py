@@ -5,6 +5,9 @@ attributes): bound is what the key's inclusion probability is conditioned on, me
 
 union: the sketch of the union, as if it had been sketched itself. short: all keys ranked below the smallest bound, whose
 memberships are fully known. long: all sampled keys, each with the largest bound among the sketches that hold it.
+
+Defined cases: repeated rows of a query count once; sets without a sketch add nothing; a query of no known set has no rows;
+an empty sketch gives an empty combination. Keys whose ranks tie stand or fall together, as the comparison is strict.
 """
 
 from __future__ import annotations
@@ -14,8 +17,6 @@ from pyspark.sql import functions as F
 
 INF = float("inf")
 _FIXED = ("set_id", "pos", "key", "weight", "rank", "bound", "query_id")
-#: Query rows up to which the query side is broadcast; counted before.
-BROADCAST_ROWS = 100_000
 
 
 def _attrs(df: DataFrame) -> list[str]:

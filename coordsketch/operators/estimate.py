@@ -57,17 +57,32 @@ def weight(sketch: DataFrame, pred: P.Pred | str, *, combo: str = "auto", family
 
 
 def weight_batch(sketch: DataFrame, queries: dict[int, P.Pred | str], *, combo: str = "auto", family: str = "exponential", k: int | None = None) -> DataFrame:
-    """query_id, estimate, n_sampled, std_error, combo. Predicates over the same sets and combination share one pass."""
+    """query_id, estimate, n_sampled, std_error, combo.
+
+    Collections of sets are rows, so the plan has one branch for each kind of combination, three at most, however many queries
+    there are; predicates over the same sets and combination share their rows."""
     parsed = {q: P.parse(p) if isinstance(p, str) else p for q, p in queries.items()}
-    groups: dict[tuple, list[int]] = defaultdict(list)
-    for q, p in parsed.items():
-        groups[_plan(p, combo)].append(q)
+    plans = {q: _plan(p, combo) for q, p in parsed.items()}
+    spark = sketch.sparkSession
     whole = None
-    for (sets, use), members in groups.items():
-        rows = combined(sketch, query_sets(sketch.sparkSession, {0: sets}), use, family, k)
-        one = rows.agg(F.array(*[F.struct(F.lit(q).cast("long").alias("query_id"), *_totals(P.to_column(parsed[q]))) for q in members]).alias("found")).select(F.explode("found").alias("f")).select("f.*", F.lit(use).alias("combo"))
+    for use in sorted({u for _, u in plans.values()}):
+        groups = {sets: i for i, sets in enumerate(dict.fromkeys(s for s, u in plans.values() if u == use))}
+        members = defaultdict(list)
+        for q, (sets, u) in plans.items():
+            if u == use:
+                members[groups[sets]].append(q)
+        rows = combined(sketch, query_sets(spark, {i: sets for sets, i in groups.items()}), use, family, k)
+        of_group = F.lit(None).cast("array<long>")
+        for i, own in members.items():
+            hit = F.array_compact(F.array(*[F.when(P.to_column(parsed[q]), F.lit(q).cast("long")) for q in own]))
+            of_group = F.when(F.col("query_id") == i, hit).otherwise(of_group)
+        found = rows.select(F.explode(of_group).alias("q"), "adj", "p").groupBy("q").agg(*_totals(F.lit(True)))
+        asked = spark.createDataFrame([(q, use) for own in members.values() for q in own], "query_id long, combo string")
+        one = asked.join(found, F.col("query_id") == F.col("q"), "left")
         whole = one if whole is None else whole.unionByName(one)
-    return whole.select("query_id", F.coalesce("estimate", F.lit(0.0)).alias("estimate"), "n_sampled", F.coalesce("std_error", F.lit(0.0)).alias("std_error"), "combo")
+    if whole is None:
+        return spark.createDataFrame([], "query_id long, estimate double, n_sampled long, std_error double, combo string")
+    return whole.select("query_id", *[F.coalesce(c, F.lit(0).cast(t)).alias(c) for c, t in (("estimate", "double"), ("n_sampled", "long"), ("std_error", "double"))], "combo")
 
 
 def sums(rows: DataFrame, **conditions: Column) -> DataFrame:

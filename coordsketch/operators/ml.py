@@ -82,7 +82,7 @@ def intersection_known_totals(sketch: DataFrame, pairs: DataFrame, totals: DataF
         if form == "derived":
             return reciprocal_sum(x, F.col("shifts")) - 2 * reciprocal_sum(both - 2 * x, F.col("shifts_other")) + F.col("bound")
         if form == "printed":
-            return reciprocal_sum(x, F.col("shifts")) - reciprocal_sum(both - 2 * x, F.slice("shifts_other", 2, F.greatest(F.size("shifts_other"), F.lit(1))))
+            return reciprocal_sum(x, F.col("shifts")) - reciprocal_sum(both - 2 * x, F.slice(F.array_sort("shifts_other"), 2, F.greatest(F.size("shifts_other"), F.lit(1))))
         return reciprocal_sum(x, F.col("shifts")) - reciprocal_sum(F.col("wa") - x, F.col("only_a")) - reciprocal_sum(F.col("wb") - x, F.col("only_b")) + F.col("bound")
 
     top = F.least(F.col("wa"), F.col("wb"))

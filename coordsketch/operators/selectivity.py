@@ -80,9 +80,8 @@ def rho1(mult: DataFrame) -> DataFrame:
 def rho_mimic_exact(comb: DataFrame, nodes: int = 64) -> DataFrame:
     """rho1 averaged over all mimicked samples, in closed form up to one integral for each query."""
     held = comb.withColumn("_own", F.when(F.col("bound") == INF, F.lit(0.0)).otherwise(F.col("weight") * (F.col("bound") - F.col("rank"))))
-    per = comb.withColumn("_own", held["_own"]) if False else held
     w = _of_query()
-    per = per.withColumn("_all", F.sum("_own").over(w)).withColumn("_l", F.count(F.lit(1)).over(w)).withColumn("_w", F.sum("weight").over(w))
+    per = held.withColumn("_all", F.sum("_own").over(w)).withColumn("_l", F.count(F.lit(1)).over(w)).withColumn("_w", F.sum("weight").over(w))
     mean = integrate_unit(lambda z: F.exp((F.col("_l") - 1) * F.log(z) - F.col("_all") * (1 - z)), nodes)
     rho = F.when(F.col("bound") == INF, F.col("weight") / F.col("_w")).when(F.col("_all") <= 0, 1.0 / F.col("_l")).otherwise(F.col("_e") + F.col("_own") / F.col("_all") * (1 - F.col("_l") * F.col("_e")))
     return per.withColumn("_e", mean).withColumn("rho", rho).drop("_own", "_all", "_l", "_w", "_e")
@@ -110,8 +109,11 @@ def rho_same_keys(comb: DataFrame, nodes: int = 128) -> DataFrame:
     return comb.groupBy("query_id").applyInPandas(run, schema)
 
 
-def rho_same_order(comb: DataFrame, draws: int = 200, seed: int = 0) -> DataFrame:
-    """The comparator: ranks are redrawn with the same order and bound (by rejection), then averaged as mimic_exact does."""
+def rho_same_order(comb: DataFrame, draws: int = 400, seed: int = 0) -> DataFrame:
+    """The comparator: the mean of mimic_exact over redrawn ranks of the same order that all lie below the bound.
+
+    The gaps of such ranks are independent and exponential, given that their sum is below the bound. They are drawn by
+    rejection; where under draws of 64 times as many are accepted, gaps are drawn evenly below the bound and weighted by their density."""
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values(["rank", "key"])
@@ -120,64 +122,58 @@ def rho_same_order(comb: DataFrame, draws: int = 200, seed: int = 0) -> DataFram
             return pdf.assign(rho=w / w.sum())
         rng = np.random.default_rng([seed & 0xFFFFFFFF, int(pdf["query_id"].iloc[0]) & 0xFFFFFFFF])
         z, q = np.array(unit_nodes(64)).T
-        remaining = np.cumsum(w[::-1])[::-1]
-        total, mass = np.zeros(len(w)), 0.0
-        for _ in range(draws):
-            # gaps of the order statistics, kept where the last one is below the bound; else importance by their scale
-            r = np.cumsum(rng.exponential(1 / remaining))
-            if r[-1] >= t:
-                r = r * (t * rng.uniform() ** (1 / len(w)) / r[-1])
-            own = w * (t - r)
-            mean = float(np.exp((len(w) - 1) * np.log(z) - own.sum() * (1 - z)) @ q)
-            total += mean + own / own.sum() * (1 - len(w) * mean)
-            mass += 1
-        return pdf.assign(rho=total / mass)
+        rates = np.cumsum(w[::-1])[::-1]
+        r = np.cumsum(rng.exponential(1 / rates, (64 * draws, len(w))), axis=1)
+        r = r[r[:, -1] < t][:draws]
+        density = np.ones(len(r))
+        if len(r) < draws:
+            r = np.sort(rng.uniform(0, t, (64 * draws, len(w))), axis=1)
+            log = -(np.diff(r, axis=1, prepend=0.0) * rates).sum(axis=1)
+            density = np.exp(log - log.max())
+        own = w * (t - r)
+        whole = own.sum(axis=1, keepdims=True)
+        mean = np.exp((len(w) - 1) * np.log(z) - whole * (1 - z)) @ q
+        rho = mean[:, None] + own / whole * (1 - len(w) * mean[:, None])
+        return pdf.assign(rho=density @ rho / density.sum())
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in comb.schema.fields) + ", rho double"
     return comb.groupBy("query_id").applyInPandas(run, schema)
 
 
 def expected_counts(w: np.ndarray, n: int) -> np.ndarray:
-    """Expected multiplicities of n draws in proportion to w, given that they hit exactly these keys.
+    """Expected multiplicities of n draws in proportion to w, given that they hit exactly these keys, for any n.
 
-    Coefficients of products of (e^(w x) - 1), with prefix and suffix products so that each key is left out once."""
+    They are ratios of the n-th coefficients of the product of (e^(w x) - 1) with and without one factor's derivative. Each
+    is an integral around the circle through the saddle point, where a trapezoid rule of some multiples of sqrt(n) points is exact
+    up to rounding, and no term overflows."""
+    if n == len(w):
+        return np.ones(len(w))
     w = w / w.sum()
-    powers = np.arange(n + 1)
-    log_fact = np.concatenate([[0.0], np.cumsum(np.log(np.maximum(powers[1:], 1)))])
-    scale = n  # x is scaled by n: coefficients stay near one
-    series = [np.where(powers > 0, np.exp(powers * np.log(v * scale) - log_fact), 0.0) for v in w]
-    ahead = [np.eye(1, n + 1)[0]]
-    norms = [0.0]
-    for s in series:
-        c = np.convolve(ahead[-1], s)[: n + 1]
-        m = c.max() or 1.0
-        ahead.append(c / m)
-        norms.append(norms[-1] + np.log(m))
-    behind, tails = [np.eye(1, n + 1)[0]], [0.0]
-    for s in reversed(series):
-        c = np.convolve(behind[-1], s)[: n + 1]
-        m = c.max() or 1.0
-        behind.append(c / m)
-        tails.append(tails[-1] + np.log(m))
-    out = np.empty(len(w))
-    for i, v in enumerate(w):
-        rest = np.convolve(ahead[i], behind[len(w) - 1 - i])[: n + 1]
-        own = np.where(powers > 0, np.exp(powers * np.log(v * scale) - np.concatenate([[0.0], log_fact[:-1]])), 0.0)  # c times its coefficient
-        top = float(np.dot(own[: n + 1], rest[::-1]))
-        out[i] = np.log(max(top, 1e-300)) + norms[i] + tails[len(w) - 1 - i]
-    out = np.exp(out - out.max())
-    return n * out / out.sum()
-
-
-def rho2(mult: DataFrame, most: int = 2000) -> DataFrame:
+    low, high = 0.0, float(n)
+    for _ in range(200):  # the radius at which the mean total is n
+        mid = (low + high) / 2
+        low, high = (mid, high) if (w * mid / -np.expm1(-w * mid)).sum() < n else (low, mid)
+    r, points = high, 256 + 32 * int(np.ceil(np.sqrt(n)))
+    angles = 2 * np.pi * np.arange(points) / points
+    x = np.outer(w, r * np.exp(1j * angles))
+    left = x.real < 0
+    fading = np.where(left, x, -x)  # whose exponential does not overflow
+    less = np.expm1(fading)
+    logs = np.where(left, np.log(less), x + np.log(-less)).sum(axis=0) - 1j * n * angles
+    held = np.exp(logs - logs[0].real)
+    return (np.where(left, x * np.exp(fading), -x) / less @ held).real / held.sum().real
+
+
+def rho2(mult: DataFrame) -> DataFrame:
     """rho of every key: the expectation of rho1 given the distinct keys and the total multiplicity of each draw (averaged
-    over draws). Totals above `most` keep rho1, whose error is small then."""
+    over draws). A sample that is the whole union, whose multiplicities are its weights, keeps their shares."""
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         held = pdf[pdf["mult"] > 0].copy()
         m, w = held["mult"].to_numpy(float), held["weight"].to_numpy(float)
         n = int(round(m.sum()))
-        held["rho"] = expected_counts(w, n) / n if len(w) <= n <= most and np.allclose(m, np.round(m)) else m / m.sum()
+        drawn = np.array_equal(m, np.round(m)) and not np.isinf(held["bound"].iloc[0])
+        held["rho"] = expected_counts(w, n) / n if drawn else m / m.sum()
         return held
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in mult.schema.fields) + ", rho double"

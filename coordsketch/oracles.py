@@ -128,25 +128,62 @@ _TOTALS = "tot as (select set_id, sum(weight) as w from m group by 1)"
 _KNOWN = ("base as (select *, top as lo, w - otop as hi from base1)", f"{_recip('base.shifts', 'X')} - {_recip('base.oshifts', 'base.w - X')}", "case when n = 0 then 0.0 when on_ = 0 then w when isinf(bound) then total else least(greatest(root, total), w - ototal) end")
 
 
-def _errors(members: str, family: str) -> str:
-    """members: set_id, key, weight."""
-    sketches = _sketch(f"select d || '|' || set_id as set_id, key, weight, d from (select distinct set_id, key, weight from ({members})), range(1, {DRAWS + 1}) t(d)", ERROR_K, family, "d::varchar")
+def _draws(members: str, family: str, k: int, draws: int, name: str = "sk") -> str:
+    """CTEs t0 (distinct memberships) and sketches of every draw d, in name."""
+    inner = f"select d || '|' || set_id as set_id, key, weight, d from (select distinct set_id, key, weight from ({members})), range(1, {draws + 1}) t(d)"
+    return f"t0 as (select distinct set_id, key, weight from ({members})), {_sketch(inner, k, family, 'd::varchar', name=name)}"
+
+
+_TRUTH = """h as (select key, any_value(weight) as weight, count(distinct set_id) as sets from t0 group by 1),
+      tr0 as (select sum(weight) as u, sum(case when sets = (select count(distinct set_id) from t0) then weight else 0 end) as i, sum(case when sets = 1 then weight else 0 end) as h from h),
+      tr as (select 'union' as measure, u as exact from tr0 union all select 'intersection', i from tr0 union all select 'jaccard', i / u from tr0 union all select 'hamming', h from tr0)"""
+
+
+def _errors(members: str, family: str, k: int = ERROR_K, draws: int = DRAWS, pair: bool = False, where: str = "true") -> str:
+    """members: set_id, key, weight. pair: two sets, with the distance and inclusion-exclusion as well."""
     pieces = []
     for kind in ("union", "short", "long"):
         cols = "sum(adj) as u, sum(case when sets = (select count(distinct set_id) from t0) then adj else 0 end) as i, count(*) as size"
-        pieces.append(f"e_{kind} as (with {_comb(kind, ERROR_K, '')} select query_id, {cols} from (select *, {_adj(family)} as adj from comb) group by 1)")
+        pieces.append(f"e_{kind} as (with {_comb(kind, k, '')} select query_id, {cols} from (select *, {_adj(family)} as adj from comb) group by 1)")
     rows = " union all ".join(
         f"select query_id, 'union' as measure, u as estimate, '{k}' as estimator, size from e_{k}" + ("" if k == "long" else f" union all select query_id, 'intersection', i, '{k}', size from e_{k} union all select query_id, 'jaccard', i / u, '{k}', size from e_{k}")
         for k in ("union", "short", "long")
     )
-    return f"""with t0 as (select distinct set_id, key, weight from ({members})), {sketches},
-      av as (select d::bigint as query_id, sk.* from sk), {", ".join(pieces)}, est as ({rows}),
-      h as (select key, any_value(weight) as weight, count(distinct set_id) as sets from t0 group by 1),
-      tr0 as (select sum(weight) as u, sum(case when sets = (select count(distinct set_id) from t0) then weight else 0 end) as i from h),
-      tr as (select 'union' as measure, u as exact from tr0 union all select 'intersection', i from tr0 union all select 'jaccard', i / u from tr0),
+    if pair:
+        rows += " union all " + " union all ".join(f"select query_id, 'hamming', u - i, '{e}', size from e_{e}" for e in ("union", "short"))
+        rows += " union all select query_id, 'hamming', l.u - s.i, 'mixed', l.size from e_long l join e_short s using (query_id) union all select query_id, 'intersection', (select sum(weight) from t0) - u, 'inclusion_exclusion', size from e_long"
+    return f"""with {_draws(members, family, k, draws)},
+      av as (select d::bigint as query_id, sk.* from sk), {", ".join(pieces)}, est as ({rows}), {_TRUTH},
       err as (select measure, estimator, avg(abs(estimate - exact) / exact) as e, avg(size) as l from est join tr using (measure) where exact > 0 group by 1, 2)
-      select a.measure, a.estimator, round(a.e, 6) as avg_rel_error, round(case when a.e = 0 then null else b.e / a.e end, 6) as improvement, round(a.l, 6) as mean_size, round(sqrt(a.l / {ERROR_K}), 6) as predicted_gain
-      from err a join err b on a.measure = b.measure and b.estimator = 'union'"""
+      select a.measure, a.estimator, round(a.e, 6) as avg_rel_error, round(case when a.e = 0 then null else b.e / a.e end, 6) as improvement, round(a.l, 6) as mean_size, round(sqrt(a.l / {k}), 6) as predicted_gain, round(sqrt(2 / pi() / a.l), 6) as predicted_error
+      from err a join err b on a.measure = b.measure and b.estimator = 'union' where {where}"""
+
+
+def _union_errors(members: str, family: str, k: int, draws: int) -> str:
+    """Only the union's rows; written without lists, for many sets."""
+    low = "(select query_id, min(bound) as low from av group by 1)"
+    return f"""with {_draws(members, family, k, draws)}, av as (select d::bigint as query_id, sk.* from sk), lows as {low},
+      pl as (select query_id, key, any_value(weight) as weight, max(bound) as bound from av group by 1, 2),
+      ps as (select av.query_id, key, any_value(weight) as weight, any_value(low) as bound from av join lows using (query_id) where rank < low group by 1, 2),
+      u0 as (select query_id, key, any_value(weight) as weight, min(rank) as rank from av group by 1, 2), u1 as (select *, row_number() over (partition by query_id order by rank, key) as pos from u0),
+      ub as (select query_id, least(coalesce(min(case when pos = {k} + 1 then rank end), 'infinity'::double), any_value(low)) as bound from u1 join lows using (query_id) group by 1),
+      pu as (select u1.query_id, key, weight, ub.bound from u1 join ub using (query_id) where pos <= {k} and rank < ub.bound),
+      est as (""" + " union all ".join(f"select query_id, '{n}' as estimator, sum({_adj(family)}) as estimate, count(*) as size from p{n[0]} group by 1" for n in ("union", "short", "long")) + f"""),
+      tr as (select sum(weight) as exact from (select key, any_value(weight) as weight from t0 group by 1)),
+      err as (select estimator, avg(abs(estimate - exact) / exact) as e, avg(size) as l from est, tr group by 1)
+      select 'union' as measure, a.estimator, round(a.e, 6) as avg_rel_error, round(case when a.e = 0 then null else b.e / a.e end, 6) as improvement, round(a.l, 6) as mean_size, round(sqrt(a.l / {k}), 6) as predicted_gain, round(sqrt(2 / pi() / a.l), 6) as predicted_error from err a join err b on b.estimator = 'union'"""
+
+
+def _by(name: str, cases: dict[str, str]) -> str:
+    return " union all ".join(f"select {value} as {name}, * from ({sql})" for value, sql in cases.items())
+
+
+def _ipps(k: int) -> str:
+    """CTE n: set_id, thr of the distinct memberships t0."""
+    return f"""w as (select *, row_number() over (partition by set_id order by weight desc, key) - 1 as j, coalesce(sum(weight) over (partition by set_id order by weight desc, key rows between unbounded preceding and 1 preceding), 0.0) as top, sum(weight) over (partition by set_id) as total from t0),
+      th as (select set_id, arg_min(({k} - j) / (total - top), j) as thr from w where j < {k} and weight * (({k} - j) / (total - top)) <= 1 group by 1),
+      n as (select set_id, case when count(*) > {k} then any_value(thr) else 'infinity'::double end as thr from t0 left join th using (set_id) group by 1),
+      po as (select t0.set_id, key, weight, d, u / weight as rank, thr as bound from (select *, {_u("d::varchar", "key")} as u from t0, range(1, {DRAWS + 1}) t(d)) t0 join n using (set_id) where u / weight < thr)"""
 
 
 def _spans(spans: dict[str, list[tuple[str, str]]]) -> str:
@@ -160,9 +197,17 @@ _W1L = _PAIR | {"B": [("(n div 3 - n * 3 div 10)", "(n div 3 * 2 - n * 3 div 10)
 _W2 = {f"S{j}": [("0", "(n div 30)"), (f"((n div 30) * {1 + 4 * j})", f"((n div 30) * {5 + 4 * j})")] for j in range(5)}
 _W3D = {f"S{j}": [(f"({2 * j} * (n * 619 div 7500))", f"({2 * j + 2} * (n * 619 div 7500))")] for j in range(5)}
 _W3O = {f"S{j}": [("0", "(5 * (n * 619 div 7500))"), (f"({5 + j} * (n * 619 div 7500))", f"({6 + j} * (n * 619 div 7500))")] for j in range(5)}
-_HET = {"A": [("0", "n div 3")], "B": [("n div 3", "(n div 3 + n div 3 * 0.1)")]}
+_W1S = _PAIR | {"B": [("(n div 3 - n div 150)", "(n div 3 * 2 - n div 150)")]}
+
+
+def _het(share: str) -> dict:
+    return {"A": [("0", "n div 3")], "B": [("n div 3", f"(n div 3 + n div 3 * {share})")]}
+
+
+_HET = _het("0.1")
 
 _DIRECT = f"with {_sketch(_periods(True), K, 'exponential')} select set_id, pos::int as pos, key, round(rank, 8) as rank, {_FIN} from sk"
+_LINKS = "select distinct set_id, page_id as key, length(html)::double as weight from (select page_id, html, unnest(list_distinct(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1))) as set_id from pages)"
 _DOCS = "select distinct doc_id::varchar as set_id, unnest(list_distinct(regexp_extract_all(lower(coalesce(text, '')), '[a-z]+'))) as key, 1.0::double as weight from documents"
 _NODES = "[" + ", ".join(f"{{'z': {z!r}, 'w': {w!r}}}" for z, w in unit_nodes(64)) + "]"
 _MIMIC = f"""lx as (select *, case when isinf(bound) then 0.0 else weight * (bound - rank) end as own from comb),
@@ -171,6 +216,45 @@ _MIMIC = f"""lx as (select *, case when isinf(bound) then 0.0 else weight * (bou
       rho as (select lx.*, case when isinf(bound) then weight / le.w when alls <= 0 then 1.0 / l else e + own / alls * (1 - l * e) end as rho from lx join le using (query_id))"""
 
 
+_BEST = "least(greatest(case when n = 0 then 0.0 when isinf(bound) then total else root end, total), least(wa, wb))"
+
+
+def _pair_known(f: str, extra: str = "", hi: str = "least(least(wa, wb), (wa + wb - otop) / 2)") -> str:
+    """Two sets of known totals: the root of f and what follows from it."""
+    base = f"{_pair_base()[5:]}, {_TOTALS}, {_shifted('comb', 'query_id', 'sets = 2')}{extra}, base1 as (select base0.*, ta.w as wa, tb.w as wb from base0 join pairs using (query_id) join tot ta on ta.set_id = a join tot tb on tb.set_id = b), base as (select *, top as lo, {hi} as hi from base1{' left join rest using (query_id)' if extra else ''})"
+    text = _bisect(base, "query_id", f, "round(x, 6) as intersection, round(wa + wb - x, 6) as \"union\", round(x / (wa + wb - x), 6) as jaccard")
+    return text.replace("from base join solved using (query_id)", f"from (select *, {_BEST} as x from base join solved using (query_id))")
+
+
+_ONLY = """, on0 as (select query_id, mem[1] = a as ina, weight, coalesce(sum(weight) over (partition by query_id, mem[1] = a order by rank, key rows between unbounded preceding and 1 preceding), 0.0) as s from comb join pairs using (query_id) where sets = 1),
+      rest as (select query_id, coalesce(list(s) filter (where ina), []) as onlya, coalesce(list(s) filter (where not ina), []) as onlyb, coalesce(max(s) filter (where ina), 0.0) as topa, coalesce(max(s) filter (where not ina), 0.0) as topb from on0 group by 1)"""
+
+
+def _union_known(start: str, condition: str = "true") -> str:
+    """query_id, estimate from known totals; start: the CTEs up to av."""
+    base = f"""{start[5:]}, {_TOTALS}, pl as (select *, dense_rank() over (partition by query_id order by bound, set_id) as place from av),
+      po as (select *, query_id::varchar || '/' || set_id as kk, place = max(place) over (partition by query_id, key) and ({condition}) as fits from pl),
+      {_shifted('po', 'kk', 'fits')}, base1 as (select base0.*, w from base0 join tot on set_id = split_part(kk, '/', 2)), {_KNOWN[0]}"""
+    return f"select split_part(kk, '/', 1)::bigint as query_id, sum(x) as estimate from ({_bisect(base, 'kk', _KNOWN[1], _KNOWN[2] + ' as x')}) group by 1"
+
+
+_SAME_NODES = "[" + ", ".join(f"{{'z': {z!r}, 'w': {w!r}}}" for z, w in unit_nodes(128)) + "]"
+
+
+def _log_expm1(x: str) -> str:
+    return f"(case when {x} > 30 then {x} else ln(exp(least({x}, 30)) - 1) end)"
+
+
+_SAME = f"""sx as (select comb.*, t.z, t.w as q, weight * bound as x from comb, (select unnest({_SAME_NODES}) as t) where not isinf(bound)),
+      sg as (select *, {_log_expm1("(x * z)")} - {_log_expm1("x")} as lg, ln(x) + x * z - {_log_expm1("x")} as ld from sx),
+      sr as (select query_id, key, sum(q * exp(ld + alls - lg)) as rho from (select *, sum(lg) over (partition by query_id, z) as alls from sg) group by 1, 2),
+      rho as (select comb.*, case when isinf(bound) then weight / sum(weight) over (partition by query_id) else sr.rho / sum(sr.rho) over (partition by query_id) end as rho from comb left join sr using (query_id, key))"""
+
+
+EXP = "exponential"
+_UNION_ML = _bisect(f"{_base('short')[5:]}, {_shifted('comb', 'query_id', 'true')}, base as (select *, list_append(shifts, total) as terms, total as lo, total + (n + 1) / bound as hi from base0)", "query_id", f"{_recip('base.terms', 'X')} - base.bound", "case when isinf(bound) then total else root end as estimate")
+
+
 def _hop(n: int) -> str:
     reach = {0: "select node::varchar as set_id, key from items", 1: "select node::varchar as set_id, key from items union select src::varchar, key from edges join items on dst = node"}
     if n < 2:
@@ -183,7 +267,9 @@ _GRAPH = """near as (select distinct l_orderkey, l_suppkey from lineitem where l
       items as (select distinct l_suppkey as node, l_partkey as key from lineitem)"""
 
 ORACLES = {
-    "flagship": None,
+    "flagship": f"with {_sketch(_periods(False).replace('distinct', 'distinct'), K, 'exponential')}, qs as (select 0 as query_id, 'p' || i::varchar as set_id from range(5) t(i)), {_AT}, {_comb('long')} select round(sum({_adj()}), 6) as estimate, count(*) as n_sampled, 'long' as combo, (select count(distinct key) from m)::double as exact from comb",
+    "est_links_at_least": f"with {_sketch(_LINKS, K, 'priority')}, qs as (select distinct 1::bigint as query_id, set_id from m), {_AT}, lows as (select min(bound) as low from av), z as (select key, any_value(weight) as weight, count(distinct set_id) as sets, any_value(low) as bound from av, lows where rank < low group by 1) select 1::bigint as query_id, round(sum(case when sets >= 2 then {_adj('priority')} else 0 end), 6) as estimate from z",
+    "est_event_days": f"with {_sketch('select distinct event_type || $$/$$ || strftime(ts, $$%Y-%m-%d$$) as set_id, user_id as key, 1.0::double as weight from events', 32, 'uniform')}, qs as (select 1 as query_id, t || '/' || x as set_id from (values ('click'), ('purchase')) a(t), (values ('2024-01-02'), ('2024-01-03')) b(x)), {_AT}, {_comb('short', attrs='')}, z as (select {_adj('uniform')} as adj, len([s for s in mem if s like 'click/%']) > 0 and len([s for s in mem if s like 'purchase/%']) > 0 as c from comb) select round(coalesce(sum(case when c then adj else 0 end), 0.0), 6) as estimate, count(*) filter (where c) as n_sampled from z",
     "rank_exponential": f"select o_orderkey as key, round(-ln({_u(repr(str(SEED)), 'o_orderkey')}) / {_skew('o_orderkey')}, 8) as rank from orders",
     "rank_priority": f"select o_orderkey as key, round({_u(repr(str(SEED)), 'o_orderkey')} / {_skew('o_orderkey')}, 8) as rank from orders",
     "rank_convert": f"select o_orderkey as key, round({_u(repr(str(SEED)), 'o_orderkey')} / {_skew('o_orderkey')}, 8) as rank from orders",
@@ -230,6 +316,22 @@ ORACLES = {
     "ml_subset": _bisect(f"{_base('short')[5:]}, {_shifted('comb', 'query_id', _B)}, base as (select *, top as lo, top + n / bound as hi from base0)", "query_id", f"{_recip('base.shifts', 'X')} - base.bound", "round(case when n = 0 then 0.0 when isinf(bound) then total else root end, 6) as estimate"),
     "ml_single_known": _bisect(f"{_sketch(_periods(True), K, 'exponential')}, {_TOTALS}, {_shifted('sk', 'set_id', _B)}, base1 as (select * from base0 join tot using (set_id)), {_KNOWN[0]}", "set_id", _KNOWN[1], f"round({_KNOWN[2]}, 6) as estimate"),
     "ml_intersection_known": _bisect(f"{_pair_base()[5:]}, {_TOTALS}, {_shifted('comb', 'query_id', 'sets = 2')}, base1 as (select base0.*, ta.w as wa, tb.w as wb from base0 join pairs using (query_id) join tot ta on ta.set_id = a join tot tb on tb.set_id = b), base as (select *, top as lo, least(least(wa, wb), (wa + wb - otop) / 2) as hi from base1)", "query_id", f"{_recip('base.shifts', 'X')} - 2 * {_recip('base.oshifts', 'base.wa + base.wb - 2 * X')} + base.bound", "round(x, 6) as intersection, round(wa + wb - x, 6) as \"union\", round(x / (wa + wb - x), 6) as jaccard").replace("from base join solved using (query_id)", "from (select *, least(greatest(case when n = 0 then 0.0 when isinf(bound) then total else root end, total), least(wa, wb)) as x from base join solved using (query_id))"),
+    "ml_intersection_printed": _pair_known(f"{_recip('base.shifts', 'X')} - {_recip('list_sort(base.oshifts)[2:]', 'base.wa + base.wb - 2 * X')}"),
+    "ml_intersection_three_part": _pair_known(f"{_recip('base.shifts', 'X')} - {_recip('coalesce(base.onlya, [])', 'base.wa - X')} - {_recip('coalesce(base.onlyb, [])', 'base.wb - X')} + base.bound", _ONLY, "least(least(wa, wb), least(wa - coalesce(topa, 0), wb - coalesce(topb, 0)))"),
+    "ml_union_known": f"select query_id, round(estimate, 6) as estimate from ({_union_known(f'with {_sketch(_periods(True), K, EXP)}, {_FIRST}, {_AT}')})",
+    "ml_union_known_filtered": f"select query_id, round(estimate, 6) as estimate from ({_union_known(f'with {_sketch(_periods(True), K, EXP)}, {_FIRST}, {_AT}', _B)})",
+    "ml_intersection_from_union": f"with m as ({_periods(True)}), {_PAIRS}, {_TOTALS} select query_id, round(ta.w + tb.w - estimate, 6) as estimate from ({_union_known(f'with {_sketch(_periods(True), K, EXP)}, {_PAIRS}, {_PAIR_SETS}, {_AT}')}) join pairs using (query_id) join tot ta on ta.set_id = a join tot tb on tb.set_id = b",
+    "rho_same_keys": f"{_base('short')}, {_SAME} select query_id, round(sum(case when {_B} then rho else 0 end), 6) as share, round(sum(rho), 6) as total from rho group by 1",
+    "jaccard_weighted_same_keys": f"{_pair_base()}, {_SAME} select query_id, round(sum(case when sets = 2 then rho else 0 end), 6) as jaccard from rho group by 1",
+    "rho_to_weight": f"with totals as ({_UNION_ML}), shares as ({_base('short')}, {_MIMIC} select query_id, sum(case when {_B} then rho else 0 end) as share from rho group by 1) select query_id, round(share * estimate, 6) as estimate from shares join totals using (query_id)",
+    "poisson_threshold_exp": _bisect(f"m as ({_periods(True)}), base as (select set_id, list(weight) as ws, count(*) as n, 0.0 as lo, 50.0 / min(weight) as hi from m group by 1)", "set_id", f"{K} - list_sum([1 - exp(-w * X) for w in base.ws])", f"round(case when n <= {K} then 'infinity'::double else root end, 8) as threshold"),
+    "similar_pairs_quality": f"""with {_sketch(_DOCS, 2 * K_SMALL, 'uniform')}, sz as (select set_id, count(*) as n from m group by 1), cm as (select x.set_id as a, y.set_id as b, count(*) as c from m x join m y on x.key = y.key and x.set_id < y.set_id group by 1, 2),
+      real as (select a, b from cm join sz sa on sa.set_id = a join sz sb on sb.set_id = b where c / (sa.n + sb.n - c)::double >= 0.5),
+      c as (select x.set_id as a, y.set_id as b, least(x.bound, y.bound) as low, list(x.rank) as ranks from sk x join sk y on x.key = y.key and x.set_id < y.set_id group by 1, 2, 3), s as (select set_id, list(rank) as rs from sk group by 1),
+      j as (select a, b, ranks, low, list_sort([r for r in list_distinct(list_concat(sa.rs, sb.rs)) if r < low]) as known from c join s sa on sa.set_id = a join s sb on sb.set_id = b),
+      f as (select 'short' as method, a, b, ranks, known from j union all select 'union', a, b, ranks, known[:{2 * K_SMALL}] from j),
+      g as (select method, a, b from f where len(known) > 0 and len(list_intersect(ranks, known)) / len(known)::double >= 0.5)
+      select method, (select count(*) from real) as true_pairs, count(*) as reported, count(real.a) as correct, round(count(real.a) / count(*)::double, 6) as precision, round(count(real.a) / (select count(*) from real)::double, 6) as recall from g left join real using (a, b) group by 1""",
     "ml_rank_gaps": f"with {_sketch(_periods(True), K, 'exponential')} select set_id, key, round(rank - coalesce(lag(rank) over (partition by set_id order by rank, key), 0.0), 8) as gap, round(coalesce(sum(weight) over (partition by set_id order by rank, key rows between unbounded preceding and 1 preceding), 0.0), 6) as seen from sk",
     "exact_union": _exact("true"),
     "exact_intersection": _exact("list_contains(mem, 'p0') and list_contains(mem, 'p1')"),
@@ -240,7 +342,35 @@ ORACLES = {
       s as (select set_id, list(rank) as rs from sk group by 1),
       j as (select a, b, len([r for r in ranks if r < low]) as hit, len([r for r in list_distinct(list_concat(sa.rs, sb.rs)) if r < low]) as n from c join s sa on sa.set_id = a join s sb on sb.set_id = b)
       select a, b, round(hit / n::double, 6) as jaccard from j where n > 0 and hit / n::double >= 0.5""",
-    "errors_w1": _errors(_spans(_W1), "uniform"),
+    "errors_w1": _errors(_spans(_W1), "uniform", pair=True),
+    "errors_w1_small_overlap": _errors(_spans(_W1S), "uniform", pair=True),
+    "errors_w1_k": _by("k", {str(k): _errors(_spans(_W1), "uniform", k) for k in (10, 50, 250)}),
+    "errors_w1_many_draws": _errors(_spans(_W1), "uniform", draws=64),
+    "errors_w2_i": _by("i", {str(i): _errors(_spans({f"S{j}": _W2[f"S{j}"] for j in range(i)}), "uniform") for i in (2, 3, 4, 5)}),
+    "errors_w4_i": _by("i", {str(i): _errors(f"select set_id, key, weight from ({_periods(False)}) where set_id < 'p{i}'", "uniform") for i in (2, 3, 4, 5)}),
+    "errors_w5_brand": _union_errors(_buyers().replace(_skew("o_custkey"), "1.0::double"), "uniform", ERROR_K, DRAWS),
+    "errors_w5_all": _union_errors(_buyers().replace(_skew("o_custkey"), "1.0::double").replace("where p_brand = 'Brand#6'", ""), "uniform", K_SMALL, DRAWS),
+    "errors_w5_documents": _union_errors(_DOCS, "uniform", K_SMALL, DRAWS),
+    "errors_w16": _by("share", {f"'{f}'": _errors(_spans(_het(f)), "uniform") for f in ("1.0", "0.5", "0.1", "0.01")}),
+    "errors_b8": f"select estimator, avg_rel_error, mean_size from ({_union_errors(_spans(_het('1.0')), 'uniform', ERROR_K, DRAWS)}) union all select 'union_of_size_l', avg_rel_error, mean_size from ({_union_errors(_spans(_het('1.0')), 'uniform', 2 * ERROR_K, DRAWS)}) where estimator = 'union'",
+    "errors_k_mins": f"""with t0 as (select distinct set_id, key, weight from ({_spans(_W1)})), x as (select d::bigint as query_id, set_id, j, arg_min(key, -ln(u)) as key, min(-ln(u)) as rank from (select *, {_u("d::varchar || '/' || j::varchar", "key")} as u from t0, range(1, {DRAWS + 1}) t(d), range(1, {K_SMALL + 1}) s(j)) group by 1, 2, 3),
+      m as (select query_id, j, min(rank) as rank, count(distinct key) as keys from x group by 1, 2), e as (select query_id, {K_SMALL - 1}.0 / sum(rank) as u, count(*) filter (where keys = 1)::double / {K_SMALL} as c from m group by 1),
+      est as (select 'union' as measure, u as estimate from e union all select 'jaccard', c from e), {_TRUTH}
+      select measure, 'k-mins' as estimator, round(avg(abs(estimate - exact) / exact), 6) as avg_rel_error from est join tr using (measure) group by 1 union all select measure, estimator, avg_rel_error from ({_errors(_spans(_W1), 'uniform', K_SMALL)}) where measure in ('union', 'jaccard')""",
+    "errors_w14": f"""with {_draws(_periods(True), 'priority', ERROR_K, DRAWS)}, {_ipps(ERROR_K)}, """
+    + ", ".join(f"e_{name} as (with av as (select d::bigint as query_id, z.* from {source} z), {_comb(kind, attrs='')} select query_id, sum({_adj('priority')}) as estimate, count(*) as size from comb group by 1)" for name, source, kind in (("order_short", "sk", "short"), ("order_long", "sk", "long"), ("poisson_short", "po", "short"), ("poisson_long", "po", "long")))
+    + ", est as (" + " union all ".join(f"select '{e}' as estimator, d as query_id, coalesce(estimate, 0) as estimate, coalesce(size, 0) as size from range(1, {DRAWS + 1}) t(d) left join e_{e} on query_id = d" for e in ("order_short", "order_long", "poisson_short", "poisson_long")) + f"), {_TRUTH} select estimator, round(avg(abs(estimate - u) / u), 6) as avg_rel_error, round(avg(size), 6) as mean_size from est, tr0 group by 1",
+    "sampling_variances": f"""with {_draws(_periods(True), 'priority', ERROR_K + 1, DRAWS)}, {_ipps(ERROR_K)}, z as (select 'priority' as estimator, split_part(set_id, '|', 2) as set_id, weight, {_adj('priority')} as adj from sk union all select 'poisson', set_id, weight, {_adj('priority')} from po)
+      select set_id, estimator, round(any_value(sq) + sum(adj * adj - 2 * weight * adj) / {DRAWS}, 2) as sum_of_variances from z join (select set_id, sum(weight * weight) as sq from t0 group by 1) using (set_id) group by 1, 2""",
+    "law_measures": f"with {_draws('select * from (' + _periods(True) + ') where set_id < $$p2$$', 'exponential', ERROR_K, DRAWS)}, av as (select d::bigint as query_id, sk.* from sk), " + ", ".join(f"c_{k} as (with {_comb(k, ERROR_K, '')} select '{k}' as estimator, query_id, weight, {_adj()} as adj from comb)" for k in ("union", "short", "long")) + f", z as (select * from c_union union all select * from c_short union all select * from c_long), {_TRUTH}, e as (select estimator, query_id, sum(adj) as s from z group by 1, 2), v as (select estimator, sum(adj * adj - 2 * weight * adj) / {DRAWS} as v from z group by 1) select estimator, round(avg(s) / (select u from tr0), 6) as mean_ratio, round(var_pop(s) / avg(s) ** 2, 6) as cv2, round(any_value(v) + (select sum(weight * weight) from h), 2) as sum_of_variances from e join v using (estimator) group by 1",
+    "law_covariance": f"with {_draws('select $$n$$ as set_id, n_nationkey::bigint as key, ' + _skew('n_nationkey') + ' as weight from nation', 'exponential', K_SMALL, 8 * DRAWS)}, z as (select d, key, weight, {_adj()} as adj from sk) select a.key as i, b.key as j, round(sum(a.adj * b.adj) / {8 * DRAWS} - any_value(a.weight) * any_value(b.weight), 6) as covariance from z a join z b on a.d = b.d and a.key < b.key group by 1, 2",
+    "law_partition": f"""with t0 as (select distinct set_id, key, weight from ({_periods(True)})), a as (with {_draws(_periods(True), 'exponential', K, DRAWS)} select 'whole' as estimator, weight, {_adj()} as adj from sk),
+      b as (with {_draws('select set_id || $$#$$ || (key % 4)::varchar as set_id, key, weight from (' + _periods(True) + ')', 'exponential', K // 4, DRAWS)} select 'parts' as estimator, weight, {_adj()} as adj from sk)
+      select estimator, round((select sum(weight * weight) from t0) + sum(adj * adj - 2 * weight * adj) / {DRAWS}, 2) as sum_of_variances from (select * from a union all select * from b) group by 1""",
+    "est_terms_weighted": f"""with dt as (select doc_id, lang, unnest(list_distinct(regexp_extract_all(lower(coalesce(text, '')), '[a-z]+'))) as key from documents), df as (select key, ln(1 + (select count(*) from documents)::double / count(*)) as weight from dt group by 1),
+      {_sketch('select distinct lang as set_id, key, weight, length(key) as length from dt join df using (key) where lang is not null', 256, 'exponential')}, pairs as (select * from (values (1::bigint, 'de', 'en'), (2::bigint, 'de', 'es'), (3::bigint, 'de', 'fr'), (12::bigint, 'en', 'es'), (13::bigint, 'en', 'fr'), (23::bigint, 'es', 'fr')) t(query_id, a, b)),
+      {_PAIR_SETS}, {_AT}, {_comb('short', attrs=', any_value(length) as length')}, {_MIMIC} select query_id, round(sum(case when sets = 2 and length >= 5 then {_adj()} else 0 end), 6) as shared, round(sum(case when sets = 2 then {_adj()} else 0 end), 6) as all_shared, round(sum(case when sets = 2 then rho else 0 end), 6) as jaccard from rho group by 1""",
+    "est_periods_restricted": f"with {_sketch(_periods(True), K, 'exponential')}, {_FIRST}, {_AT}, " + ", ".join(f"e_{k} as (with {_comb(k)} select query_id, sum(case when {_B} then {_adj()} else 0 end) as e from comb group by 1)" for k in ("union", "short", "long")) + f", x as (select query_id, sum(weight) as exact from (select distinct query_id, key, weight from m join qs using (set_id) where {_B}) group by 1) select query_id, round(exact, 6) as exact, round(e_union.e, 6) as \"union\", round(e_short.e, 6) as short, round(e_long.e, 6) as long from x join e_union using (query_id) join e_short using (query_id) join e_long using (query_id)",
     "errors_w1_large_overlap": _errors(_spans(_W1L), "uniform"),
     "errors_w2": _errors(_spans(_W2), "uniform"),
     "errors_w3_disjoint": _errors(_spans(_W3D), "uniform"),

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -13,6 +12,7 @@ from .functions import adjust, ranks
 from .functions.ranks import with_rank
 from .operators import combine, estimate, exact, graph, metrics, ml, selectivity, sketch
 from .plans import predicate as P
+from .plans.lineage import shared_folder
 from .sources import datasets as D
 from .streaming import sketches as S
 
@@ -300,26 +300,116 @@ def _similar(spark, d):
 
 
 def _similar_quality(spark, d):
-    sk = sketch.bottom_k(D.doc_terms(spark, d), K_SMALL * 2, "uniform", SEED, **MD5)
     rows = D.doc_terms(spark, d)
-    found = {m: estimate.similar_pairs(sk, 0.5, method=m, k=K_SMALL * 2) for m in ("union", "short")}
-    pairs = found["union"].select("a", "b").union(found["short"].select("a", "b")).distinct()
-    sizes = rows.groupBy("set_id").agg(F.count(F.lit(1)).alias("n"))
-    common = rows.join(pairs, F.col("set_id") == F.col("a")).select("a", "b", "key").join(rows.select(F.col("set_id").alias("b"), "key"), ["b", "key"]).groupBy("a", "b").agg(F.count(F.lit(1)).alias("c"))
-    real = common.join(sizes.select(F.col("set_id").alias("a"), F.col("n").alias("na")), "a").join(sizes.select(F.col("set_id").alias("b"), F.col("n").alias("nb")), "b").select("a", "b", (F.col("c") / (F.col("na") + F.col("nb") - F.col("c"))).alias("exact"))
-    out = [metrics.pair_confusion(found[m], real, 0.5).select(F.lit(m).alias("method"), "reported", "correct") for m in found]
+    sk = sketch.bottom_k(rows, K_SMALL * 2, "uniform", SEED, **MD5)
+    real = exact.similar_pairs(rows, 0.5)
+    out = [metrics.pair_confusion(estimate.similar_pairs(sk, 0.5, method=m, k=K_SMALL * 2), real, 0.5).select(F.lit(m).alias("method"), "true_pairs", "reported", "correct", r6("precision").alias("precision"), r6("recall").alias("recall")) for m in ("union", "short")]
     return out[0].unionByName(out[1])
 
 
-def _errors(spans=None, periods=0, family="uniform", weight="1.0"):
+_ERRORS = ("avg_rel_error", "improvement", "mean_size", "predicted_gain", "predicted_error")
+
+
+def _rows(spark, d, spans=None, periods=0, weighted=False):
+    return D.ranges(spark, d, spans) if spans else D.periods(spark, d, weighted).where(F.col("set_id").isin(ALL[:periods])).select("set_id", "key", "weight")
+
+
+def _errors(spans=None, periods=0, family="uniform", k=ERROR_K, draws=DRAWS, function=workloads.errors):
+    def run(spark, d):
+        e = function(_rows(spark, d, spans, periods, family != "uniform"), k, draws, family, "md5")
+        return e.select("measure", "estimator", *[r6(c).alias(c) for c in _ERRORS])
+
+    return run
+
+
+def _cases(name, cases):
+    """One experiment for each case, told apart by a column."""
+
     def run(spark, d):
-        rows = D.ranges(spark, d, spans, weight) if spans else D.periods(spark, d, family != "uniform").where(F.col("set_id").isin(ALL[:periods])).select("set_id", "key", "weight")
-        e = workloads.errors(rows, ERROR_K, DRAWS, family, "md5")
-        return e.select("measure", "estimator", *[r6(c).alias(c) for c in ("avg_rel_error", "improvement", "mean_size", "predicted_gain")])
+        out = None
+        for value, case in cases.items():
+            one = case(spark, d).select(F.lit(value).alias(name), "*")
+            out = one if out is None else out.unionByName(one)
+        return out
 
     return run
 
 
+def _errors_of(table, k, draws, measures=("union",)):
+    """Unions of many sets of unlike sizes."""
+
+    def run(spark, d):
+        e = workloads.errors(table(spark, d).select("set_id", "key", "weight"), k, draws, "uniform", "md5").where(F.col("measure").isin(*measures))
+        return e.select("measure", "estimator", *[r6(c).alias(c) for c in _ERRORS])
+
+    return run
+
+
+def _errors_k_mins(spark, d):
+    rows = D.ranges(spark, d, D.pair_spans("n div 15"))
+    order = workloads.errors(rows, K_SMALL, DRAWS, "uniform", "md5").where("measure in ('union', 'jaccard')").select("measure", "estimator", "avg_rel_error")
+    return workloads.k_mins_errors(rows, K_SMALL, DRAWS, "md5").unionByName(order).select("measure", "estimator", r6("avg_rel_error").alias("avg_rel_error"))
+
+
+def _errors_w14(spark, d):
+    e = workloads.poisson_errors(D.periods(spark, d, True).select("set_id", "key", "weight"), ERROR_K, DRAWS, "priority", "md5")
+    return e.select("estimator", r6("avg_rel_error").alias("avg_rel_error"), r6("mean_size").alias("mean_size"))
+
+
+def _errors_b8(spark, d):
+    """Two disjoint sets: the union sketch of twice the size, which is as large as the long combination, against the latter."""
+    rows = D.ranges(spark, d, D.hetero_spans("1.0"))
+    e = workloads.errors(rows, ERROR_K, DRAWS, "uniform", "md5").where("measure = 'union'").select("estimator", "avg_rel_error", "mean_size")
+    large = workloads.errors(rows, 2 * ERROR_K, DRAWS, "uniform", "md5").where("measure = 'union' and estimator = 'union'").select(F.lit("union_of_size_l").alias("estimator"), "avg_rel_error", "mean_size")
+    return e.unionByName(large).select("estimator", r6("avg_rel_error").alias("avg_rel_error"), r6("mean_size").alias("mean_size"))
+
+
+def _sampling_variances(spark, d):
+    v = workloads.sampling_variances(D.periods(spark, d, True).select("set_id", "key", "weight"), ERROR_K, DRAWS, "md5")
+    return v.select("set_id", "estimator", F.round("sum_of_variances", 2).alias("sum_of_variances"))
+
+
+def _law_measures(spark, d):
+    m = workloads.law_measures(_rows(spark, d, None, 2, True), ERROR_K, DRAWS, "exponential", "md5")
+    return m.select("estimator", r6("mean_ratio").alias("mean_ratio"), r6("cv2").alias("cv2"), F.round("sum_of_variances", 2).alias("sum_of_variances"))
+
+
+def _law_partition(spark, d):
+    v = workloads.partition_ablation(D.periods(spark, d, True).select("set_id", "key", "weight"), K, DRAWS, 4, "md5")
+    return v.select("estimator", F.round("sum_of_variances", 2).alias("sum_of_variances"))
+
+
+def _law_covariance(spark, d):
+    """Covariances of adjusted weights over draws, for all pairs of the nations' keys."""
+    nations = D.load(spark, d, "nation").select(F.lit("n").alias("set_id"), F.col("n_nationkey").cast("long").alias("key"), D.skewed(F.col("n_nationkey")).alias("weight"))
+    sk = workloads.sketches(nations, K_SMALL, 8 * DRAWS, "exponential", "md5")
+    adjusted = adjust.conditioned(sk, "exponential").select(F.split("set_id", r"\|", 2)[0].cast("long").alias("seed"), "key", "adj")
+    return metrics.covariances(adjusted, nations.select("key", F.col("weight").alias("exact")), 8 * DRAWS).select("i", "j", r6("covariance").alias("covariance"))
+
+
+def _terms_weighted(spark, d):
+    """Terms that two languages' documents share and that have at least five letters, weighted by rarity; and the ratio of shared weight."""
+    rows = D.lang_terms(spark, d)
+    sk = sketch.bottom_k(rows, 256, "exponential", SEED, attrs=("length",), **MD5)
+    langs = ["de", "en", "es", "fr"]
+    pairs = spark.createDataFrame([(10 * i + j, langs[i], langs[j]) for i in range(4) for j in range(i + 1, 4)], "query_id long, a string, b string")
+    qs = pairs.select("query_id", F.explode(F.array("a", "b")).alias("set_id"))
+    both, long = F.size("member_of") == 2, F.col("length") >= 5
+    s = estimate.sums(estimate.combined(sk, qs, "short", "exponential"), shared=both & long, all_shared=both)
+    ratio = estimate.jaccard(sk.drop("length"), pairs, "mimic_exact", "exponential")
+    return s.join(ratio, "query_id").select("query_id", r6("shared").alias("shared"), r6("all_shared").alias("all_shared"), r6("jaccard").alias("jaccard"))
+
+
+def _restricted(spark, d):
+    """Weighted periods and a subpopulation: the exact and estimated weight of customers of one segment in any of the first i."""
+    rows = D.periods(spark, d, True)
+    out = exact.weight(rows, _first(spark), BUILDING, ("segment",)).select("query_id", r6("exact").alias("exact"))
+    for kind in ("union", "short", "long"):
+        e = estimate.combined(_sk(spark, d), _first(spark), kind, "exponential", K)
+        out = out.join(e.groupBy("query_id").agg(r6(F.sum(F.when(P.to_column(BUILDING), F.col("adj")).otherwise(F.lit(0.0)))).alias(kind)), "query_id")
+    return out
+
+
 def _short_share(spark, d):
     rows = D.ranges(spark, d, D.hetero_spans("0.1"))
     sk = sketch.bottom_k(rows, ERROR_K, "uniform", SEED, **MD5)
@@ -337,7 +427,7 @@ def _baskets(spark, d):
 def _links(spark, d):
     rows = D.page_links(spark, d)
     sk = sketch.bottom_k(rows, K, "priority", SEED, **MD5)
-    sets = rows.groupBy("set_id").agg(F.count_distinct("key").alias("n")).orderBy(F.desc("n"), "set_id").limit(4).select(F.lit(1).cast("long").alias("query_id"), "set_id")
+    sets = rows.select(F.lit(1).cast("long").alias("query_id"), "set_id").distinct()  # all targets
     held = estimate.combined(sk, sets, "short", "priority")
     return held.groupBy("query_id").agg(r6(F.sum(F.when(F.size("member_of") >= 2, F.col("adj")).otherwise(F.lit(0.0)))).alias("estimate"))
 
@@ -346,7 +436,7 @@ def _events(spark, d):
     rows = D.event_days(spark, d)
     sk = sketch.bottom_k(rows, 32, "uniform", SEED, **MD5)
     days = [f"2024-01-{i:02d}" for i in (2, 3)]
-    types = [r[0] for r in D.load(spark, d, "events").select("event_type").distinct().orderBy("event_type").limit(2).collect()]
+    types = ("click", "purchase")  # the query's own: users who clicked and bought on these days
     sets = {1: [f"{t}/{x}" for t in types for x in days]}
     both = P.all_of([]) & P.any_of([f"{types[0]}/{x}" for x in days]) & P.any_of([f"{types[1]}/{x}" for x in days])
     held = estimate.combined(sk, estimate.query_sets(spark, sets), "short", "uniform")
@@ -359,7 +449,7 @@ def _vectors(spark, d):
 
 
 def _native(spark, d):
-    return exact.native_sketches(D.periods(spark, d), _first(spark)).select("query_id", "hll", "approx_distinct")
+    return exact.native_sketches(D.periods(spark, d), _first(spark)).select("query_id", "hll", "theta", "approx_distinct")
 
 
 def _neighborhood(spark, d):
@@ -375,15 +465,15 @@ def _stream(spark, d):
     reader = spark.readStream.schema(batch.schema).option("maxFilesPerTrigger", 1)
     source = reader.option("pathGlobFilter", "events.parquet").parquet(d) if single else reader.parquet(f"{d}/events.parquet")
     events = source.select("ts", F.col("event_type").alias("set_name"), F.col("user_id").alias("key"), F.lit(1.0).alias("weight"))
-    folder = (spark.conf.get("spark.checkpoint.dir", None) or "file://" + tempfile.mkdtemp(prefix="coordsketch_")) + f"/stream_{uuid.uuid4().hex}"
-    rows = S.memberships(events, "1 day", "1 day").select("set_id", "key", "weight")
+    folder = f"{shared_folder(spark)}/stream_{uuid.uuid4().hex}"
+    rows = S.memberships(events, "1 day", "1 day")
     S.stream_bottom_k(rows, K_SMALL, "uniform", SEED, f"{folder}/store", f"{folder}/checkpoint", method="md5").awaitTermination()
     return S.latest(spark, f"{folder}/store").select(F.regexp_replace("set_id", " 00:00$", "").alias("set_id"), "pos", "key", finite("bound"))
 
 
 def flagship(spark: SparkSession, d: str) -> DataFrame:
     """Users of all five periods from sketches: the estimate, its standard error, the exact value and the error."""
-    sk = sketch.bottom_k(D.periods(spark, d), K, "exponential", SEED, attrs=("segment",))
+    sk = sketch.bottom_k(D.periods(spark, d), K, "exponential", SEED, attrs=("segment",), **MD5)
     found = estimate.weight(sk, P.any_of(ALL), family="exponential")
     real = exact.weight(D.periods(spark, d), estimate.query_sets(spark, {0: ALL}), P.any_of(ALL))
     return found.crossJoin(F.broadcast(real.select("exact"))).withColumn("rel_error", F.abs(F.col("estimate") - F.col("exact")) / F.col("exact"))  # one row each
@@ -472,8 +562,26 @@ QUERIES = {
     "native_sketches": _native,
     "similar_pairs": _similar,
     "similar_pairs_quality": _similar_quality,
-    "errors_w1": _errors(D.pair_spans("n div 15")),
+    "errors_w1": _errors(D.pair_spans("n div 15"), function=workloads.pair_errors),
     "errors_w1_large_overlap": _errors(D.pair_spans("n * 3 div 10")),
+    "errors_w1_small_overlap": _errors(D.pair_spans("n div 150"), function=workloads.pair_errors),
+    "errors_w1_k": _cases("k", {k: _errors(D.pair_spans("n div 15"), k=k) for k in (10, 50, 250)}),
+    "errors_w1_many_draws": _errors(D.pair_spans("n div 15"), draws=64),
+    "errors_w2_i": _cases("i", {i: _errors(D.multi_spans(i)) for i in (2, 3, 4, 5)}),
+    "errors_w4_i": _cases("i", {i: _errors(periods=i) for i in (2, 3, 4, 5)}),
+    "errors_w5_brand": _errors_of(D.part_buyers, ERROR_K, DRAWS),
+    "errors_w5_all": _errors_of(lambda s, d: D.part_buyers(s, d, None), K_SMALL, DRAWS),
+    "errors_w5_documents": _errors_of(D.doc_terms, K_SMALL, DRAWS),
+    "errors_w14": _errors_w14,
+    "errors_w16": _cases("share", {f: _errors(D.hetero_spans(f)) for f in ("1.0", "0.5", "0.1", "0.01")}),
+    "errors_b8": _errors_b8,
+    "errors_k_mins": _errors_k_mins,
+    "est_terms_weighted": _terms_weighted,
+    "est_periods_restricted": _restricted,
+    "sampling_variances": _sampling_variances,
+    "law_measures": _law_measures,
+    "law_covariance": _law_covariance,
+    "law_partition": _law_partition,
     "errors_w2": _errors(D.multi_spans(5)),
     "errors_w3_disjoint": _errors(D.relation_spans(True)),
     "errors_w3_overlap": _errors(D.relation_spans(False)),

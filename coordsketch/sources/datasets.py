@@ -26,9 +26,9 @@ def periods(spark: SparkSession, sf_dir: str, weighted: bool = False) -> DataFra
     return orders.join(customers, F.col("o_custkey") == F.col("c_custkey")).select(F.concat(F.lit("p"), F.col("p").cast("string")).alias("set_id"), F.col("o_custkey").alias("key"), weight.alias("weight"), "segment")
 
 
-def part_buyers(spark: SparkSession, sf_dir: str, brand: str = "Brand#6", weighted: bool = False) -> DataFrame:
-    """Customers by part bought, for the parts of one brand."""
-    parts = load(spark, sf_dir, "part").where(F.col("p_brand") == brand).select("p_partkey")
+def part_buyers(spark: SparkSession, sf_dir: str, brand: str | None = "Brand#6", weighted: bool = False) -> DataFrame:
+    """Customers by part bought, for the parts of one brand or of all (None)."""
+    parts = load(spark, sf_dir, "part").where(F.lit(True) if brand is None else F.col("p_brand") == brand).select("p_partkey")
     lines = load(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey").join(parts, F.col("l_partkey") == F.col("p_partkey"))
     joined = lines.join(load(spark, sf_dir, "orders").select("o_orderkey", "o_custkey"), F.col("l_orderkey") == F.col("o_orderkey"))
     weight = skewed(F.col("o_custkey")) if weighted else F.lit(1.0)
@@ -69,6 +69,15 @@ def doc_terms(spark: SparkSession, sf_dir: str, table: str = "documents", weight
     return terms.join(df, F.col("key") == F.col("t")).select("set_id", "key", F.log(1 + F.lit(float(n)) / F.col("df")).alias("weight"), F.length("key").alias("length"), "source")
 
 
+def lang_terms(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Terms by the language of the documents that hold them, weighted by rarity among all documents, with their length."""
+    docs = load(spark, sf_dir, "documents").select("doc_id", "lang", F.explode(F.array_distinct(F.regexp_extract_all(F.lower(F.coalesce("text", F.lit(""))), F.lit("[a-z]+"), F.lit(0)))).alias("key"))
+    n = load(spark, sf_dir, "documents").agg(F.count(F.lit(1)).alias("n"))
+    df = docs.groupBy(F.col("key").alias("t")).agg(F.count(F.lit(1)).alias("df")).crossJoin(F.broadcast(n))  # one row
+    held = docs.where("lang is not null").groupBy("lang", "key").agg(F.count(F.lit(1)).alias("_n"))
+    return held.join(df, F.col("key") == F.col("t")).select(F.col("lang").alias("set_id"), "key", F.log(1 + F.col("n").cast("double") / F.col("df")).alias("weight"), F.length("key").alias("length"))
+
+
 def page_links(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Pages by link target, weighted by the page's length."""
     p = load(spark, sf_dir, "pages").select("page_id", "html")

@@ -2,7 +2,8 @@
 
 The store holds one version for each batch, written whole before it is used, and a batch always starts from the version
 before its own. So a repeated batch writes the same version again, and late or repeated events change nothing: ranks
-belong to keys. Events later than the watermark are left out and counted.
+belong to keys. Events later than the watermark are left out and counted: a batch starts from the latest time that the batches
+before it have seen, less the allowed lateness, and stores the latest time and the number of late rows with its version.
 """
 
 from __future__ import annotations
@@ -33,19 +34,43 @@ def latest(spark: SparkSession, store: str, before: int | None = None) -> DataFr
     return spark.read.parquet(f"{store}/batch={found[-1]}") if found else None
 
 
-def memberships(events: DataFrame, window: str, watermark: str) -> DataFrame:
-    """Events (ts, set_name, key, weight) as memberships whose sets are names within tumbling windows."""
+def progress(spark: SparkSession, store: str, before: int | None = None):
+    """latest and late as stored with the last version, or that before a batch: the latest time seen and all late rows; None at first."""
+    found = latest(spark, f"{store}/progress", before)
+    return found.first() if found is not None else None
+
+
+def late_rows(spark: SparkSession, store: str) -> int:
+    """Rows left out so far."""
+    seen = progress(spark, store)
+    return seen["late"] if seen else 0
+
+
+def memberships(events: DataFrame, window: str, watermark: str, slide: str | None = None) -> DataFrame:
+    """Events (ts, set_name, key, weight) as memberships whose sets are names within windows: tumbling ones, or sliding ones if
+    slide is given, where an event belongs to several sets."""
     timed = events.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", watermark)
-    start = F.date_format(F.window("ts", window)["start"], "yyyy-MM-dd HH:mm")
+    start = F.date_format(F.window("ts", window, slide)["start"], "yyyy-MM-dd HH:mm")
     return timed.select("ts", F.concat("set_name", F.lit("/"), start).alias("set_id"), "key", "weight")
 
 
-def stream_bottom_k(rows: DataFrame, k: int, family: str, seed: int, store: str, checkpoint: str, *, method: str = "xxhash64", dedupe: str | None = None) -> StreamingQuery:
-    """Runs over what is available now; rows: set_id, key, weight and, for dedupe within the watermark, ts."""
+def stream_bottom_k(rows: DataFrame, k: int, family: str, seed: int, store: str, checkpoint: str, *, method: str = "xxhash64", dedupe: str | None = None, lateness: str | None = None) -> StreamingQuery:
+    """Runs over what is available now; rows: set_id, key, weight and, for dedupe within the watermark or lateness, ts.
+
+    lateness (an interval such as "1 hour"): rows whose ts is older than the latest ts of earlier batches less that are left
+    out; late_rows tells how many."""
     fresh = rows.dropDuplicatesWithinWatermark(["set_id", "key"]) if dedupe else rows
 
     def absorb(batch: DataFrame, batch_id: int) -> None:
         spark = batch.sparkSession
+        if lateness:
+            seen = progress(spark, store, batch_id)
+            limit = F.lit(seen["latest"] if seen else None).cast("timestamp") - F.expr(f"interval {lateness}")
+            late = F.col("ts") < limit
+            now = batch.agg(F.max("ts").alias("latest"), F.count_if(late).alias("late"))
+            now = now.select(F.greatest("latest", F.lit(seen["latest"] if seen else None).cast("timestamp")).alias("latest"), (F.col("late") + (seen["late"] if seen else 0)).alias("late"))
+            now.coalesce(1).write.mode("overwrite").parquet(f"{store}/progress/batch={batch_id}")
+            batch = batch.where(F.coalesce(~late, F.lit(True)))
         sketch = bottom_k(batch.select("set_id", "key", "weight"), k, family, seed, method=method)
         known = latest(spark, store, batch_id)
         merged = sketch if known is None else merge(known, sketch, k=k)

@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .functions.adjust import conditioned
 from .operators import combine, estimate, exact, metrics, selectivity
 from .operators.sketch import bottom_k, k_mins, poisson, poisson_threshold
-from .plans import predicate as P
 
 
 def drawn(memberships: DataFrame, draws: int) -> DataFrame:
@@ -50,40 +52,107 @@ def truths(memberships: DataFrame) -> DataFrame:
     return s.select(F.explode(named).alias("measure", "exact")).where("exact > 0")
 
 
-def errors(memberships: DataFrame, k: int, draws: int, family: str = "uniform", method: str = "xxhash64") -> DataFrame:
-    """measure, estimator, avg_rel_error, improvement, mean_size, predicted_gain."""
-    est = union_and_intersection(memberships, k, draws, family, method)
-    err = metrics.relative_error(est, truths(memberships), by=("estimator",), on=("measure",))
+def _gains(est: DataFrame, truth: DataFrame, k: int) -> DataFrame:
+    """est: query_id, measure, estimator, estimate, size. The errors, sizes, and what sizes alone predict."""
+    err = metrics.relative_error(est, truth, by=("estimator",), on=("measure",))
     sizes = est.groupBy("measure", "estimator").agg(F.avg("size").alias("mean_size"))
     gained = metrics.improvement_factor(err, "union", on=("measure",)).join(sizes, ["measure", "estimator"])
-    return gained.select("measure", "estimator", "avg_rel_error", "improvement", "mean_size", F.sqrt(F.col("mean_size") / k).alias("predicted_gain"))
+    return gained.select("measure", "estimator", "avg_rel_error", "improvement", "mean_size", F.sqrt(F.col("mean_size") / k).alias("predicted_gain"), F.sqrt(F.lit(2 / math.pi) / F.col("mean_size")).alias("predicted_error"))
+
+
+def errors(memberships: DataFrame, k: int, draws: int, family: str = "uniform", method: str = "xxhash64") -> DataFrame:
+    """measure, estimator, avg_rel_error, improvement, mean_size, predicted_gain, predicted_error (of a uniform union)."""
+    return _gains(union_and_intersection(memberships, k, draws, family, method), truths(memberships), k)
+
+
+def pair_errors(memberships: DataFrame, k: int, draws: int, family: str = "uniform", method: str = "xxhash64") -> DataFrame:
+    """The columns of errors for two sets: also their Hamming distance (mixed: union from the long, intersection from the short
+    combination), and the intersection as known totals minus the long combination's union (inclusion_exclusion)."""
+    rows = union_and_intersection(memberships, k, draws, family, method)
+    wide = rows.where("measure <> 'jaccard'").groupBy("query_id").agg(*[F.max(F.when((F.col("measure") == m) & (F.col("estimator") == e), F.col(c))).alias(f"{m[0]}_{e}_{c}") for m in ("union", "intersection") for e in ("union", "short", "long") for c in ("estimate", "size")])
+    both = memberships.dropDuplicates(["set_id", "key"]).agg(F.sum("weight").alias("both"))
+    wide = wide.crossJoin(F.broadcast(both))  # one row
+    u, i = (lambda e: F.col(f"u_{e}_estimate")), (lambda e: F.col(f"i_{e}_estimate"))
+    more = [("hamming", "union", u("union") - i("union"), "union"), ("hamming", "short", u("short") - i("short"), "short"), ("hamming", "mixed", u("long") - i("short"), "long"), ("intersection", "inclusion_exclusion", F.col("both") - u("long"), "long")]
+    named = F.explode(F.array(*[F.struct(F.lit(m).alias("measure"), F.lit(e).alias("estimator"), x.alias("estimate"), F.col(f"u_{s}_size").alias("size")) for m, e, x, s in more])).alias("r")
+    est = rows.unionByName(wide.select("query_id", named).select("query_id", "r.*"))
+    held = memberships.groupBy("key").agg(F.first("weight").alias("weight"), F.count_distinct("set_id").alias("sets"))
+    apart = held.agg(F.sum(F.when(F.col("sets") == 1, F.col("weight")).otherwise(F.lit(0.0))).alias("exact")).select(F.lit("hamming").alias("measure"), "exact").where("exact > 0")
+    return _gains(est, truths(memberships).unionByName(apart), k)
 
 
 def k_mins_errors(memberships: DataFrame, k: int, draws: int, method: str = "xxhash64") -> DataFrame:
-    """avg_rel_error of the union's size from k-mins sketches, whose draws are the seeds of their coordinates."""
-    whole = None
-    for seed in range(1, draws + 1):
-        sk = k_mins(memberships, k, seed, "exponential", method=method)
-        qs = memberships.select("set_id").distinct().select(F.lit(seed).cast("long").alias("query_id"), "set_id")
-        one = estimate.weight_k_mins(sk, qs, P.any_of([]) | P.Attr("true"), k)
-        whole = one if whole is None else whole.unionByName(one)
-    est = whole.select(F.lit("union").alias("measure"), F.lit("k-mins").alias("estimator"), "estimate")
-    return metrics.relative_error(est, truths(memberships), by=("estimator",), on=("measure",))
+    """measure (union, jaccard of two sets), estimator, avg_rel_error of k-mins sketches; draws are seeds of their coordinates."""
+    sk = k_mins(drawn(memberships, draws), k, F.col("seed"), "exponential", method=method)
+    qs = queries_of(memberships, draws)
+    sets = memberships.select("set_id").distinct().count()
+    u = combine.union_k_mins(sk, qs)
+    sums = u.groupBy("query_id").agg((F.lit(float(k - 1)) / F.sum("min_rank")).alias("union"), (F.count_if(F.size("member_of") == sets) / F.lit(k)).alias("jaccard"))
+    pairs = F.map_from_arrays(F.array(F.lit("union"), F.lit("jaccard")), F.array("union", "jaccard"))
+    est = sums.select("query_id", F.explode(pairs).alias("measure", "estimate"), F.lit("k-mins").alias("estimator"))
+    return metrics.relative_error(est, truths(memberships), by=("estimator",), on=("measure",)).select("measure", "estimator", "avg_rel_error")
+
+
+def poisson_sketches(memberships: DataFrame, k: int, draws: int, family: str = "priority", method: str = "xxhash64") -> DataFrame:
+    """Poisson samples of expected size k of every set and draw, each draw with its own ranks, as sketches of bound threshold."""
+    limits = drawn(poisson_threshold(memberships, k, family), draws).drop("seed")
+    return poisson(drawn(memberships, draws), limits, family, F.col("seed"), attrs=("seed",), method=method).drop("seed")
 
 
 def poisson_errors(memberships: DataFrame, k: int, draws: int, family: str = "priority", method: str = "xxhash64") -> DataFrame:
-    """measure, estimator, avg_rel_error of the union's weight from Poisson samples of expected size k."""
-    limits = poisson_threshold(drawn(memberships, draws).drop("seed"), k, family)
-    # every draw has its own ranks: the seed goes into the hashed key, which stays unique
-    spread = drawn(memberships, draws).withColumn("key", F.concat(F.col("seed").cast("string"), F.lit("|"), F.col("key").cast("string"))).drop("seed")
-    sk = poisson(spread, limits, family, 0, method=method)
+    """estimator, avg_rel_error, mean_size for the union's weight: order samples (bottom-k) of k keys against Poisson samples of
+    as many expected keys, each by the short and the long combination."""
     qs = queries_of(memberships, draws)
     found = None
-    for combo in ("short", "long"):
-        rows = estimate.combined(sk, qs, combo, family)
-        one = qs.select("query_id").distinct().join(rows.groupBy("query_id").agg(F.sum("adj").alias("estimate")), "query_id", "left").fillna(0.0).select(F.lit("union").alias("measure"), F.lit(f"poisson_{combo}").alias("estimator"), "estimate")
-        found = one if found is None else found.unionByName(one)
-    return metrics.relative_error(found, truths(memberships), by=("estimator",), on=("measure",))
+    for kind, sk in (("order", sketches(memberships, k, draws, family, method)), ("poisson", poisson_sketches(memberships, k, draws, family, method))):
+        for combo in ("short", "long"):
+            rows = estimate.combined(sk, qs, combo, family)
+            sums = rows.groupBy("query_id").agg(F.sum("adj").alias("estimate"), F.count(F.lit(1)).alias("size"))
+            one = qs.select("query_id").distinct().join(sums, "query_id", "left").fillna(0).select(F.lit("union").alias("measure"), F.lit(f"{kind}_{combo}").alias("estimator"), "estimate", "size")
+            found = one if found is None else found.unionByName(one)
+    err = metrics.relative_error(found, truths(memberships), by=("estimator",), on=("measure",))
+    return err.join(found.groupBy("estimator").agg(F.avg("size").alias("mean_size")), "estimator").select("estimator", "avg_rel_error", "mean_size")
+
+
+def sampling_variances(memberships: DataFrame, k: int, draws: int, method: str = "xxhash64") -> DataFrame:
+    """set_id, estimator, sum_of_variances: Poisson samples in proportion to weight of expected size k, and priority samples of
+    k + 1 keys. The former's sum is no larger in expectation."""
+    out = None
+    for name, sk in (("poisson", poisson_sketches(memberships, k, draws, "priority", method)), ("priority", sketches(memberships, k + 1, draws, "priority", method))):
+        adjusted = conditioned(sk, "priority").select(F.split("set_id", r"\|", 2)[1].alias("set_id"), "key", "weight", "adj")
+        one = adjusted.select(F.lit(name).alias("estimator"), "set_id", (F.col("adj") * F.col("adj") - 2 * F.col("weight") * F.col("adj")).alias("x"))
+        out = one if out is None else out.unionByName(one)
+    base = memberships.dropDuplicates(["set_id", "key"]).groupBy("set_id").agg(F.sum(F.col("weight") * F.col("weight")).alias("squares"))
+    sums = out.groupBy("set_id", "estimator").agg(F.sum("x").alias("x"))  # a key that is not sampled adds its square
+    return sums.join(base, "set_id").select("set_id", "estimator", (F.col("squares") + F.col("x") / draws).alias("sum_of_variances"))
+
+
+def law_measures(memberships: DataFrame, k: int, draws: int, family: str = "exponential", method: str = "xxhash64") -> DataFrame:
+    """estimator, mean_ratio (mean of the union's estimates over its weight), cv2, sum_of_variances of the keys' adjusted weights."""
+    sk, qs = sketches(memberships, k, draws, family, method), queries_of(memberships, draws)
+    truth = memberships.groupBy("key").agg(F.first("weight").alias("exact"))
+    adjusted = None
+    for combo in ("union", "short", "long"):
+        one = estimate.combined(sk, qs, combo, family, k).select(F.lit(combo).alias("estimator"), "query_id", "key", "adj")
+        adjusted = one if adjusted is None else adjusted.unionByName(one)
+    sums = adjusted.groupBy("estimator", "query_id").agg(F.sum("adj").alias("estimate"))
+    total = truth.agg(F.sum("exact").alias("total"))
+    ratio = sums.groupBy("estimator").agg(F.avg("estimate").alias("mean")).crossJoin(F.broadcast(total)).select("estimator", (F.col("mean") / F.col("total")).alias("mean_ratio"))  # one row
+    return ratio.join(metrics.cv2(sums), "estimator").join(metrics.variances(adjusted, truth, draws), "estimator")
+
+
+def partition_ablation(memberships: DataFrame, k: int, draws: int, parts: int = 4, method: str = "xxhash64") -> DataFrame:
+    """estimator, sum_of_variances of adjusted weights that are conditioned on less or more of the other keys' ranks.
+
+    whole: bottom-k of each set, conditioned on its bound. parts: the set cut by key into that many parts of k / parts keys,
+    each conditioned on its own part's bound: a finer partition of the space of ranks, whose variance is larger."""
+    cut = memberships.withColumn("set_id", F.concat("set_id", F.lit("#"), F.pmod("key", F.lit(parts)).cast("string")))
+    truth = memberships.groupBy("set_id", "key").agg(F.first("weight").alias("exact"))
+    out = None
+    for name, rows, size in (("whole", memberships, k), ("parts", cut, k // parts)):
+        adjusted = conditioned(sketches(rows, size, draws, "exponential", method), "exponential").select(F.lit(name).alias("estimator"), F.concat(F.split(F.split("set_id", r"\|", 2)[1], "#")[0], F.lit("/"), F.col("key").cast("string")).alias("key"), "adj")
+        out = adjusted if out is None else out.unionByName(adjusted)
+    return metrics.variances(out, truth.select(F.concat("set_id", F.lit("/"), F.col("key").cast("string")).alias("key"), "exact"), draws)
 
 
 def uniform_jaccard_errors(memberships: DataFrame, pairs: DataFrame, k: int, draws: int, method: str = "xxhash64") -> DataFrame:
@@ -97,6 +166,3 @@ def uniform_jaccard_errors(memberships: DataFrame, pairs: DataFrame, k: int, dra
         one = estimate.jaccard(sk, asked, m, k=k).select((F.col("query_id") / 1_000_000).cast("long").alias("query_id"), F.lit(m).alias("estimator"), F.col("jaccard").alias("estimate"))
         found = one if found is None else found.unionByName(one)
     return metrics.relative_error(found, exact.jaccard(memberships, pairs), by=("estimator",), on=("query_id",))
-
-
-__all__ = ["combine", "drawn", "errors", "k_mins_errors", "poisson_errors", "queries_of", "selectivity", "sketches", "truths", "uniform_jaccard_errors", "union_and_intersection"]
