@@ -12,7 +12,7 @@ whether it was seen or not; rounding counts down only lowers them.
 
 Word counts reach the documents without a broadcast: documents lie in parts of bounded bytes, every part asks for the
 counts of its distinct words, and the answers are grouped with the part. A part holds documents of one class of length, so
-that it has PART_BYTES at most, or one document.
+that it has twice PART_BYTES at most, or one document.
 
 Defined cases: a null text is empty and has the end token only; a null doc_id belongs to the training documents; repeated
 rows count as often as they stand; without training documents every count is 0; an empty table gives an empty result.
@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 from .common import RollingHash, flat_bytes, load, materialize, mix, ranges, slices
 
 #: Rows of a file that make a part of short texts; texts twice as long come half as many to a part, and so on.
-PART_ROWS, PART_BYTES = 2048, 16 << 20
+PART_ROWS, PART_BYTES = 2048, 64 << 20
 #: Pseudo-count of the word distribution behind every history.
 PRIOR = 4.0
 BITS_A_KEY, PROBES, MOST_LEVELS = 12, 6, 48
