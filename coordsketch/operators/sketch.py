@@ -29,15 +29,24 @@ def _bounded(cut: DataFrame, k: int, by: list[str]) -> DataFrame:
     return cut.withColumn("bound", F.coalesce(bound, F.lit(INF))).where(F.col("pos") <= k)
 
 
+def _allow_group_limit(df: DataFrame, k: int) -> None:
+    """Spark cuts groups before the shuffle only up to a threshold, which must not be under k + 1. Plans are made when they run,
+    so a raised threshold has to stay; it changes no results."""
+    spark, name = df.sparkSession, "spark.sql.optimizer.windowGroupLimitThreshold"
+    if int(spark.conf.get(name, "1000")) < k + 1:
+        spark.conf.set(name, str(k + 1))
+
+
 def bottom_k(memberships: DataFrame, k: int, family: str = "exponential", seed: Column | int | str = 0, *, attrs: tuple[str, ...] = (), method: str = "xxhash64", salt: int = 0, by: tuple[str, ...] = ()) -> DataFrame:
     """The sketch of every set: set_id, pos, key, weight, rank, bound, attrs.
 
     salt > 1 cuts every set in that many parts first, so no task sees all of a heavy set. by: further grouping columns
-    (such as a seed column for repeated draws). Spark cuts groups before the shuffle as long as k + 1 is at most
-    spark.sql.optimizer.windowGroupLimitThreshold; for a larger k, raise it or use bottom_k_prefiltered.
+    (such as a seed column for repeated draws). For k of 1000 and more, spark.sql.optimizer.windowGroupLimitThreshold of the
+    session is raised to k + 1.
 
     Defined cases: rows with a null set_id or key are no memberships, keys of weight zero are never sampled, and a null or
     negative weight raises an error; repeated rows count once; ties in rank go by key; an empty table gives an empty sketch."""
+    _allow_group_limit(memberships, k)
     group = [*by, "set_id"]
     ranked = with_rank(memberships.select(*group, "key", "weight", *attrs), family, seed, method)
     if salt > 1:

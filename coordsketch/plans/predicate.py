@@ -1,22 +1,18 @@
 """Predicates over set memberships and key attributes, and what follows from their meaning.
 
-A predicate is analysed by its truth table over memberships and attribute conditions, so equivalent formulas are treated
+A predicate is analysed by its decision diagram over memberships and attribute conditions, so equivalent formulas are treated
 alike: which sets matter, and whether the predicate is an attribute filter over the whole union of these sets (then the
 long combination answers it) or needs to know memberships (then only the short one does).
 """
 
 from __future__ import annotations
 
-import itertools
 import re
 from dataclasses import dataclass
 
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
-#: Atoms up to which truth tables are made; larger predicates are analysed by structure.
-TABLE_ATOMS = 16
-
 
 class Pred:
     def __and__(self, other: Pred) -> Pred:
@@ -103,61 +99,116 @@ def holds(p: Pred, member: frozenset, true_attrs: frozenset) -> bool:
     return all(values) if isinstance(p, And) else any(values)
 
 
-def _subsets(names: list[str]):
-    for n in range(len(names) + 1):
-        yield from map(frozenset, itertools.combinations(names, n))
+class Diagram:
+    """The reduced ordered decision diagram of a predicate: equivalent predicates have equal diagrams, however they are written.
+
+    Attribute conditions come first, then sets. Nodes are numbers, 0 and 1 the constants. AtLeast over n sets has n q nodes."""
+
+    def __init__(self, p: Pred):
+        self.names = [("attr", x) for x in sorted(set(_attrs(p)))] + [("set", x) for x in sorted(set(_sets(p)))]
+        self.place = {x: i for i, x in enumerate(self.names)}
+        self.node: list[tuple[int, int, int]] = [(len(self.names), 0, 0), (len(self.names), 1, 1)]
+        self._known: dict[tuple[int, int, int], int] = {}
+        self._joined: dict[tuple[str, int, int], int] = {}
+        self.root = self._build(p)
+
+    def _make(self, at: int, low: int, high: int) -> int:
+        if low == high:
+            return low
+        key = (at, low, high)
+        if key not in self._known:
+            self._known[key] = len(self.node)
+            self.node.append(key)
+        return self._known[key]
+
+    def _join(self, how: str, a: int, b: int) -> int:
+        end = {"and": (0, 1), "or": (1, 0)}[how]  # what decides at once, and what leaves the other as it is
+        if a == b or b == end[1]:
+            return a
+        if end[0] in (a, b):
+            return end[0]
+        if a == end[1]:
+            return b
+        key = (how, min(a, b), max(a, b))
+        if key not in self._joined:
+            (i, al, ah), (j, bl, bh) = self.node[a], self.node[b]
+            if i < j:
+                bl = bh = b
+            elif j < i:
+                al = ah = a
+            self._joined[key] = self._make(min(i, j), self._join(how, al, bl), self._join(how, ah, bh))
+        return self._joined[key]
+
+    def _turn(self, a: int) -> int:
+        if a < 2:
+            return 1 - a
+        key = ("not", a, a)
+        if key not in self._joined:
+            at, low, high = self.node[a]
+            self._joined[key] = self._make(at, self._turn(low), self._turn(high))
+        return self._joined[key]
+
+    def at_least(self, q: int, sets) -> int:
+        times: dict[int, int] = {}
+        for x in sets:
+            times[self.place["set", x]] = times.get(self.place["set", x], 0) + 1
+        below = [1] + [0] * max(q, 0)  # by how many are still needed
+        for at in sorted(times, reverse=True):
+            below = [1] + [self._make(at, below[need], below[max(0, need - times[at])]) for need in range(1, max(q, 0) + 1)]
+        return below[max(q, 0)]
+
+    def _build(self, p: Pred) -> int:
+        if isinstance(p, In):
+            return self._make(self.place["set", p.set_id], 0, 1)
+        if isinstance(p, Attr):
+            return self._make(self.place["attr", p.sql], 0, 1)
+        if isinstance(p, AtLeast):
+            return self.at_least(p.q, p.sets)
+        if isinstance(p, Not):
+            return self._turn(self._build(p.part))
+        if isinstance(p, Or) and all(isinstance(x, In) for x in p.parts):
+            return self.at_least(1, {x.set_id for x in p.parts})
+        how = "and" if isinstance(p, And) else "or"
+        found = 1 if how == "and" else 0
+        for x in p.parts:
+            found = self._join(how, found, self._build(x))
+        return found
+
+    def reached(self, follow) -> set[int]:
+        """All nodes from the root on, going on from each to follow(node)."""
+        found, todo = set(), [self.root]
+        while todo:
+            a = todo.pop()
+            if a not in found:
+                found.add(a)
+                todo.extend(follow(a))
+        return found
+
+    def kind(self, a: int) -> str:
+        return self.names[self.node[a][0]][0] if a > 1 else "end"
+
+    def sets(self) -> frozenset[str]:
+        every = self.reached(lambda a: self.node[a][1:] if a > 1 else ())
+        return frozenset(self.names[self.node[a][0]][1] for a in every if self.kind(a) == "set")
 
 
 def relevant_sets(p: Pred) -> frozenset[str]:
     """The sets whose membership can change the predicate's value."""
-    sets, attrs = sorted(set(_sets(p))), sorted(set(_attrs(p)))
-    if len(sets) + len(attrs) > TABLE_ATOMS:
-        return frozenset(sets)
-    found = set()
-    for true_attrs in _subsets(attrs):
-        for member in _subsets(sets):
-            value = holds(p, member, true_attrs)
-            found |= {s for s in sets if s not in member and s not in found and holds(p, member | {s}, true_attrs) != value}
-    return frozenset(found)
-
-
-def _structure(p: Pred) -> tuple[frozenset, bool] | None:
-    """Large predicates: the sets of a union filter, and whether attributes occur; None for anything else."""
-    if isinstance(p, In):
-        return frozenset([p.set_id]), False
-    if isinstance(p, AtLeast) and p.q == 1:
-        return frozenset(p.sets), False
-    if isinstance(p, Or):
-        parts = [_structure(x) for x in p.parts]
-        if all(x and not x[1] for x in parts):
-            return frozenset().union(*(x[0] for x in parts)), False
-    if isinstance(p, And):
-        unions = [x for x in p.parts if _sets(x)]
-        if len(unions) == 1 and (found := _structure(unions[0])):
-            return found[0], True
-    return None
+    return Diagram(p).sets()
 
 
 def best_combination(p: Pred) -> str:
     """long for an attribute filter over the whole union of the relevant sets, else short."""
-    sets, attrs = sorted(relevant_sets(p)), sorted(set(_attrs(p)))
-    if len(sets) + len(attrs) > TABLE_ATOMS:
-        return "long" if _structure(p) else "short"
-    for true_attrs in _subsets(attrs):
-        values = {bool(member): set() for member in (frozenset(), frozenset(sets))}
-        for member in _subsets(sets):
-            values[bool(member)].add(holds(p, member, true_attrs))
-        if len(values.get(True, {False})) > 1:
-            return "short"
-    return "long"
+    d = Diagram(p)
+    union = d.at_least(1, d.sets())
+    ends = {a for a in d.reached(lambda a: d.node[a][1:] if d.kind(a) == "attr" else ()) if d.kind(a) != "attr"}
+    return "long" if ends <= {0, 1, union, d._turn(union)} else "short"
 
 
 def bounded(p: Pred) -> bool:
     """True if only keys of some relevant set can satisfy the predicate."""
-    attrs = sorted(set(_attrs(p)))
-    if len(attrs) > TABLE_ATOMS:
-        return _structure(p) is not None
-    return not any(holds(p, frozenset(), true) for true in _subsets(attrs))
+    d = Diagram(p)
+    return 1 not in d.reached(lambda a: d.node[a][1:2] if d.kind(a) == "set" else d.node[a][1:] if a > 1 else ())
 
 
 def to_column(p: Pred, member_of: Column | None = None) -> Column:

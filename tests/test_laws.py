@@ -193,3 +193,38 @@ def test_odd_memberships(spark):
     none = sketch.bottom_k(rows.where("false"), 3)
     qs = estimate.query_sets(spark, {1: ["s", "t"]})
     assert none.count() == combine.short(none, qs).count() == combine.long(none, qs).count() == combine.union_sketch(none, qs, 3).count() == 0
+
+
+def _random_predicate(rng, depth):
+    kind = int(rng.integers(0, 3 if depth == 0 else 7))
+    sets = ["a", "b", "c", "d"]
+    if kind == 0:
+        return P.In(str(rng.choice(sets)))
+    if kind == 1:
+        return P.Attr(str(rng.choice(["x > 1", "y = 2"])))
+    if kind == 2:
+        return P.AtLeast(int(rng.integers(0, 4)), tuple(str(s) for s in rng.choice(sets, 3)))
+    if kind == 3:
+        return P.Not(_random_predicate(rng, depth - 1))
+    parts = tuple(_random_predicate(rng, depth - 1) for _ in range(int(rng.integers(1, 4))))
+    return P.And(parts) if kind in (4, 5) else P.Or(parts)
+
+
+def test_predicates_are_analysed_as_their_truth_tables_say():
+    rng = np.random.default_rng(5)
+    subsets = lambda names: [frozenset(c) for n in range(len(names) + 1) for c in itertools.combinations(names, n)]
+    seen = set()
+    for _ in range(600):
+        p = _random_predicate(rng, 3)
+        true, members = subsets(["x > 1", "y = 2"]), subsets(["a", "b", "c", "d"])
+        table = {(t, m): P.holds(p, m, t) for t in true for m in members}
+        relevant = {s for s in "abcd" if any(table[t, m] != table[t, m | {s}] for t in true for m in members)}
+        assert P.relevant_sets(p) == relevant
+        assert P.bounded(p) == (not any(table[t, frozenset()] for t in true))
+        plain = all(len({table[t, m] for m in members if m and m <= relevant}) < 2 for t in true)
+        assert P.best_combination(p) == ("long" if plain else "short")
+        seen.add((plain, P.bounded(p)))
+    assert len(seen) == 4
+    many = [f"s{i}" for i in range(300)]
+    assert P.best_combination(P.any_of(many) & P.Attr("x > 1")) == "long" and P.best_combination(P.AtLeast(3, tuple(many))) == "short"
+    assert P.relevant_sets(P.any_of(many) & (P.In("t") | ~P.In("t"))) == frozenset(many) and P.bounded(P.AtLeast(3, tuple(many)))
