@@ -123,27 +123,45 @@ def maximal_repeats(data: np.ndarray, at: np.ndarray, ends: np.ndarray, begins:
             yield height, order[first : last + 1]
 
 
-def _repeated_in(rows: list[tuple], length: int) -> Iterator[tuple[int, int, int, int]]:
-    """low, class, start, end of the context bytes inside maximal repeats; rows: (low, class, context) of whole buckets."""
-    raw = [r[2] for r in rows]
-    sizes = np.fromiter(map(len, raw), np.int64, len(raw))
-    starts = np.cumsum(sizes) - sizes
-    data = np.frombuffer(b"".join(raw), np.uint8)
+def _joined(rows: list[tuple]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The bytes of all contexts, and each context's start and size; rows: (low, class, context)."""
+    sizes = np.fromiter((len(r[2]) for r in rows), np.int64, len(rows))
+    return np.frombuffer(b"".join(r[2] for r in rows), np.uint8), np.cumsum(sizes) - sizes, sizes
+
+
+def _repeats_in(rows: list[tuple], length: int) -> Iterator[tuple[int, np.ndarray]]:
+    """(length, places in the joined bytes) of every maximal repeat of each bucket; rows: (low, class, context) of whole buckets."""
+    data, starts, sizes = _joined(rows)
     counts = sizes - length + 1
-    at, owner = ranges(starts, counts), np.repeat(np.arange(len(raw)), counts)
+    at, owner = ranges(starts, counts), np.repeat(np.arange(len(rows)), counts)
     bucket = np.array([r[0] for r in rows], np.int64)
     full = RollingHash(data).of(at, at + length)
     _, group, times = np.unique(mix(full ^ mix(bucket[owner].view(np.uint64))), return_inverse=True, return_counts=True)
     twice = np.flatnonzero(times[group] > 1)  # other suffixes share no prefix of that length with any
-    if not len(twice):
-        return
-    marks = np.zeros(len(data) + 1, np.int64)
     ends = (starts + sizes)[owner]
     for low in np.unique(bucket[owner[twice]]):
         mine = twice[bucket[owner[twice]] == low]
         for height, members in maximal_repeats(data, at[mine], ends[mine], starts[owner[mine]], length):
-            np.add.at(marks, at[mine][members], 1)
-            np.add.at(marks, at[mine][members] + height, -1)
+            yield height, at[mine][members]
+
+
+def _groups_in(rows: list[tuple], length: int) -> Iterator[tuple[int, int, int, int, int]]:
+    """low, class, start in the context, length and group of every occurrence of the maximal repeats."""
+    data, starts, _ = _joined(rows)
+    hashes = RollingHash(data)
+    for height, places in _repeats_in(rows, length):
+        group = int(hashes.of(places[:1], places[:1] + height).view(np.int64)[0])
+        for place, o in zip(places.tolist(), (np.searchsorted(starts, places, "right") - 1).tolist(), strict=True):
+            yield rows[o][0], rows[o][1], place - int(starts[o]), height, group
+
+
+def _repeated_in(rows: list[tuple], length: int) -> Iterator[tuple[int, int, int, int]]:
+    """low, class, start, end of the context bytes inside maximal repeats."""
+    data, starts, _ = _joined(rows)
+    marks = np.zeros(len(data) + 1, np.int64)
+    for height, places in _repeats_in(rows, length):
+        np.add.at(marks, places, 1)
+        np.add.at(marks, places + height, -1)
     inside = np.concatenate([[False], np.cumsum(marks)[:-1] > 0, [False]])
     edges = np.flatnonzero(inside[1:] != inside[:-1])
     border = np.isin(np.arange(len(data) + 1), starts)
@@ -154,16 +172,18 @@ def _repeated_in(rows: list[tuple], length: int) -> Iterator[tuple[int, int, int
             yield rows[o][0], rows[o][1], a - int(starts[o]), b - int(starts[o])
 
 
-def _scan(buckets: DataFrame, length: int) -> DataFrame:
-    """low, class, s, e for the bucket-sorted rows low, class, context."""
+def _scan(buckets: DataFrame, length: int, groups: bool = False) -> DataFrame:
+    """low, class, s, e (or for groups low, class, s, length, group) for the bucket-sorted rows low, class, context."""
+    names = ["low", "class", "s", "length", "group"] if groups else ["low", "class", "s", "e"]
+    kinds = [pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int64()][: len(names)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[tuple] = []
         room = 0
 
         def out(rows: list[tuple]) -> pa.RecordBatch:
-            found = list(_repeated_in(rows, length))
-            return pa.RecordBatch.from_arrays([pa.array([f[i] for f in found], t) for i, t in enumerate((pa.int64(), pa.int64(), pa.int32(), pa.int32()))], ["low", "class", "s", "e"])
+            found = list((_groups_in if groups else _repeated_in)(rows, length))
+            return pa.RecordBatch.from_arrays([pa.array([f[i] for f in found], t) for i, t in enumerate(kinds)], names)
 
         for batch in batches:
             for row in zip(batch["low"].to_pylist(), batch["class"].to_pylist(), batch["context"].to_pylist(), strict=True):
@@ -175,20 +195,23 @@ def _scan(buckets: DataFrame, length: int) -> DataFrame:
         if held:
             yield out(held)
 
-    return buckets.mapInArrow(run, "low long, class long, s int, e int")
+    dealt = buckets.select("low", "class", "context").repartition("low").sortWithinPartitions("low", "class")
+    return dealt.mapInArrow(run, "low long, class long, s int, length int, `group` long" if groups else "low long, class long, s int, e int")
 
 
-def repeated_ranges(docs_keyed: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
-    """key, s, e: byte ranges of keyed texts (columns key, text) whose union is all bytes of repeated strings."""
+def _buckets(docs_keyed: DataFrame, length: int, gram: int) -> tuple[DataFrame, DataFrame]:
+    """The contexts (key, low, class, at, starts) of buckets of several ones, and their classes with counts and one member each."""
     found = anchors(docs_keyed, length, gram)
     shared = found.groupBy("low").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("low")
     held = materialize(found.join(shared, "low"))
     classes = held.groupBy("low", "class").agg(F.count(F.lit(1)).alias("n"), F.first(F.struct("key", "at", "starts")).alias("one"))
     sizes = classes.groupBy("low").agg(F.count(F.lit(1)).alias("classes"), F.min("n").alias("least"))
-    known = materialize(classes.join(sizes, "low").select("low", "class", "n", "one.*", "classes", "least"))
-    whole = known.where("n > 1").select("low", "class", F.lit(0).alias("s"), (F.col("starts") + length - 1).cast("int").alias("e"))
+    return held, materialize(classes.join(sizes, "low").select("low", "class", "n", "one.*", "classes", "least"))
+
 
-    wanted = known.where("classes > 1 and least = 1").select("key", F.struct("low", "class", "n", "at", "starts", (F.col("classes") > MOST_CLASSES).alias("many")).alias("w"))
+def _fetched(docs_keyed: DataFrame, known: DataFrame, length: int) -> DataFrame:
+    """For one member of each class of known: low, class, n and its context, or, in buckets of very many classes, its suffixes."""
+    wanted = known.select("key", F.struct("low", "class", "n", "at", "starts", (F.col("classes") > MOST_CLASSES).alias("many")).alias("w"))
     wanted = wanted.groupBy("key").agg(F.collect_list("w").alias("wanted"))
 
     def fetch(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -213,9 +236,15 @@ def repeated_ranges(docs_keyed: DataFrame, length: int = LENGTH, gram: int = GRA
                 own = [pa.array(np.repeat(np.array([r[i] for r in some], np.int64), counts)) for i in range(3)]
                 yield pa.RecordBatch.from_arrays([*own, pa.nulls(len(windows), pa.binary()), pa.array((windows - np.repeat(at, counts)).astype(np.int32)), pa.array(hashes.view(np.int64))], names)
 
-    fetched = docs_keyed.join(wanted, "key").select("text", "wanted").mapInArrow(fetch, "low long, class long, n long, context binary, start int, suffix long")
-    fetched = materialize(fetched)
-    arrays = _scan(fetched.where("context is not null").select("low", "class", "context").repartition("low").sortWithinPartitions("low", "class"), length)
+    return materialize(docs_keyed.join(wanted, "key").select("text", "wanted").mapInArrow(fetch, "low long, class long, n long, context binary, start int, suffix long"))
+
+
+def repeated_ranges(docs_keyed: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
+    """key, s, e: byte ranges of keyed texts (columns key, text) whose union is all bytes of repeated strings."""
+    held, known = _buckets(docs_keyed, length, gram)
+    whole = known.where("n > 1").select("low", "class", F.lit(0).alias("s"), (F.col("starts") + length - 1).cast("int").alias("e"))
+    fetched = _fetched(docs_keyed, known.where("classes > 1 and least = 1"), length)
+    arrays = _scan(fetched.where("context is not null"), length)
     parts = fetched.where("context is null")
     often = parts.groupBy("low", "suffix").agg(F.sum("n").alias("times")).where("times > 1").select("low", "suffix")
     dealt = parts.join(often, ["low", "suffix"]).select("low", "class", F.col("start").alias("s"), (F.col("start") + length).cast("int").alias("e"))
@@ -223,6 +252,24 @@ def repeated_ranges(docs_keyed: DataFrame, length: int = LENGTH, gram: int = GRA
     return held.join(ranges_of, ["low", "class"]).select("key", (F.col("at") + F.col("s")).alias("s"), (F.col("at") + F.col("e")).alias("e"))
 
 
+def repeat_groups(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
+    """group, length, key (of the row's doc_id and text), doc_id, start: every maximal repeat of at least `length` bytes within
+    a context, with all of its occurrences. Contexts that are equal as a whole are a group; so a repeat longer than a context is a
+    chain of overlapping groups. In buckets of very many classes, groups are the repeated strings of `length` bytes."""
+    keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).withColumn("key", row_key())
+    held, known = _buckets(keyed.select("key", "text"), length, gram)
+    fetched = _fetched(keyed.select("key", "text"), known.where("classes > 1"), length)
+    arrays = materialize(_scan(fetched.where("context is not null"), length, groups=True))
+    whole = known.where((F.col("n") > 1) & (F.col("classes") <= MOST_CLASSES)).select("low", "class", F.lit(0).alias("s"), (F.col("starts") + length - 1).cast("int").alias("length"), F.col("class").alias("group"))
+    whole = whole.join(arrays, ["low", "class", "s", "length"], "left_anti")  # those stand within other contexts, too, and are there
+    parts = fetched.where("context is null")
+    often = parts.groupBy("low", "suffix").agg(F.sum("n").alias("times")).where("times > 1").select("low", "suffix")
+    dealt = parts.join(often, ["low", "suffix"]).select("low", "class", F.col("start").alias("s"), F.lit(length).alias("length"), F.xxhash64("low", "suffix").alias("group"))
+    found = held.join(whole.unionByName(arrays).unionByName(dealt), ["low", "class"]).select("group", "length", "key", (F.col("at") + F.col("s")).alias("start"))
+    names = keyed.select("key", "doc_id").distinct()
+    return found.join(names, "key").select("group", "length", "key", "doc_id", "start").distinct()
+
+
 def without_repeats(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept (bytes), spans (start, end of what went) of every row of docs."""
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
@@ -255,4 +302,4 @@ def query(spark, sf_dir: str) -> DataFrame:
     return left.select("doc_id", "n_bytes", "n_removed", "n_spans", F.sha2("kept", 256).alias("kept_sha256"))
 
 
-__all__ = ["contexts", "intervals", "maximal_repeats", "query", "repeated_ranges", "suffix_array", "without_repeats"]
+__all__ = ["contexts", "intervals", "maximal_repeats", "query", "repeat_groups", "repeated_ranges", "suffix_array", "without_repeats"]

@@ -65,6 +65,29 @@ def test_repeats(docs, empty, monkeypatch):
     assert repeats.without_repeats(empty).count() == 0
 
 
+def test_repeat_groups_hold_all_occurrences(docs, monkeypatch):
+    rows = {d: b for d, b in raw(docs)}
+    assert len(rows) + 1 == len(raw(docs))  # one row stands twice
+    for most in (1024, 1):
+        monkeypatch.setattr(repeats, "MOST_CLASSES", most)
+        got = repeats.repeat_groups(docs, 50, 20).collect()
+        groups = {}
+        for r in got:
+            groups.setdefault((r["group"], r["length"]), set()).add((r["doc_id"], r["start"]))
+        copies = Counter((d, b) for d, b in raw(docs))
+        covered = {d: np.zeros(len(b), bool) for d, b in rows.items()}
+        for (_, n), places in groups.items():
+            strings = {rows[d][s : s + n] for d, s in places}
+            assert len(strings) == 1
+            (string,) = strings
+            assert {(d, i) for d, b in rows.items() for i in range(len(b) - n + 1) if b[i : i + n] == string} == places
+            assert sum(copies[d, rows[d]] for d, _ in places) > 1
+            for d, s in places:
+                covered[d][s : s + n] = True
+        removed = {r["doc_id"]: r["n_removed"] for r in repeats.without_repeats(docs, 50, 20).collect()}
+        assert {d: int(c.sum()) for d, c in covered.items()} == removed
+
+
 def test_suffix_array_and_intervals():
     data = np.frombuffer(b"banana$anab", np.uint8)
     at = np.arange(len(data))
