@@ -44,6 +44,11 @@ CUES = {
     "phone": "phone|tel|call|mobile|fax|telefon|fono",
     "secret": "token|key|secret|password|passwd|pwd|auth|bearer",
 }
+#: Gazetteer of prefixes and endings, fixed values: calling codes of the telephone zones, first digits of payment cards, generic
+#: and country domains (any two letters), and endings that no domain has.
+CALLING = r"^\+(?:1|7|2[07]|3[0-469]|4[013-9]|5[1-8]|6[0-6]|8[1246]|9[0-58]|(?:21|22|23|24|25|26|29|35|37|38|42|50|59|67|68|80|85|87|88|96|97|99)[0-9])"
+ISSUER, NO_ISSUER = "^(?:4|5[1-5]|2[2-7]|3[4-7]|6)", "^[0179]"
+DOMAIN, NO_DOMAIN = r"\.(?:com|org|net|edu|gov|mil|int|info|biz|name|pro|io|dev|app|cloud|online|example|test|[A-Za-z]{2})$", r"\.[0-9-]+$"
 LABELERS = 5
 EM_ROUNDS = 60
 
@@ -112,7 +117,7 @@ def _voted(span: Column) -> Column:
         _vote(cue, F.lit(False)),
         _vote(before.rlike(r"[\s:=\"'(<,;]$") | (F.length(before) == 0), before.rlike(r"[0-9a-z.]$")),
         _vote(F.when(kind == "card", digits.between(15, 16)).when(kind == "phone", digits.between(10, 13)).when(secret, (digits * 4 >= n) & (n >= 24)).otherwise(n >= 9), F.when(kind == "card", digits > 19).when(kind == "phone", (digits < 8) | (digits > 15)).when(secret, digits * 10 < n).otherwise(n < 7)),
-        _vote(F.when(kind == "email", value.rlike(r"\.(?:com|org|net|edu|example|info|io|de|fr|es)$")).when(kind == "card", value.rlike("^[3-6]")).when(kind == "ip", ~value.rlike(r"^0|\.0[0-9]")).when(kind == "phone", value.rlike(r"^\+[1-9]")), F.when(kind == "card", value.rlike("^[01]"))),
+        _vote(F.when(kind == "email", value.rlike(DOMAIN)).when(kind == "card", value.rlike(ISSUER)).when(kind == "ip", ~value.rlike(r"^0|\.0[0-9]")).when(kind == "phone", value.rlike(CALLING)), F.when(kind == "email", value.rlike(NO_DOMAIN)).when(kind == "card", value.rlike(NO_ISSUER)).when(kind == "phone", ~value.rlike(CALLING))),
     )
     features = F.array(
         F.concat(kind, F.lit(":length:"), F.least((n / 4).cast("int"), F.lit(12)).cast("string")),

@@ -376,6 +376,27 @@ def test_pii(docs, empty):
     assert pii.personal_spans(empty).count() == 0 and pii.redact(empty).count() == 0
 
 
+def test_added_spans_find_secrets_and_leave_names_alone(spark):
+    rng = np.random.default_rng(12)
+    hexes = lambda n: "".join(rng.choice(list("0123456789abcdef"), n))
+    plain = lambda: "-".join("".join(rng.choice(list("abcdefghij"), 6)) for _ in range(5)) + f"-{int(rng.integers(1, 9))}"
+    rows, spots = [], {}
+    for i in range(300):
+        lead = "some words of a text " * int(rng.integers(1, 4))
+        if i % 3 == 0:
+            value = hexes(40)
+            lead += f'{rng.choice(["token", "key", "secret"])} = "'
+            spots[i] = (len(lead), len(lead) + 40)
+            rows.append((i, lead + value + '" and more words'))
+        elif i % 3 == 1:
+            rows.append((i, lead + "see the page " + plain() + " for that"))
+        else:
+            rows.append((i, lead + "and nothing else"))
+    got = {r["doc_id"]: [(s["start"], s["end"]) for s in r["spans"] if s["kind"] == "secret"] for r in pii.personal_spans(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert sum(got[i] == [spot] for i, spot in spots.items()) >= 0.95 * len(spots)
+    assert sum(bool(s) for i, s in got.items() if i not in spots) <= 0.02 * len(rows)
+
+
 def test_reliabilities():
     rng = np.random.default_rng(4)
     counts, truth = Counter(), {}
