@@ -204,7 +204,8 @@ def _buckets(docs_keyed: DataFrame, length: int, gram: int) -> tuple[DataFrame,
     found = anchors(docs_keyed, length, gram)
     shared = found.groupBy("low").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("low")
     held = materialize(found.join(shared, "low"))
-    classes = held.groupBy("low", "class").agg(F.count(F.lit(1)).alias("n"), F.first(F.struct("key", "at", "starts")).alias("one"))
+    # written, so that a minimum with very many classes is dealt out by class here, and may be split in the join below
+    classes = materialize(held.groupBy("low", "class").agg(F.count(F.lit(1)).alias("n"), F.first(F.struct("key", "at", "starts")).alias("one")))
     sizes = classes.groupBy("low").agg(F.count(F.lit(1)).alias("classes"), F.min("n").alias("least"))
     return held, materialize(classes.join(sizes, "low").select("low", "class", "n", "one.*", "classes", "least"))
 
