@@ -30,9 +30,10 @@ def _periods(weighted: bool) -> str:
       join customer on c_custkey = o_custkey where p between 0 and 4"""
 
 
-def _buyers() -> str:
-    return f"""select distinct 'b' || l_partkey::varchar as set_id, o_custkey as key, {_skew("o_custkey")} as weight
-      from lineitem join part on l_partkey = p_partkey join orders on l_orderkey = o_orderkey where p_brand = 'Brand#6'"""
+def _buyers(brand: str | None = "Brand#6", weight: str = _skew("o_custkey")) -> str:
+    chosen = f" where p_brand = '{brand}'" if brand else ""
+    return f"""select distinct 'b' || l_partkey::varchar as set_id, o_custkey as key, {weight} as weight
+      from lineitem join part on l_partkey = p_partkey join orders on l_orderkey = o_orderkey{chosen}"""
 
 
 _BRANDS = """select p_brand as set_id, l_orderkey as key, 1.0::double as weight, max(n) as lines
@@ -283,7 +284,7 @@ ORACLES = {
       t as (select set_id, arg_min(({K} - j) / (total - top), j) as thr from w where j < {K} and weight * (({K} - j) / (total - top)) <= 1 group by 1),
       n as (select set_id, case when count(*) > {K} then any_value(thr) end as thr from m left join t using (set_id) group by 1)
       select set_id, key, round(thr, 8) as threshold from (select m.*, {_u(repr(str(SEED)), 'key')} as u, thr from m join n using (set_id)) where thr is null or u / weight < thr""",
-    **{f"bottom_k_{short}": f"with {_sketch(_buyers(), K_SMALL, family)} select set_id, pos::int as pos, key, round(rank, 8) as rank, {_FIN} from sk" for short, family in (("exp", "exponential"), ("pri", "priority"), ("uniform", "uniform"))},
+    **{f"bottom_k_{short}": f"with {_sketch(_buyers(None), K_SMALL, family)} select set_id, pos::int as pos, key, round(rank, 8) as rank, {_FIN} from sk" for short, family in (("exp", "exponential"), ("pri", "priority"), ("uniform", "uniform"))},
     **{f"{name}": f"{_base(kind)} select query_id, key, {_FIN}, sets from comb" for name, kind in (("union_sketch", "union"), ("short_combination", "short"), ("long_combination", "long"))},
     **{f"adj_{kind}": f"{_base(kind)} select query_id, key, round({_adj()}, 6) as adj from comb" for kind in ("union", "short", "long")},
     **{f"adj_{kind}_priority": f"{_base(kind, 'priority')} select query_id, key, round({_adj('priority')}, 6) as adj from comb" for kind in ("short", "long")},
@@ -348,8 +349,8 @@ ORACLES = {
     "errors_w1_many_draws": _errors(_spans(_W1), "uniform", draws=64),
     "errors_w2_i": _by("i", {str(i): _errors(_spans({f"S{j}": _W2[f"S{j}"] for j in range(i)}), "uniform") for i in (2, 3, 4, 5)}),
     "errors_w4_i": _by("i", {str(i): _errors(f"select set_id, key, weight from ({_periods(False)}) where set_id < 'p{i}'", "uniform") for i in (2, 3, 4, 5)}),
-    "errors_w5_brand": _union_errors(_buyers().replace(_skew("o_custkey"), "1.0::double"), "uniform", ERROR_K, DRAWS),
-    "errors_w5_all": _union_errors(_buyers().replace(_skew("o_custkey"), "1.0::double").replace("where p_brand = 'Brand#6'", ""), "uniform", K_SMALL, DRAWS),
+    "errors_w5_brand": _union_errors(_buyers(weight="1.0::double"), "uniform", ERROR_K, DRAWS),
+    "errors_w5_all": _union_errors(_buyers(None, "1.0::double"), "uniform", K_SMALL, DRAWS),
     "errors_w5_documents": _union_errors(_DOCS, "uniform", K_SMALL, DRAWS),
     "errors_w16": _by("share", {f"'{f}'": _errors(_spans(_het(f)), "uniform") for f in ("1.0", "0.5", "0.1", "0.01")}),
     "errors_b8": f"select estimator, avg_rel_error, mean_size from ({_union_errors(_spans(_het('1.0')), 'uniform', ERROR_K, DRAWS)}) union all select 'union_of_size_l', avg_rel_error, mean_size from ({_union_errors(_spans(_het('1.0')), 'uniform', 2 * ERROR_K, DRAWS)}) where estimator = 'union'",

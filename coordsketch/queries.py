@@ -62,7 +62,7 @@ def _convert(spark, d):
 
 def _bottom(family):
     def run(spark, d):
-        sk = sketch.bottom_k(D.part_buyers(spark, d, weighted=True), K_SMALL, family, SEED, **MD5)
+        sk = sketch.bottom_k(D.part_buyers(spark, d, None, weighted=True), K_SMALL, family, SEED, **MD5)
         return sk.select("set_id", "pos", "key", F.round("rank", 8).alias("rank"), finite("bound"))
 
     return run
