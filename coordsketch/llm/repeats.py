@@ -202,8 +202,9 @@ def _scan(buckets: DataFrame, length: int, groups: bool = False) -> DataFrame:
 def _buckets(docs_keyed: DataFrame, length: int, gram: int) -> tuple[DataFrame, DataFrame]:
     """The contexts (key, low, class, at, starts) of buckets of several ones, and their classes with counts and one member each."""
     found = anchors(docs_keyed, length, gram)
-    shared = found.groupBy("low").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("low")
-    held = materialize(found.join(shared, "low"))
+    # written, so that the join below may split a minimum that very many contexts have
+    shared = materialize(found.groupBy("low").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("low"))
+    held = materialize(found.join(shared.hint("merge"), "low"))
     # written, so that a minimum with very many classes is dealt out by class here, and may be split in the join below
     classes = materialize(held.groupBy("low", "class").agg(F.count(F.lit(1)).alias("n"), F.first(F.struct("key", "at", "starts")).alias("one")))
     sizes = classes.groupBy("low").agg(F.count(F.lit(1)).alias("classes"), F.min("n").alias("least"))
