@@ -93,7 +93,7 @@ def ranges(spark: SparkSession, sf_dir: str, spans: dict[str, list[tuple[str, st
     """Order keys by ranges. spans: set -> (from, to) as SQL over n, the number of orders; `to` is exclusive."""
     orders = load(spark, sf_dir, "orders")
     n = orders.count()
-    rows = orders.select(F.col("o_orderkey").alias("key"), F.expr(weight).cast("double").alias("weight"), F.lit(n).alias("n"))
+    rows = orders.select(F.col("o_orderkey").alias("key"), F.expr(weight).cast("double").alias("weight"), F.lit(n).cast("long").alias("n"))  # a long: spans multiply it
     inside = [F.when(F.expr(" or ".join(f"(key >= {a} and key < {b})" for a, b in parts)), F.lit(name)) for name, parts in spans.items()]
     return rows.select("key", "weight", F.explode(F.array_compact(F.array(*inside))).alias("set_id")).select("set_id", "key", "weight")
 

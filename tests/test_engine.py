@@ -216,6 +216,15 @@ def test_sql_agrees(spark, tiny, name):
     assert rows_of(queries.QUERIES[name](spark, tiny).toPandas()) == rows_of(db.sql(oracles.ORACLES[name]).df())
 
 
+@pytest.mark.parametrize("disjoint", [True, False])
+def test_ranges_of_many_orders(spark, tmp_path, disjoint):
+    n = 3_600_000  # times 619: beyond 32 bits
+    spark.range(n).select(F.col("id").alias("o_orderkey")).write.parquet(str(tmp_path / "orders.parquet"))
+    u = n * 619 // 7500
+    got = D.ranges(spark, str(tmp_path), D.relation_spans(disjoint)).groupBy("set_id").count().collect()
+    assert {r["set_id"]: r["count"] for r in got} == {f"S{j}": (2 if disjoint else 6) * u for j in range(5)}
+
+
 def test_native_sketches_and_similar_pairs(spark, tiny):
     assert exact.native_sketches(D.periods(spark, tiny), estimate.query_sets(spark, {1: ["p0", "p1"]})).first()["hll"] > 0
     rows = members(spark, {"x": range(100), "y": range(5, 105), "z": range(300, 400)})
