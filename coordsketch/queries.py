@@ -339,7 +339,7 @@ def _errors_of(table, k, draws, measures=("union",)):
     """Unions of many sets of unlike sizes."""
 
     def run(spark, d):
-        e = workloads.errors(table(spark, d).select("set_id", "key", "weight"), k, draws, "uniform", "md5").where(F.col("measure").isin(*measures))
+        e = workloads.errors(table(spark, d).select("set_id", "key", "weight"), k, draws, "uniform", "md5", measures)
         return e.select("measure", "estimator", *[r6(c).alias(c) for c in _ERRORS])
 
     return run

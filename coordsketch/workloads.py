@@ -2,14 +2,26 @@
 
 from __future__ import annotations
 
+import hashlib
 import math
+from collections.abc import Iterator
+from functools import reduce
 
-from pyspark.sql import DataFrame
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .functions.adjust import conditioned
+from .functions.ranks import validated
 from .operators import combine, estimate, exact, metrics, selectivity
 from .operators.sketch import bottom_k, k_mins, poisson, poisson_threshold
+from .plans.lineage import stored
+
+MEASURES = ("union", "intersection", "jaccard")
+#: Rows of memberships that a task holds at a time.
+STRETCH = 1_000_000
 
 
 def drawn(memberships: DataFrame, draws: int) -> DataFrame:
@@ -24,51 +36,130 @@ def queries_of(memberships: DataFrame, draws: int) -> DataFrame:
 
 
 def sketches(memberships: DataFrame, k: int, draws: int, family: str = "uniform", method: str = "xxhash64") -> DataFrame:
+    if method == "md5":
+        rows = lowest(memberships, k, draws, family)
+        return bottom_k(rows, k, family, F.col("seed"), method=method, by=("seed",)).drop("seed")
     return bottom_k(drawn(memberships, draws), k, family, F.col("seed"), method=method, by=("seed",)).drop("seed")
 
 
-def union_and_intersection(memberships: DataFrame, k: int, draws: int, family: str = "uniform", method: str = "xxhash64") -> DataFrame:
+def lowest(memberships: DataFrame, k: int, draws: int, family: str) -> DataFrame:
+    """drawn(memberships, draws) without rows that are not among the k + 1 lowest md5 ranks of their set in a stretch of rows.
+
+    Every key of a stretch is hashed once for a draw, whatever the number of sets that hold it, and only these few rows are
+    sorted or shuffled later. Logarithms may differ in the last bit, so exponential ranks keep some rows more."""
+    kept = k + 1 + (8 if family == "exponential" else 0)
+
+    def stretch(table: pa.Table) -> Iterator[pa.RecordBatch]:
+        table = table.combine_chunks()
+        sets, names = (pc.dictionary_encode(table[c].combine_chunks()) for c in ("set_id", "_name"))
+        names, codes = names.dictionary.cast(pa.binary()).to_pylist(), names.indices.to_numpy()
+        _, at = np.unique(sets.indices.to_numpy().astype(np.int64) * len(names) + codes, return_index=True)  # repeated rows count once; by set
+        owner, code, weight = sets.indices.to_numpy()[at], codes[at], table["weight"].to_numpy()[at]
+        first = np.flatnonzero(np.diff(owner, prepend=-1))
+        size = np.diff(first, append=len(owner))
+        last = first + np.minimum(size, kept) - 1
+        for seed in range(1, draws + 1):
+            prefix = hashlib.md5(f"{seed}:".encode())
+            digests = []
+            for name in names:
+                h = prefix.copy()
+                h.update(name)
+                digests.append(h.digest()[:8])
+            u = ((np.frombuffer(b"".join(digests), ">u8") >> np.uint64(12)).astype(np.float64) + 0.5) / 2.0**52
+            rank = u[code] if family == "uniform" else (-np.log(u)[code] if family == "exponential" else u[code]) / weight
+            ordered = rank[np.lexsort((rank, owner))]
+            low = at[rank <= np.repeat(ordered[last], size)]
+            columns = {"seed": pa.array(np.full(len(low), seed, np.int32))} | {c: table[c].take(pa.array(low)).combine_chunks() for c in ("set_id", "key", "weight")}
+            for batch in pa.table(columns).to_batches(max_chunksize=100_000):
+                yield batch
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+        for batch in batches:
+            held.append(batch)
+            if sum(b.num_rows for b in held) >= STRETCH:
+                yield from stretch(pa.Table.from_batches(held))
+                held = []
+        if sum(b.num_rows for b in held):
+            yield from stretch(pa.Table.from_batches(held))
+
+    rows = validated(memberships.select("set_id", "key", "weight")).where("weight > 0").select(F.col("set_id").cast("string").alias("set_id"), "key", "weight", F.col("key").cast("string").alias("_name"))
+    types = {f.name: f.dataType.simpleString() for f in rows.schema.fields}
+    found = rows.mapInArrow(run, f"seed int, set_id string, key {types['key']}, weight double")
+    return found.withColumn("set_id", F.concat(F.col("seed").cast("string"), F.lit("|"), F.col("set_id")))
+
+
+def _sampled(memberships: DataFrame, k: int, draws: int, family: str, method: str) -> DataFrame:
+    """query_id (the draw), key, weight, rank, sets (number of sketches that hold the key), least and most of their bounds; written once.
+
+    As every draw asks for all sets, the three combinations follow from these columns."""
+    sk = sketches(memberships, k, draws, family, method).withColumn("query_id", F.split("set_id", r"\|", 2)[0].cast("long"))
+    whole = sk.groupBy("query_id", "key").agg(F.first("weight").alias("weight"), F.min("rank").alias("rank"), F.count(F.lit(1)).alias("sets"), F.min("bound").alias("least"), F.max("bound").alias("most"))
+    return stored(whole)
+
+
+def _combined(sampled: DataFrame, combo: str, family: str, k: int) -> DataFrame:
+    """The rows of estimate.combined for all sets, with the number of sets in place of member_of."""
+    if combo == "long":
+        return conditioned(sampled.withColumn("bound", F.col("most")), family)
+    low = sampled.groupBy("query_id").agg(F.min("least").alias("low"))
+    if combo == "short":
+        return conditioned(sampled.join(low, "query_id").where(F.col("rank") < F.col("low")).withColumn("bound", F.col("low")), family)
+    order = Window.partitionBy("query_id").orderBy("rank", "key")
+    placed = sampled.withColumn("pos", F.row_number().over(order)).where(F.col("pos") <= k + 1)
+    after = F.min(F.when(F.col("pos") == k + 1, F.col("rank"))).over(Window.partitionBy("query_id"))
+    held = placed.withColumn("after", after).join(low, "query_id").withColumn("bound", F.least(F.coalesce("after", F.lit(float("inf"))), "low"))
+    return conditioned(held.where((F.col("pos") <= k) & (F.col("rank") < F.col("bound"))), family)
+
+
+def union_and_intersection(memberships: DataFrame, k: int, draws: int, family: str = "uniform", method: str = "xxhash64", measures: tuple[str, ...] = MEASURES) -> DataFrame:
     """query_id, measure (union, intersection, jaccard), estimator, estimate, size, for the sets of memberships."""
-    sk = sketches(memberships, k, draws, family, method)
-    qs = queries_of(memberships, draws)
-    n = memberships.select("set_id").distinct().count()
+    sampled = _sampled(memberships, k, draws, family, method)
+    n = memberships.select("set_id").distinct().count() if set(measures) - {"union"} else -1
     found = []
     for combo in ("union", "short", "long"):
-        rows = estimate.combined(sk, qs, combo, family, k)
-        everywhere = F.size("member_of") == n
+        rows = _combined(sampled, combo, family, k)
+        everywhere = F.col("sets") == n
         sums = rows.groupBy("query_id").agg(F.sum("adj").alias("union"), F.sum(F.when(everywhere, F.col("adj")).otherwise(F.lit(0.0))).alias("intersection"), F.count(F.lit(1)).alias("size"))
         named = {"union": F.col("union")} | ({"intersection": F.col("intersection"), "jaccard": F.col("intersection") / F.col("union")} if combo != "long" else {})
+        named = {m: c for m, c in named.items() if m in measures}
+        if not named:
+            continue
         pairs = F.map_from_arrays(F.array(*map(F.lit, named)), F.array(*named.values()))
         found.append(sums.select("query_id", F.explode(pairs).alias("measure", "estimate"), F.lit(combo).alias("estimator"), "size"))
-    return found[0].unionByName(found[1]).unionByName(found[2])
+    return reduce(DataFrame.unionByName, found)
 
 
-def truths(memberships: DataFrame) -> DataFrame:
+def truths(memberships: DataFrame, measures: tuple[str, ...] = MEASURES) -> DataFrame:
     """measure, exact."""
+    if set(measures) == {"union"}:
+        held = memberships.groupBy("key").agg(F.first("weight").alias("weight"))
+        return held.agg(F.sum("weight").alias("exact")).select(F.lit("union").alias("measure"), "exact").where("exact > 0")
     held = memberships.groupBy("key").agg(F.first("weight").alias("weight"), F.count_distinct("set_id").alias("sets"))
     n = memberships.select("set_id").distinct().count()
     s = held.agg(F.sum("weight").alias("union"), F.sum(F.when(F.col("sets") == n, F.col("weight")).otherwise(F.lit(0.0))).alias("intersection"))
     named = F.map_from_arrays(F.array(F.lit("union"), F.lit("intersection"), F.lit("jaccard")), F.array(F.col("union"), F.col("intersection"), F.col("intersection") / F.col("union")))
-    return s.select(F.explode(named).alias("measure", "exact")).where("exact > 0")
+    return s.select(F.explode(named).alias("measure", "exact")).where("exact > 0").where(F.col("measure").isin(*measures))
 
 
 def _gains(est: DataFrame, truth: DataFrame, k: int) -> DataFrame:
     """est: query_id, measure, estimator, estimate, size. The errors, sizes, and what sizes alone predict."""
+    truth = stored(truth)  # a few rows, read twice
     err = metrics.relative_error(est, truth, by=("estimator",), on=("measure",))
     sizes = est.groupBy("measure", "estimator").agg(F.avg("size").alias("mean_size"))
     gained = metrics.improvement_factor(err, "union", on=("measure",)).join(sizes, ["measure", "estimator"])
     return gained.select("measure", "estimator", "avg_rel_error", "improvement", "mean_size", F.sqrt(F.col("mean_size") / k).alias("predicted_gain"), F.sqrt(F.lit(2 / math.pi) / F.col("mean_size")).alias("predicted_error"))
 
 
-def errors(memberships: DataFrame, k: int, draws: int, family: str = "uniform", method: str = "xxhash64") -> DataFrame:
+def errors(memberships: DataFrame, k: int, draws: int, family: str = "uniform", method: str = "xxhash64", measures: tuple[str, ...] = MEASURES) -> DataFrame:
     """measure, estimator, avg_rel_error, improvement, mean_size, predicted_gain, predicted_error (of a uniform union)."""
-    return _gains(union_and_intersection(memberships, k, draws, family, method), truths(memberships), k)
+    return _gains(union_and_intersection(memberships, k, draws, family, method, measures), truths(memberships, measures), k)
 
 
 def pair_errors(memberships: DataFrame, k: int, draws: int, family: str = "uniform", method: str = "xxhash64") -> DataFrame:
     """The columns of errors for two sets: also their Hamming distance (mixed: union from the long, intersection from the short
     combination), and the intersection as known totals minus the long combination's union (inclusion_exclusion)."""
-    rows = union_and_intersection(memberships, k, draws, family, method)
+    rows = stored(union_and_intersection(memberships, k, draws, family, method))
     wide = rows.where("measure <> 'jaccard'").groupBy("query_id").agg(*[F.max(F.when((F.col("measure") == m) & (F.col("estimator") == e), F.col(c))).alias(f"{m[0]}_{e}_{c}") for m in ("union", "intersection") for e in ("union", "short", "long") for c in ("estimate", "size")])
     both = memberships.dropDuplicates(["set_id", "key"]).agg(F.sum("weight").alias("both"))
     wide = wide.crossJoin(F.broadcast(both))  # one row

@@ -146,6 +146,19 @@ def test_inclusion_exclusion_is_worse(spark):
     assert k_mins["union"] < 0.25
 
 
+@pytest.mark.parametrize("family", ["uniform", "exponential", "priority"])
+def test_draws_hash_a_key_once(spark, family, monkeypatch):
+    monkeypatch.setattr(workloads, "STRETCH", 700)
+    rows = spark.range(1500).select(F.explode(F.array(F.lit("a"), F.concat(F.lit("b"), (F.col("id") % 3).cast("string")), F.lit("a"))).alias("set_id"), F.col("id").alias("key"), (1.0 + F.col("id") % 7).alias("weight"))
+    rows = rows.unionByName(spark.createDataFrame([("a", None, 1.0), (None, 5, 6.0), ("z", 7, 0.0)], "set_id string, key long, weight double"))
+    got = workloads.lowest(rows, 10, 4, family)
+    assert got.count() < 4 * 4 * 30 * 8  # of 4 draws and 4 sets, in at most 8 stretches
+    want = sketch.bottom_k(workloads.drawn(rows, 4), 10, family, F.col("seed"), method="md5", by=("seed",)).drop("seed")
+    found = workloads.sketches(rows, 10, 4, family, "md5")
+    key = lambda r: (r["set_id"], r["pos"])
+    assert [tuple(r) for r in sorted(found.collect(), key=key)] == [tuple(r) for r in sorted(want.collect(), key=key)]
+
+
 def test_exact_similar_pairs(spark):
     rng = np.random.default_rng(2)
     base = [set(rng.integers(0, 300, 20).tolist()) for _ in range(30)]
