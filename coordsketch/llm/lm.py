@@ -3,8 +3,8 @@
 Word counts of the training documents are exact. Word-pair counts are kept as logarithms in a Bloom filter: a pair seen
 c times is inserted with every level from 0 to floor(log2 c), and a pair's level is the last one of the membership probes
 that succeed in a row, or -1 if the first one fails. The filter has a segment for each range of pair hashes, so every reducer makes one from the counts it
-has summed. It is broadcast to the workers up to `most_bytes`; a larger filter is broadcast in groups of segments, and
-since every pair lies in one segment, a document's score is the sum of its scores over the groups.
+has summed. It is broadcast to the workers up to `most_bytes`; a larger filter is broadcast in groups of segments,
+and as every pair lies in one segment, a worker looks its pairs up in one group after the other, in one pass over the documents.
 
 The model: P(w | v) = (2^level(v w) + PRIOR U(w)) / (count(v) + PRIOR), where level -1 counts as never seen (0 in place of
 the power) and U(w) = (count(w) + 1) / (tokens + types + 1). With exact pair counts the probabilities of a history sum to one,
@@ -42,6 +42,8 @@ END, START = np.uint64(0x5851F42D4C957F2D), np.uint64(0x14057B7EF767814F)
 _PAIR = np.uint64(0xD1342543DE82EF95)
 #: Pairs, or tokens, that a task counts before it hands them on.
 FLUSH = 3_000_000
+#: Text that is looked up in one group of segments after the other.
+STRETCH_BYTES = 16 << 20
 
 
 def token_hashes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -93,13 +95,25 @@ class Segment:
     @classmethod
     def levels(cls, raw: np.ndarray, pairs: np.ndarray) -> np.ndarray:
         """The level of every pair: the last of the levels from 0 on that are found in a row, each by all of its probes; else -1."""
+        return cls.levels_among(raw, np.zeros(len(pairs), np.int64), np.full(len(pairs), 8 * len(raw), np.uint64), pairs)
+
+    @staticmethod
+    def levels_among(raw: np.ndarray, offset: np.ndarray, bits: np.ndarray, pairs: np.ndarray) -> np.ndarray:
+        """levels for pairs of many segments, all of them in raw: each pair's segment begins at byte offset and has so many bits.
+
+        They are looked up together, so the number of calls does not grow with the number of segments."""
         out, alive = np.full(len(pairs), -1, np.int64), np.arange(len(pairs))
         for level in range(MOST_LEVELS):
+            own, start, size = pairs[alive], offset[alive], bits[alive]
+            key = mix(own + np.uint64(level * 0x9E3779B97F4A7C15 % (1 << 64)))
+            step, at = (key >> np.uint64(32)) | np.uint64(1), key & np.uint64(0xFFFFFFFF)
             for i in range(PROBES):
                 if not len(alive):
                     return out
-                place = cls._place(pairs[alive], level, i, 8 * len(raw))
-                alive = alive[((raw[place >> 3] >> (place & 7).astype(np.uint8)) & 1).astype(bool)]
+                place = ((at + np.uint64(i) * step) % size).astype(np.int64)
+                hit = np.flatnonzero((raw[start + (place >> 3)] >> (place & 7).astype(np.uint8)) & 1)
+                if len(hit) < len(alive):
+                    alive, step, at, start, size = alive[hit], step[hit], at[hit], start[hit], size[hit]
             out[alive] = level
         return out
 
@@ -224,64 +238,80 @@ def scored(docs: DataFrame, most_bytes: int = MOST_BYTES) -> DataFrame:
     openings = parts.where("not held_out").count()
     built = materialize(segments(parts, n))
     shift = max(4, (n // SEGMENT_TOKENS).bit_length())
-    known_segments = {r["segment"] for r in built.select("segment").collect()}
-    results = []
-    for k, group in enumerate(_groups(spark, built, most_bytes)):
-        results.append(_score(spark, parts, words, group, known_segments, k == 0, n, types, openings, shift))
-    if len(results) == 1:
-        return results[0].drop("part", "row")
-    whole = results[0]
-    for more in results[1:]:
-        whole = whole.unionByName(more)
-    summed = [F.sum(c).alias(c) for c in ("n_tokens", "n_known", "base_score", "score")]
-    return whole.groupBy("part", "row", "doc_id", "held_out", "train_tokens").agg(*summed).select("doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score")
-
-
-def _score(spark, parts: DataFrame, words: DataFrame, group: dict[int, bytes], known_segments: set[int], first: bool, n: int, types: int, openings: int, shift: int) -> DataFrame:
-    sent = spark.sparkContext.broadcast(group)
-    every = first  # what does not depend on the filter is added once
-
-    def run(docs: pa.Table, counts: pa.Table) -> pa.Table:
-        filters = sent.value
-        order = np.argsort(counts["token"].to_numpy().view(np.uint64))
-        known = counts["token"].to_numpy().view(np.uint64)[order]
-        value = counts["count"].to_numpy()[order]
-        columns: list[list] = [[], [], [], []]
-        texts = docs["text"].combine_chunks()
-        texts = texts.chunk(0) if isinstance(texts, pa.ChunkedArray) else texts
-        sizes = pa.RecordBatch.from_arrays([texts], ["text"])
-        for piece in slices(iter([sizes]), "text", 1_000_000):
+    groups = (_flat(group, 1 << shift) for group in _groups(spark, built, most_bytes))
+    return _score(spark, parts, words, groups, built.count(), n, types, openings, shift)
+
+
+def _flat(group: dict[int, bytes], segments: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The bytes of all segments of a group, and of every segment its place therein and its bits (0: not in the group)."""
+    offset, bits = np.zeros(segments, np.int64), np.zeros(segments, np.uint64)
+    at = 0
+    for segment, raw in group.items():
+        offset[segment], bits[segment] = at, 8 * len(raw)
+        at += len(raw)
+    return np.frombuffer(b"".join(group.values()), np.uint8), offset, bits
+
+
+def _score(spark: SparkSession, parts: DataFrame, words: DataFrame, filters: Iterator[tuple], known: int, n: int, types: int, openings: int, shift: int) -> DataFrame:
+    """All rows' scores in one pass over the documents. A worker holds one group of segments at a time; every stretch of a part
+    goes through all groups, and begins with the one that the stretch before ended with."""
+    held: list[int] = []
+    groups = [spark.sparkContext.broadcast(group) for group in filters]
+    partial = len(groups) > 1 or known < 1 << shift  # some pairs' segment is in another group, or there is none
+
+    def group(k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        if held != [k]:
+            for other in groups[:k] + groups[k + 1 :]:
+                vars(other).pop("_value", None)  # read again from the worker's local copy when needed
+            held[:] = [k]
+        return groups[k].value
+
+    def order() -> list[int]:
+        return list(range(len(groups))) if held in ([], [0]) else list(range(len(groups)))[::-1]
+
+    def stretch(texts: pa.Array, known: np.ndarray, value: np.ndarray) -> Iterator[tuple[np.ndarray, ...]]:
+        """n_tokens, n_known, base_score and score of the texts of a stretch, in pieces."""
+        pieces = []
+        for piece in slices(iter([pa.RecordBatch.from_arrays([texts], ["text"])]), "text", 1_000_000):
             tokens, lengths = token_hashes(piece["text"])
             pairs, before = pair_hashes(tokens, lengths)
-            place = np.minimum(np.searchsorted(known, tokens), len(known) - 1)
-            c = np.where(known[place] == tokens, value[place], 0)
+            distinct, back = np.unique(tokens, return_inverse=True)
+            place = np.minimum(np.searchsorted(known, distinct), len(known) - 1)
+            c = np.where(known[place] == distinct, value[place], 0)[back]
             history = np.empty_like(c)
             history[1:] = c[:-1]
             history[before == START] = openings
+            where = (pairs >> np.uint64(64 - shift)).astype(np.int32)
+            low = ((pairs << np.uint64(shift)) >> np.uint64(32)).astype(np.uint32)
+            pieces.append((lengths, c, history, where, low, np.full(len(pairs), -1, np.int8)))
+        for k in order():
+            raw, offset, bits = group(k)
+            for _, _, _, where, low, level in pieces:
+                size = bits[where]
+                mine = np.flatnonzero(size) if partial else slice(None)
+                level[mine] = Segment.levels_among(raw, offset[where[mine]], size[mine], low[mine].astype(np.uint64))
+        for lengths, c, history, _, _, level in pieces:
             plain = (c + 1.0) / (n + types + 1.0)
-            where = (pairs >> np.uint64(64 - shift)).astype(np.int64)
-            low = (pairs << np.uint64(shift)) >> np.uint64(32)
-            level = np.full(len(pairs), -1, np.int64)
-            mine = np.zeros(len(pairs), bool)
-            for s in np.unique(where).tolist():
-                at = np.flatnonzero(where == s)
-                if s in filters:
-                    mine[at] = True
-                    level[at] = Segment.levels(np.frombuffer(filters[s], np.uint8), low[at])
-                elif s not in known_segments and every:  # without pairs: it belongs to the first group
-                    mine[at] = True
-            seen = np.where(level >= 0, np.minimum(np.exp2(level), history), 0.0)
-            logs = np.where(mine, np.log10((seen + PRIOR * plain) / (history + PRIOR)), 0.0)
-            ends = np.cumsum(lengths)
-            add = lambda x: np.add.reduceat(x, ends - lengths)  # noqa: B023, E731
-            columns[0].append(lengths if every else 0 * lengths)
-            columns[1].append(add((c > 0).astype(np.int64)) * every)
-            columns[2].append(add(np.log10(plain)) * every)
-            columns[3].append(add(logs))
+            seen = np.where(level >= 0, np.minimum(np.exp2(level.astype(np.float64)), history), 0.0)
+            starts = np.cumsum(lengths) - lengths
+            add = lambda x: np.add.reduceat(x, starts)  # noqa: B023, E731
+            yield lengths, add((c > 0).astype(np.int64)), add(np.log10(plain)), add(np.log10((seen + PRIOR * plain) / (history + PRIOR)))
+
+    def run(docs: pa.Table, counts: pa.Table) -> pa.Table:
+        known = counts["token"].to_numpy().view(np.uint64)
+        by_token = np.argsort(known)
+        known, value = known[by_token], counts["count"].to_numpy()[by_token]
+        texts = docs["text"].combine_chunks()
+        texts = texts.chunk(0) if isinstance(texts, pa.ChunkedArray) else texts
+        columns: list[list] = [[], [], [], []]
+        for part in slices(iter([pa.RecordBatch.from_arrays([texts], ["text"])]), "text", STRETCH_BYTES):
+            for piece in stretch(part["text"], known, value):
+                for column, x in zip(columns, piece, strict=True):
+                    column.append(x)
         merged = [np.concatenate(x) for x in columns]
-        return pa.table({"part": docs["part"], "row": docs["row"], "doc_id": docs["doc_id"], "held_out": docs["held_out"], "n_tokens": pa.array(merged[0]), "n_known": pa.array(merged[1]), "train_tokens": pa.array(np.full(len(docs), n)), "base_score": pa.array(merged[2]), "score": pa.array(merged[3])})
+        return pa.table({"doc_id": docs["doc_id"], "held_out": docs["held_out"], "n_tokens": pa.array(merged[0]), "n_known": pa.array(merged[1]), "train_tokens": pa.array(np.full(len(docs), n)), "base_score": pa.array(merged[2]), "score": pa.array(merged[3])})
 
-    schema = "part long, row long, doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
+    schema = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
     return parts.groupBy("part").cogroup(words.select("part", "token", "count").groupBy("part")).applyInArrow(run, schema)
 
 

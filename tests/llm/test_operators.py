@@ -457,6 +457,25 @@ def test_filter_levels():
     assert (lm.Segment.levels(raw_bits, rng.integers(0, 1 << 32, 4000).astype(np.uint64)) > 0).mean() < 0.02
 
 
+def test_filter_groups_take_one_pass_and_calls_do_not_grow(spark, monkeypatch):
+    rng = np.random.default_rng(4)
+    built = [(rng.integers(0, 1 << 32, 300).astype(np.uint64), rng.integers(1, 60, 300)) for _ in range(50)]
+    raw = [np.frombuffer(lm.Segment.build(p, c), np.uint8) for p, c in built]
+    _, offset, bits = lm._flat({i: r.tobytes() for i, r in enumerate(raw)}, 64)
+    assert not bits[50:].any()
+    where = np.repeat(np.arange(50), 300)
+    pairs = np.concatenate([p for p, _ in built])
+    calls, plain = [], lm.mix
+    monkeypatch.setattr(lm, "mix", lambda x: (calls.append(1), plain(x))[1])
+    got = lm.Segment.levels_among(np.concatenate(raw), offset[where], bits[where], pairs)
+    assert len(calls) <= lm.MOST_LEVELS  # a call for each level, not for each segment
+    assert got.tolist() == [x for r, (p, _) in zip(raw, built, strict=True) for x in lm.Segment.levels(r, p).tolist()]
+    monkeypatch.undo()
+    frame = spark.createDataFrame([(i, f"some words of text {i} and {i % 9}") for i in range(50)], "doc_id long, text string")
+    plan = lm.scored(frame, most_bytes=1)._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("FlatMapCoGroupsInArrow") == 1
+
+
 def test_filter_keeps_pairs_seen_once(spark):
     rng = np.random.default_rng(6)
     pairs = rng.integers(0, 1 << 32, 4000).astype(np.uint64)
