@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..plans import predicate as P
+from ..plans.lineage import stored
+from .meeting import meeting
 
 
 def keys(memberships: DataFrame, query_sets: DataFrame, attrs: tuple[str, ...] = ()) -> DataFrame:
@@ -41,18 +43,12 @@ def jaccard(memberships: DataFrame, pairs: DataFrame) -> DataFrame:
 def similar_pairs(memberships: DataFrame, theta: float) -> DataFrame:
     """a, b, exact: all pairs of sets whose Jaccard ratio (of keys, not weights) is at least theta.
 
-    Two such sets share one of the rarest keys of each, as many as the set may miss and one more; these meet in a join, pairs whose sizes are
-    too unlike are dropped within it, and the rest are counted on whole sets."""
-    rows = memberships.select("set_id", "key").distinct()
-    common = rows.groupBy(F.col("key").alias("_k")).agg(F.count(F.lit(1)).alias("_df"))
-    of_set = Window.partitionBy("set_id")
-    placed = rows.join(common, F.col("key") == F.col("_k")).withColumn("_i", F.row_number().over(of_set.orderBy("_df", "key"))).withColumn("n", F.count(F.lit(1)).over(of_set))
-    offers = placed.where((F.col("_df") > 1) & (F.col("_i") <= F.col("n") - F.ceil(F.col("n") * theta - 1e-9) + 1)).select("key", "set_id", "n")
-    x, y = offers.alias("x"), offers.alias("y")
-    fits = (F.col("x.set_id") < F.col("y.set_id")) & (F.least("x.n", "y.n") >= theta * F.greatest("x.n", "y.n") - 1e-9)
-    met = x.join(y, (F.col("x.key") == F.col("y.key")) & fits).select(F.col("x.set_id").alias("a"), F.col("y.set_id").alias("b")).distinct()
-    sets = rows.groupBy("set_id").agg(F.array_sort(F.collect_list("key")).alias("of"))
-    one = lambda c: sets.select(F.col("set_id").alias(c), F.col("of").alias(f"of_{c}"))
+    The smaller of two such sets has at least the share 2 theta / (1 + theta) of its keys in the other one, and that one at most
+    1 / theta times its size; these pairs are found first, and then counted on whole sets."""
+    rows = memberships.where("set_id is not null and key is not null").select("set_id", "key").distinct()
+    sets = stored(rows.groupBy("set_id").agg(F.array_sort(F.collect_list("key")).alias("keys")))
+    met = meeting(sets.select("set_id", F.transform("keys", lambda x: F.hash(x)).alias("of"), F.size("keys").cast("double").alias("place")), 2 * theta / (1 + theta), 1 / theta)
+    one = lambda c: sets.select(F.col("set_id").alias(c), F.col("keys").alias(f"of_{c}"))
     both = F.size(F.array_intersect("of_a", "of_b"))
     counted = met.join(one("a"), "a").join(one("b"), "b").select("a", "b", (both / (F.size("of_a") + F.size("of_b") - both)).alias("exact"))
     return counted.where(F.col("exact") >= theta - 1e-12)

@@ -8,7 +8,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from coordsketch import workloads
-from coordsketch.operators import combine, estimate, exact, metrics, selectivity, sketch
+from coordsketch.operators import combine, estimate, exact, meeting, metrics, selectivity, sketch
 from coordsketch.plans import predicate as P
 from coordsketch.streaming import sketches as S
 
@@ -169,6 +169,27 @@ def test_exact_similar_pairs(spark):
         assert {(r["a"], r["b"]) for r in exact.similar_pairs(rows, theta).collect()} == want and want
 
 
+@pytest.mark.parametrize("ratio", [0.0, 2.0])
+def test_meeting_pairs_are_all_pairs(monkeypatch, ratio):
+    monkeypatch.setattr(meeting, "LOOKUPS", 500)
+    monkeypatch.setattr(meeting, "CELLS", 900)
+    rng = np.random.default_rng(5)
+    base = [set(np.minimum(rng.zipf(1.3, 60), 1 << 30).tolist()) for _ in range(60)]
+    sets = base + [set(sorted(b)[int(rng.integers(0, 9)) :]) | {1, 2} for b in base]  # a few keys are in nearly all sets
+    keys = [np.array(sorted(x), np.int32) for x in sets]
+    place = np.array([float(len(x)) for x in sets]) if ratio else rng.random(len(sets))
+    for block in (np.zeros(len(sets), int), np.arange(len(sets)) % 2):
+        got = list(zip(*(c.tolist() for c in meeting.pairs_of(keys, place, block, 0.5, ratio)), strict=True))
+        first = lambda i: (place[i], i)
+        want = set()
+        for i, j in itertools.combinations(range(len(sets)), 2):
+            x, y = sorted((i, j), key=first)
+            fits = (block[i] != block[j] or not block.any()) and (not ratio or place[y] <= ratio * place[x])
+            if fits and len(sets[x] & sets[y]) >= 0.5 * len(sets[x]):
+                want.add((x, y))
+        assert len(got) == len(want) and set(got) == want and want
+
+
 def test_batches_have_few_branches(spark):
     sk = sketch.bottom_k(members(spark), 32)
     queries = {i: P.any_of([f"s{i % 3}", f"s{(i + 1) % 3}"]) if i % 2 else P.AtLeast(2, ("s0", "s1", "s2")) for i in range(40)}
