@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 
 from ..plans import predicate as P
 from ..plans.lineage import stored
-from .meeting import meeting
+from .meeting import Rule, equal_sets, meeting, members, same, spread
+from .sketch import gathered
 
 
 def keys(memberships: DataFrame, query_sets: DataFrame, attrs: tuple[str, ...] = ()) -> DataFrame:
@@ -41,17 +42,29 @@ def jaccard(memberships: DataFrame, pairs: DataFrame) -> DataFrame:
 
 
 def similar_pairs(memberships: DataFrame, theta: float) -> DataFrame:
-    """a, b, exact: all pairs of sets whose Jaccard ratio (of keys, not weights) is at least theta.
-
-    The smaller of two such sets has at least the share 2 theta / (1 + theta) of its keys in the other one, and that one at most
-    1 / theta times its size; these pairs are found first, and then counted on whole sets."""
-    rows = memberships.where("set_id is not null and key is not null").select("set_id", "key").distinct()
-    sets = stored(rows.groupBy("set_id").agg(F.array_sort(F.collect_list("key")).alias("keys")))
-    met = meeting(sets.select("set_id", F.transform("keys", lambda x: F.hash(x)).alias("of"), F.size("keys").cast("double").alias("place")), 2 * theta / (1 + theta), 1 / theta)
-    one = lambda c: sets.select(F.col("set_id").alias(c), F.col("keys").alias(f"of_{c}"))
-    both = F.size(F.array_intersect("of_a", "of_b"))
-    counted = met.join(one("a"), "a").join(one("b"), "b").select("a", "b", (both / (F.size("of_a") + F.size("of_b") - both)).alias("exact"))
-    return counted.where(F.col("exact") >= theta - 1e-12)
+    """a, b, exact: all pairs of sets whose Jaccard ratio (of keys, not weights) is at least theta. memberships: rows (set_id, key), or
+    (set_id, keys) with keys as an array without repeats.
+
+    Sets of n and b keys need theta / (1 + theta) * (n + b) common ones, and the larger has at most 1 / theta times the size of the
+    other. Pairs of sets that both hold a key which shares its hash are counted again by their keys."""
+    if "keys" in memberships.columns:
+        sets = gathered(memberships)
+    else:
+        rows = memberships.where("set_id is not null and key is not null").select("set_id", "key").distinct()
+        sets = stored(rows.groupBy("set_id").agg(F.collect_list("key").alias("keys")))
+    size = F.size("keys")
+    hashed = sets.select("set_id", F.transform("keys", lambda x: F.xxhash64(x)).alias("of"), size.alias("whole"), size.cast("double").alias("place"), (size * theta - 1e-6).alias("since"), F.lit(None).cast("array<double>").alias("marks"))
+    hashed = hashed.withColumn("like", equal_sets(F.col("of")))
+    held = members(hashed)
+    met = stored(meeting(hashed, Rule(0.0, theta / (1 + theta))))
+    counted = met.where("sure").select("a", "b", (F.col("both") / (F.col("n_a") + F.col("n_b") - F.col("both"))).alias("exact"))
+    if not met.where("not sure").isEmpty():
+        one = lambda c: sets.select(F.col("set_id").alias(c), F.col("keys").alias(f"of_{c}"))
+        both = F.size(F.array_intersect("of_a", "of_b"))
+        again = met.where("not sure").select("a", "b").join(one("a"), "a").join(one("b"), "b").select("a", "b", (both / (F.size("of_a") + F.size("of_b") - both)).alias("exact"))
+        counted = counted.unionByName(again)
+    every = counted.unionByName(same(held).withColumn("exact", F.lit(1.0)))
+    return spread(every.where(F.col("exact") >= theta - 1e-12), held)
 
 
 def native_sketches(memberships: DataFrame, query_sets: DataFrame) -> DataFrame:

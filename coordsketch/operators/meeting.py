@@ -1,23 +1,57 @@
-"""Pairs of sets that share many keys: an exact join of blocks of sets, whose partial counts never leave a task.
+"""Pairs of sets that share many keys: an exact join of ranges of sets, whose partial counts never leave a task.
 
-Sets are dealt into blocks; a task holds two blocks and finds all pairs across them. The sets of a task are ordered, by a column of
-the caller's, and of each pair the first set asks: it needs the share `need` of its keys in the other one, so that it is enough to
-look up its rarest keys (`most` more than it may miss), to keep pairs that meet in so many of them, and to count these in full.
-Keys are 32-bit hashes here, which can only add pairs; callers verify the pairs found.
+Sets are ordered by `place` and cut into ranges; a task holds the sets of one range and those of the ranges before it that can be
+partners, so that most pairs of ranges never meet. Of each pair the first set asks: with the keys of all sets in one order, rare
+ones first, the first `meets` common keys of a pair are among the first keys of either set, as many as it may miss and `meets` more.
+How many it may miss depends on the other set's size, so a key asks fewer sets the less rare it is among the keys of its set.
+Pairs that meet so often are counted in full. Equal sets are looked at once, and pairs of them are written out at the end.
+Keys are 32-bit hashes within a task; sets that hold a key whose hash is not its own are told apart (`sure`), for callers to recount.
 """
 
 from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Sets and keys of a block, on average; the least number of blocks; lookups that are counted at a time, and cells for them.
-BLOCK_SETS, BLOCK_KEYS, LEAST_BLOCKS, LOOKUPS, CELLS = 65_536, 8_000_000, 4, 4_000_000, 16_000_000
+#: Keys and sets of a range, on average; the least number of ranges; keys of partners in a task; lookups that are counted at a time, and cells for them.
+BLOCK_KEYS, BLOCK_SETS, LEAST_BLOCKS, PARTNER_KEYS, LOOKUPS, CELLS = 8_000_000, 65_536, 12, 48_000_000, 4_000_000, 1 << 32
+#: Cells for the counts by which keys are ordered; bits of a set's signature.
+COUNTS, BITS = 1 << 20, 512
+
+
+@dataclass(frozen=True)
+class Rule:
+    """What a pair needs: a set with n keys and a partner with b that can count, min(cap, max(share * n, part * (n + b))) common ones."""
+
+    share: float
+    part: float = 0.0
+    cap: float = math.inf
+
+    def need(self, n: np.ndarray, b: np.ndarray) -> np.ndarray:
+        return np.ceil(np.minimum(self.cap, np.maximum(self.share * n, self.part * (n + b))) - 1e-9).astype(np.int64)
+
+
+@dataclass
+class Sets:
+    """Sets in flat arrays: unique hashes of keys, rare ones first; `whole` is the number of keys. Of each pair, the set with the lower `turn` asks."""
+
+    flat: np.ndarray
+    start: np.ndarray
+    size: np.ndarray
+    whole: np.ndarray
+    turn: np.ndarray
+
+    def take(self, i: np.ndarray) -> Sets:
+        return Sets(self.flat, self.start[i], self.size[i], self.whole[i], self.turn[i])
+
+    def keys(self, i: np.ndarray) -> np.ndarray:
+        return self.flat[_ranges(self.start[i], self.size[i])]
 
 
 def _ranges(starts: np.ndarray, counts: np.ndarray) -> np.ndarray:
@@ -34,83 +68,279 @@ def _stretches(work: np.ndarray, most: int, rows: int) -> Iterator[tuple[int, in
         a = b
 
 
-def _shared(code: np.ndarray, start: np.ndarray, size: np.ndarray, x: np.ndarray, y: np.ndarray) -> np.ndarray:
-    """The number of keys that the sets x and y have in common, for every pair."""
+def _shared(left: Sets, right: Sets, x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """The number of hashes that the sets x of left and y of right have in common, for every pair."""
     out = np.empty(len(x), np.int64)
-    for a, b in _stretches(size[x] + size[y], LOOKUPS, LOOKUPS):
-        both = np.concatenate([x[a:b], y[a:b]])
-        pair = np.repeat(np.tile(np.arange(b - a), 2), size[both])
-        held = np.sort(pair * (int(code.max()) + 1) + code[_ranges(start[both], size[both])])
-        again = held[1:][held[1:] == held[:-1]] // (int(code.max()) + 1)
-        out[a:b] = np.bincount(again, minlength=b - a)
+    for a, b in _stretches(left.size[x] + right.size[y], LOOKUPS // 4, LOOKUPS):
+        i, j = x[a:b], y[a:b]
+        pair = np.concatenate([np.repeat(np.arange(b - a), left.size[i]), np.repeat(np.arange(b - a), right.size[j])]).astype(np.uint64)
+        held = (pair << np.uint64(32)) | np.concatenate([left.keys(i), right.keys(j)])
+        held.sort()
+        out[a:b] = np.bincount((held[1:][held[1:] == held[:-1]] >> np.uint64(32)).astype(np.int64), minlength=b - a)
     return out
 
 
+def _signatures(sets: Sets) -> np.ndarray:
+    """The parities of the hashes in so many cells: sets differ in at least as many hashes as they do in parities."""
+    out = np.empty((len(sets.size), BITS // 64), np.uint64)
+    for a, b in _stretches(sets.size, LOOKUPS // 4, 8192):
+        i = np.arange(a, b)
+        mixed = (sets.keys(i) * np.uint32(2654435769)) >> np.uint32(32 - int(math.log2(BITS)))
+        odd = np.bincount(np.repeat(i - a, sets.size[a:b]) * BITS + mixed, minlength=(b - a) * BITS).astype(np.uint8) & 1
+        out[a:b] = np.packbits(odd.reshape(b - a, BITS), axis=1).view(np.uint64)
+    return out
+
+
+def _meets(left: Sets, right: Sets, b: np.ndarray, rule: Rule, most: float) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Indices of pairs of a set of left and one of right with a higher turn that may share as many hashes as the rule needs. b: the least
+    number of keys of each set of right that can count; those with over `most` times the keys of a set of left are no partners of it."""
+    fewest = int(left.whole.min())
+    off = int((left.whole - left.size).max())  # equal hashes within a set count once
+    least = np.maximum(rule.need(left.whole, np.zeros(1) + b.min()) - (left.whole - left.size), 1)
+    meets = max(1, min(int(least.min()), max(2, fewest // 20)))
+    order = np.argsort(b, kind="stable")
+    right, b = right.take(order), b[order]
+    first = np.clip(right.size - np.maximum(rule.need(np.full(1, fewest), b) - off, 1) + meets, 0, right.size)
+    mine = np.repeat(np.arange(len(b)), first)
+    posting = (right.flat[_ranges(right.start, first)].astype(np.uint64) << np.uint64(32)) | mine.astype(np.uint64)
+    posting.sort()
+    names, at = np.unique((posting >> np.uint64(32)).astype(np.uint32), return_index=True)
+    if not len(names):
+        return
+    ends = np.append(at[1:], len(posting))
+    posting = posting.astype(np.uint32)  # the sets alone
+    total = len(b)
+    open_turn = left.turn.max() < right.turn.min()
+    asks = np.clip(left.size - least + meets, 0, left.size)
+    for u, v in _stretches(asks, LOOKUPS // 4, len(asks)):
+        owner = np.repeat(np.arange(u, v), asks[u:v])
+        ask = left.flat[_ranges(left.start[u:v], asks[u:v])]
+        spare = left.size[owner] - (np.arange(len(owner)) - np.repeat(np.cumsum(asks[u:v]) - asks[u:v], asks[u:v])) + meets - 1 + (left.whole - left.size)[owner]
+        name = np.minimum(np.searchsorted(names, ask), len(names) - 1)
+        held = np.flatnonzero(names[name] == ask)
+        owner, spare, name = owner[held], spare[held], name[held]
+        limit = most * left.whole[owner] + 1e-9
+        if rule.part:
+            limit = np.minimum(limit, np.where(spare >= rule.cap, np.inf, spare / rule.part - left.whole[owner] + 1e-6))
+        upper = np.searchsorted(b, limit, "right")
+        begin, end = at[name], ends[name]
+        for _ in range(int(np.ceil(np.log2(max(2, int((end - begin).max(initial=1)) + 1))))):  # the end of the sets below upper
+            middle = (begin + end) >> 1
+            low = (posting[np.minimum(middle, len(posting) - 1)] < upper) & (begin < end)
+            begin, end = np.where(low, middle + 1, begin), np.where(low | (begin >= end), end, middle)
+        begin, count = at[name], np.maximum(begin - at[name], 0)
+        edge = np.searchsorted(owner, np.arange(u, v + 1))
+        sums = np.concatenate([[0], np.cumsum(count)])
+        for p, q in _stretches(sums[edge[1:]] - sums[edge[:-1]], LOOKUPS, max(1, CELLS // total - 1)):
+            i = slice(edge[p], edge[q])
+            if sums[edge[q]] - sums[edge[p]] < meets:
+                continue
+            other = posting[_ranges(begin[i], count[i])]
+            asker = np.repeat((owner[i] - (u + p)).astype(np.uint32), count[i])
+            if not open_turn:
+                later = right.turn[other] > left.turn[u + p : u + q][asker]
+                other, asker = other[later], asker[later]
+            cell = asker * np.uint32(total) + other
+            cell.sort()
+            if len(cell) < meets:
+                continue
+            cell = cell[meets - 1 :][cell[meets - 1 :] == cell[: len(cell) - meets + 1]]
+            if len(cell):
+                cell = cell[np.append(True, cell[1:] != cell[:-1])].astype(np.int64)
+                yield u + p + cell // total, order[cell % total]
+
+
+def _found(left: Sets, right: Sets, b: np.ndarray, rule: Rule, most: float = math.inf) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Indices of the pairs of _meets that do share as many hashes, and how many."""
+    marks = _signatures(left), _signatures(right)
+    found = [(np.zeros(0, np.int64),) * 3]
+    for x, y in _meets(left, right, b, rule, most):
+        least = np.maximum(rule.need(left.whole[x], b[y]) - (left.whole - left.size)[x], 1)
+        near = np.bitwise_count(marks[0][x] ^ marks[1][y]).sum(1, dtype=np.int64) <= left.size[x] + right.size[y] - 2 * least
+        x, y, least = x[near], y[near], least[near]
+        both = _shared(left, right, x, y)
+        kept = both >= least
+        found.append((x[kept], y[kept], both[kept]))
+    return tuple(np.concatenate(c) for c in zip(*found, strict=True))
+
+
 def pairs_of(keys: list[np.ndarray], place: np.ndarray, block: np.ndarray, need: float, ratio: float) -> tuple[np.ndarray, np.ndarray]:
     """Indices of the pairs of sets, of unlike blocks where there are two, that share at least need * (size of the one that is first by
     place) keys. ratio > 0: place is the size, and the larger set has at most ratio times the size of the other one."""
-    turn = np.argsort(place, kind="stable")
-    whole = np.fromiter((len(keys[i]) for i in turn.tolist()), np.int64, len(keys))
-    keys, place, block = [np.unique(keys[i]) for i in turn.tolist()], place[turn], block[turn]
+    whole = np.fromiter(map(len, keys), np.int64, len(keys))
+    keys = [np.unique(k) for k in keys]
     size = np.fromiter(map(len, keys), np.int64, len(keys))
-    owner = np.repeat(np.arange(len(keys)), size)
     _, code, df = np.unique(np.concatenate(keys), return_inverse=True, return_counts=True)
-    code = (np.argsort(np.argsort(df, kind="stable"), kind="stable"))[code]  # rare keys first
-    order = np.argsort(owner * len(df) + code)
-    code = code[order]
-    start = np.cumsum(size) - size
-    least = np.maximum(np.ceil(whole * need - 1e-9).astype(np.int64) - (whole - size), 1)  # equal hashes within a set count once
-    meets = np.minimum(least, np.maximum(6, least // 4))
-    asked = np.arange(len(code)) - start[owner] < (size - least + meets)[owner]
-    upper = np.searchsorted(place, place * ratio + 1e-9, "right") if ratio else np.full(len(keys), len(keys))
-    two = len(np.unique(block)) > 1
-    found: list[tuple[np.ndarray, np.ndarray]] = []
-    m = len(keys) + 1
-    for side in np.unique(block).tolist():
-        inside = block[owner] == side  # keys of the sets that are looked up
-        posting = np.sort(code[inside] * m + owner[inside])
-        ask = np.flatnonzero(asked & (~inside if two else inside))
-        a = np.searchsorted(posting, code[ask] * m + owner[ask] + 1)
-        count = np.maximum(np.searchsorted(posting, code[ask] * m + upper[owner[ask]]) - a, 0)
-        edge = np.searchsorted(owner[ask], np.arange(m))
-        work = np.add.reduceat(np.append(count, 0), edge[:-1]) * (edge[1:] > edge[:-1])
-        for p, q in _stretches(work, LOOKUPS, max(1, CELLS // m)):
-            i = slice(edge[p], edge[q])
-            if not count[i].sum():
+    code = np.argsort(np.argsort(df, kind="stable"), kind="stable")[code]  # rare keys first
+    flat = code[np.lexsort((code, np.repeat(np.arange(len(keys)), size)))].astype(np.uint32)
+    turn = np.empty(len(keys), np.int64)
+    turn[np.argsort(place, kind="stable")] = np.arange(len(keys))
+    sets = Sets(flat, np.cumsum(size) - size, size, whole, turn)
+    sides = [np.flatnonzero(block == s) for s in np.unique(block).tolist()]
+    met = [(np.zeros(0, np.int64),) * 2]
+    for i, j in zip(sides, sides[::-1], strict=True):
+        x, y, _ = _found(sets.take(i), sets.take(j), place[j] if ratio else whole[j], Rule(need), ratio or math.inf)
+        met.append((i[x], j[y]))
+    return tuple(np.concatenate(c) for c in zip(*met, strict=True))
+
+
+def _listed(column: pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
+    """Values and offsets of lists."""
+    held = column.combine_chunks()
+    held = pa.concat_arrays(held.chunks) if isinstance(held, pa.ChunkedArray) else held
+    edges = held.offsets.to_numpy()
+    return held.values.to_numpy()[: edges[-1]], edges
+
+
+def _prepared(sets: DataFrame) -> DataFrame:
+    """sets with `of` as unique 32-bit hashes, those of rare keys first, and `odd`, whether one of them is the hash of two keys."""
+    low = F.col("key").bitwiseAND(F.lit(0xFFFFFFFF))
+    names = sets.select(F.explode("of").alias("key")).groupBy(low.alias("h")).agg(F.count(F.lit(1)).alias("n"), F.min("key").alias("x"), F.max("key").alias("y"))
+    cells = names.groupBy(F.pmod("h", F.lit(COUNTS)).cast("int").alias("cell")).agg(F.max("n").alias("n"), F.flatten(F.collect_list(F.when(F.col("x") != F.col("y"), F.array("h")))).alias("twice"))
+    table = cells.toArrow()
+    counts = np.zeros(COUNTS, np.int64)
+    counts[table["cell"].to_numpy()] = table["n"].to_numpy()
+    order = np.empty(COUNTS, np.uint32)
+    order[np.argsort(counts, kind="stable")] = np.arange(COUNTS, dtype=np.uint32)
+    twice = np.sort(_listed(table["twice"])[0].astype(np.uint32))
+    shared = sets.sparkSession.sparkContext.broadcast((order, twice))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        order, twice = shared.value
+        for batch in batches:
+            if not batch.num_rows:
                 continue
-            other = posting[_ranges(a[i], count[i])] % m
-            cell = np.repeat(owner[ask[i]] - p, count[i]) * m + other
-            times = np.bincount(cell)
-            x = np.flatnonzero(times >= meets[p:q].min())
-            x = x[times[x] >= meets[p + x // m]]
-            x, y = p + x // m, x % m
-            kept = _shared(code, start, size, x, y) >= least[x] if len(x) else np.zeros(0, bool)
-            found.append((turn[x[kept]], turn[y[kept]]))
-    if not found:
-        return np.zeros(0, np.int64), np.zeros(0, np.int64)
-    return tuple(np.concatenate(c) for c in zip(*found, strict=True))
+            values, edges = _listed(pa.chunked_array([batch.column("of")]))
+            flat, owner = values[edges[0] :].astype(np.uint32), np.repeat(np.arange(batch.num_rows), np.diff(edges))
+            turn = np.lexsort((flat, order[flat % np.uint32(COUNTS)], owner))
+            flat, owner = flat[turn], owner[turn]
+            new = np.append(True, (flat[1:] != flat[:-1]) | (owner[1:] != owner[:-1]))[: len(flat)]
+            odd = np.zeros(batch.num_rows, bool)
+            if len(twice):
+                odd[owner[twice[np.minimum(np.searchsorted(twice, flat), len(twice) - 1)] == flat]] = True
+            ends = np.append(0, np.cumsum(np.bincount(owner[new], minlength=batch.num_rows))).astype(np.int32)
+            of = pa.ListArray.from_arrays(pa.array(ends), pa.array(flat[new].view(np.int32)))
+            held = {n: batch.column(n) for n in batch.schema.names} | {"of": of, "odd": pa.array(odd)}
+            yield pa.RecordBatch.from_arrays(list(held.values()), names=list(held))
+
+    kinds = [f"{n} {'array<int>' if n == 'of' else t}" for n, t in sets.dtypes]
+    return sets.mapInArrow(run, ", ".join([*kinds, "odd boolean"]))
+
+
+def equal_sets(of: Column) -> Column:
+    """A number that equal sets have in common. of: 64-bit hashes of keys, each key once."""
+    return F.aggregate(of, F.lit(0).cast("long"), lambda a, x: a.bitwiseXOR(x))
+
+
+def members(sets: DataFrame) -> DataFrame:
+    """rep, set_id: for each set the first one that equals it."""
+    same = sets.groupBy("like", "whole", "place").agg(F.collect_list("set_id").alias("ids"))
+    return same.select(F.array_min("ids").alias("rep"), F.explode("ids").alias("set_id"))
 
 
-def meeting(sets: DataFrame, need: float, ratio: float = 0.0) -> DataFrame:
-    """a, b of the pairs that pairs_of finds, a < b. sets: set_id, of (32-bit hashes of keys), place; stored, as it is read twice."""
-    n, keys = sets.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.size("of")), F.lit(0))).first()
+def _plan(sets: DataFrame) -> list[dict]:
+    """Ranges of place in order: first and last place, first bin, and the least `since`; parts of their sets and of their partners."""
+    rows = sets.groupBy("bin").agg(F.count(F.lit(1)).alias("n"), F.sum("whole").alias("keys"), F.min("place").alias("first"), F.max("place").alias("last"), F.min("since").alias("since")).orderBy("bin").collect()
+    n, keys = sum(r["n"] for r in rows), sum(r["keys"] for r in rows)
     blocks = max(LEAST_BLOCKS, math.ceil(n / BLOCK_SETS), math.ceil(keys / BLOCK_KEYS))
-    mine, other = F.pmod(F.xxhash64("set_id"), F.lit(blocks)), F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)))
-    spread = sets.select("*", mine.alias("block"), other.alias("_o"))
-    dealt = spread.select("set_id", "of", "place", "block", (F.least("block", "_o") * blocks + F.greatest("block", "_o")).alias("task"))
+    found: list[dict] = []
+    for r in rows:
+        work = (r["n"] / max(n, 1) + r["keys"] / max(keys, 1)) / 2 * blocks
+        if found and found[-1]["work"] + work <= 1:
+            x = found[-1]
+            x |= {"work": x["work"] + work, "n": x["n"] + r["n"], "keys": x["keys"] + r["keys"], "last": r["last"], "since": min(x["since"], r["since"])}
+        else:
+            found.append(r.asDict() | {"work": work})
+    tasks = 0
+    for j, x in enumerate(found):
+        partners = sum(y["keys"] for y in found[: j + 1] if y["last"] >= x["since"])
+        x |= {"parts": math.ceil(x["work"]), "chunks": max(1, math.ceil(partners / PARTNER_KEYS)), "base": tasks}
+        tasks += x["parts"] * x["chunks"]
+    return found
+
+
+def _labels(sets: DataFrame, n: int) -> list[int]:
+    """Numbers that Spark deals out to n partitions, one to each."""
+    rows = sets.sparkSession.range(32 * n + 64).groupBy(F.pmod(F.hash("id"), F.lit(n)).alias("p")).agg(F.min("id").alias("id")).collect()
+    at = {r["p"]: r["id"] for r in rows}
+    return [at.get(p, -1 - p) for p in range(n)]
+
+
+def meeting(sets: DataFrame, rule: Rule) -> DataFrame:
+    """a, b, both, n_a, n_b, sure of the pairs of unlike sets (the first of equal ones by `members`) that share as many keys as the rule
+    needs; a has the lower place. sets: set_id, of (64-bit hashes of keys), whole (their number), like (equal_sets), place, since (the
+    least place that a partner before it has), marks (sorted numbers of which those below the other set's place can count; null: all keys);
+    stored, as it is read several times."""
+    log = F.floor(F.log(F.least("place", F.lit(1e300))) * 64)
+    binned = sets.withColumn("bin", F.coalesce(log, F.lit(-(1 << 40))).cast("long"))
+    plan = _plan(binned)
+    if not plan:
+        return sets.sparkSession.createDataFrame([], "a string, b string, both long, n_a long, n_b long, sure boolean")
+    tasks = sum(x["parts"] * x["chunks"] for x in plan)
+    of_plan = lambda name, j, kind="int": F.element_at(F.array(*[F.lit(x[name]).cast(kind) for x in plan]), (j + 1).cast("int"))
+    begins = F.array(*[F.lit(x["bin"]).cast("long") for x in plan])
+    mine = (F.size(F.filter(begins, lambda s: s <= F.col("bin"))) - 1).alias("mine")
+    ready = _prepared(binned).withColumn("mine", mine).withColumn("part", F.pmod("like", of_plan("parts", F.col("mine"))).cast("int"))
+    chunk = lambda j: F.pmod(F.shiftright("like", 17), of_plan("chunks", j)).cast("int")
+    later = F.filter(F.sequence(F.col("mine"), F.lit(len(plan) - 1)), lambda j: F.col("place") >= of_plan("since", j, "double"))
+    of_part = lambda j, s: of_plan("base", j) + s * of_plan("chunks", j) + chunk(j)
+    elsewhere = lambda j: F.filter(F.sequence(F.lit(0), of_plan("parts", j) - 1), lambda s: (j != F.col("mine")) | (s != F.col("part")))
+    asking = F.flatten(F.transform(later, lambda j: F.transform(elsewhere(j), lambda s: of_part(j, s))))
+    asked = F.transform(F.sequence(F.lit(0), of_plan("chunks", F.col("mine")) - 1), lambda c: of_plan("base", F.col("mine")) + F.col("part") * of_plan("chunks", F.col("mine")) + c)
+    cases = F.concat(F.transform(asking, lambda t: F.struct(t.alias("t"), F.lit(False).alias("here"))), F.transform(asked, lambda t: F.struct(t.alias("t"), F.lit(True).alias("here"))))
+    dealt = ready.withColumn("case", F.explode(cases)).select(
+        "set_id", "of", "whole", "like", "place", "odd", "mine", F.when(F.col("case.here"), F.col("marks")).alias("marks"), F.col("case.here").alias("here"),
+        F.element_at(F.array(*[F.lit(x).cast("long") for x in _labels(sets, tasks)]), F.col("case.t") + 1).alias("task"), F.col("case.t").alias("number"),
+    )
+    first = [float(x["first"]) for x in plan]
+    spans = [(x["base"], x["chunks"]) for x in plan]
 
     def run(table: pa.Table) -> pa.Table:
-        flat = table["of"].combine_chunks()
-        values, edges = flat.values.to_numpy(), flat.offsets.to_numpy()
-        held = [values[a:b] for a, b in zip(edges[:-1], edges[1:], strict=True)]
-        one = table["task"][0].as_py()
-        block = table["block"].to_numpy()
-        ids = table["set_id"].combine_chunks()
-        if one // blocks != one % blocks and len(np.unique(block)) < 2:
-            x = y = np.zeros(0, np.int64)  # one of the two blocks is empty
-        else:
-            x, y = pairs_of(held, table["place"].to_numpy(), block, need, ratio)
-        return pa.table({"x": ids.take(pa.array(x)).cast(pa.string()), "y": ids.take(pa.array(y)).cast(pa.string())})
+        flat, edges = _listed(table["of"])
+        here, ids = table["here"].to_numpy(), np.array(table["set_id"].to_pylist(), object)
+        like, whole, place, odd, at = (table[c].to_numpy() for c in ("like", "whole", "place", "odd", "mine"))
+        number = table["number"][0].as_py()
+        base, chunks = next(s for s in reversed(spans) if s[0] <= number)
+        kind = np.lexsort((like, whole, place))
+        new = np.append(True, np.any([c[kind][1:] != c[kind][:-1] for c in (place, whole, like)], axis=0))
+        turn = np.empty(len(kind), np.int64)
+        turn[kind] = np.cumsum(new) - 1
+        begins = np.flatnonzero(new)
+        for p, q in zip(begins.tolist(), np.append(begins[1:], len(kind)).tolist(), strict=True):
+            if q - p > 1:  # equal sets come together, all with one role
+                ids[kind[p]] = min(ids[kind[p:q]])
+        one = kind[begins]  # one of equal sets
+        all_of = Sets(flat.view(np.uint32), edges[:-1].astype(np.int64), np.diff(edges).astype(np.int64), whole.astype(np.int64), turn)
+        held = one[here[one]]
+        out = [pa.table({"a": pa.array([], pa.string()), "b": pa.array([], pa.string()), "both": pa.array([], pa.int64()), "n_a": pa.array([], pa.int64()), "n_b": pa.array([], pa.int64()), "sure": pa.array([], pa.bool_())})]
+        if not len(held):
+            return out[0]
+        marked = table["marks"].null_count < len(table)
+        if marked:
+            marks, cuts = _listed(table["marks"])
+        asking = one[~here[one] | ((like[one] >> 17) % chunks == (number - base) % chunks)]
+        right = all_of.take(held)
+        for i in np.unique(at[asking]).tolist():
+            left = asking[at[asking] == i]
+            b = whole[held].astype(np.int64)
+            if marked:
+                below = np.concatenate([[0], np.cumsum(marks < first[i])])
+                b = (below[cuts[1:]] - below[cuts[:-1]])[held]
+            x, y, both = _found(all_of.take(left), right, b, rule)
+            x, y = left[x], held[y]
+            out.append(pa.table({"a": pa.array(ids[x], pa.string()), "b": pa.array(ids[y], pa.string()), "both": both, "n_a": whole[x].astype(np.int64), "n_b": whole[y].astype(np.int64), "sure": ~(odd[x] & odd[y])}))
+        return pa.concat_tables(out)
+
+    return dealt.repartition(tasks, "task").groupBy("task").applyInArrow(run, "a string, b string, both long, n_a long, n_b long, sure boolean")
+
+
+def spread(pairs: DataFrame, held: DataFrame) -> DataFrame:
+    """pairs (a, b, ...) of first ones among equal sets, or of one with itself, as pairs of their members, a < b."""
+    x, y = (held.select(F.col("rep").alias(c), F.col("set_id").alias(f"_{c}")) for c in "ab")
+    every = pairs.join(x, "a").join(y, "b").where("a <> b or _a < _b")
+    return every.select(F.least("_a", "_b").alias("a"), F.greatest("_a", "_b").alias("b"), *[c for c in pairs.columns if c not in "ab"])
+
 
-    met = dealt.repartition(blocks * (blocks + 1) // 2, "task").groupBy("task").applyInArrow(run, "x string, y string")
-    return met.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"))
+def same(held: DataFrame) -> DataFrame:
+    """a, b: each first one of several equal sets with itself."""
+    return held.groupBy("rep").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select(F.col("rep").alias("a"), F.col("rep").alias("b"))

@@ -7,8 +7,12 @@ same combinations and estimators serve both.
 
 from __future__ import annotations
 
+import hashlib
+from collections.abc import Iterator
 from functools import reduce
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -37,6 +41,46 @@ def _allow_group_limit(df: DataFrame, k: int) -> None:
         spark.conf.set(name, str(k + 1))
 
 
+def gathered(memberships: DataFrame) -> DataFrame:
+    """Rows (set_id, keys), one for each set that has keys. Only sets of several rows are shuffled."""
+    rows = memberships.where("set_id is not null").select("set_id", F.array_compact("keys").alias("keys")).where(F.size("keys") > 0)
+    several = memberships.groupBy("set_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1 and set_id is not null").select("set_id")
+    if several.isEmpty():
+        return rows
+    merged = rows.join(several, "set_id", "left_semi").groupBy("set_id").agg(F.array_distinct(F.flatten(F.collect_list("keys"))).alias("keys"))
+    return rows.join(several, "set_id", "left_anti").unionByName(merged)
+
+
+def _of_arrays(memberships: DataFrame, k: int, seed: Column | int | str) -> DataFrame:
+    """The nested sketch of memberships by arrays. A key is hashed once for a batch of rows."""
+    if isinstance(seed, Column):
+        raise ValueError("memberships by arrays of keys need one seed")
+    mark = f"{seed}:".encode()
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            held = batch.column("keys")
+            edges = held.offsets.to_numpy().astype(np.int64)
+            names = held.values.slice(edges[0], edges[-1] - edges[0]).dictionary_encode()
+            code = names.indices.to_numpy()
+            unit = np.fromiter((int(hashlib.md5(mark + n.encode()).hexdigest()[:13], 16) for n in names.dictionary.to_pylist()), np.float64, len(names.dictionary))
+            rank = ((unit + 0.5) / 2.0**52)[code]
+            size = np.diff(edges)
+            owner = np.repeat(np.arange(batch.num_rows), size)
+            first = np.cumsum(size) - size
+            order = np.lexsort((rank, owner))
+            kept = np.arange(len(order)) - np.repeat(first, size) <= k
+            order, owner = order[kept], owner[kept]
+            ends = pa.array(np.append(0, np.cumsum(np.minimum(size, k + 1))).astype(np.int32))
+            entries = pa.StructArray.from_arrays([pa.array(rank[order]), names.dictionary.take(pa.array(code[order])), pa.array(np.ones(len(order)))], ["rank", "key", "weight"])
+            yield pa.RecordBatch.from_arrays([batch.column("set_id"), pa.ListArray.from_arrays(ends, entries)], names=["set_id", "low"])
+
+    low = gathered(memberships).select("set_id", "keys").mapInArrow(run, "set_id string, low array<struct<rank: double, key: string, weight: double>>")
+    sorted_low = F.array_sort("low")  # ties in rank go by key
+    bound = F.when(F.size("low") > k, F.element_at(sorted_low, k + 1)["rank"]).otherwise(F.lit(INF))
+    return low.select("set_id", F.slice(sorted_low, 1, k).alias("entries"), bound.alias("bound"))
+
+
 def bottom_k(memberships: DataFrame, k: int, family: str = "exponential", seed: Column | int | str = 0, *, attrs: tuple[str, ...] = (), method: str = "xxhash64", salt: int = 0, by: tuple[str, ...] = ()) -> DataFrame:
     """The sketch of every set: set_id, pos, key, weight, rank, bound, attrs.
 
@@ -44,8 +88,15 @@ def bottom_k(memberships: DataFrame, k: int, family: str = "exponential", seed:
     (such as a seed column for repeated draws). For k of 1000 and more, spark.sql.optimizer.windowGroupLimitThreshold of the
     session is raised to k + 1.
 
+    memberships may also be rows (set_id, keys), keys an array without repeats, all of weight 1, for uniform ranks by md5: each set is
+    then cut within its row, and the sketch is nested as by to_nested.
+
     Defined cases: rows with a null set_id or key are no memberships, keys of weight zero are never sampled, and a null or
     negative weight raises an error; repeated rows count once; ties in rank go by key; an empty table gives an empty sketch."""
+    if "keys" in memberships.columns:
+        if (family, method, attrs, by) != ("uniform", "md5", (), ()):
+            raise ValueError("memberships by arrays of keys need uniform ranks by md5, without attributes and groups")
+        return _of_arrays(memberships, k, seed)
     _allow_group_limit(memberships, k)
     group = [*by, "set_id"]
     ranked = with_rank(memberships.select(*group, "key", "weight", *attrs), family, seed, method)

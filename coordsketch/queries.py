@@ -295,7 +295,7 @@ def _exact(kind):
 
 
 def _similar(spark, d):
-    sk = sketch.bottom_k(D.doc_terms(spark, d), K, "uniform", SEED, **MD5)
+    sk = sketch.bottom_k(D.doc_sets(spark, d), K, "uniform", SEED, **MD5)
     return estimate.similar_pairs(sk, 0.5).select("a", "b", r6("jaccard").alias("jaccard"))
 
 

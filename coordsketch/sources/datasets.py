@@ -69,6 +69,12 @@ def doc_terms(spark: SparkSession, sf_dir: str, table: str = "documents", weight
     return terms.join(df, F.col("key") == F.col("t")).select("set_id", "key", F.log(1 + F.lit(float(n)) / F.col("df")).alias("weight"), F.length("key").alias("length"), "source")
 
 
+def doc_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """doc_terms by rows of documents: set_id, and keys as an array; a document of several rows has several."""
+    docs = load(spark, sf_dir, "documents")
+    return docs.select(F.col("doc_id").cast("string").alias("set_id"), F.array_distinct(F.regexp_extract_all(F.lower(F.coalesce("text", F.lit(""))), F.lit("[a-z]+"), F.lit(0))).alias("keys"))
+
+
 def lang_terms(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Terms by the language of the documents that hold them, weighted by rarity among all documents, with their length."""
     docs = load(spark, sf_dir, "documents").select("doc_id", "lang", F.explode(F.array_distinct(F.regexp_extract_all(F.lower(F.coalesce("text", F.lit(""))), F.lit("[a-z]+"), F.lit(0)))).alias("key"))

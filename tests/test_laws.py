@@ -190,6 +190,68 @@ def test_meeting_pairs_are_all_pairs(monkeypatch, ratio):
         assert len(got) == len(want) and set(got) == want and want
 
 
+def _like_sets(seed):
+    """Sets of many sizes, near and exact copies of some, and many of one size."""
+    rng = np.random.default_rng(seed)
+    base = [set(np.minimum(rng.zipf(1.4, int(n)), 400).tolist()) | {400 + i} for i, n in enumerate(rng.integers(1, 60, 50))]
+    near = [set(sorted(b)[int(rng.integers(0, 3)) :]) | {1} for b in base]
+    flat = [set((500 + rng.choice(8, 5, replace=False)).tolist()) | {2, 3, 4} for _ in range(30)]
+    return base + near + base[:12] + base[:6] + flat
+
+
+def test_sets_of_unlike_sizes_do_not_meet(spark, monkeypatch):
+    for name, value in (("BLOCK_KEYS", 200), ("PARTNER_KEYS", 300), ("LEAST_BLOCKS", 3), ("LOOKUPS", 400)):
+        monkeypatch.setattr(meeting, name, value)
+    seen = []
+    real = meeting._plan
+    monkeypatch.setattr(meeting, "_plan", lambda sets: seen.append(real(sets)) or seen[-1])
+    sets = _like_sets(4)
+    rows = spark.createDataFrame([(f"s{i:03d}", sorted(map(str, s))) for i, s in enumerate(sets)], "set_id string, keys array<string>")
+    got = exact.similar_pairs(rows, 0.5).collect()
+    want = {(f"s{i:03d}", f"s{j:03d}"): len(x & y) / len(x | y) for (i, x), (j, y) in itertools.combinations(enumerate(sets), 2) if 2 * len(x & y) >= len(x | y)}
+    assert len(got) == len(want) and all(math.isclose(want[r["a"], r["b"]], r["exact"]) for r in got)
+    plan = seen[0]
+    assert max(x["parts"] for x in plan) > 1 and max(x["chunks"] for x in plan) > 1
+    assert plan[0]["last"] < plan[-1]["since"]  # the smallest sets are not sent to the largest ones
+
+
+@pytest.mark.parametrize("method", ["short", "union"])
+def test_similar_pairs_of_sketches(spark, monkeypatch, method):
+    for name, value in (("BLOCK_KEYS", 150), ("PARTNER_KEYS", 300), ("LEAST_BLOCKS", 3)):
+        monkeypatch.setattr(meeting, name, value)
+    k, sets = 8, _like_sets(6)
+    nested = spark.createDataFrame([(f"s{i:03d}", sorted(map(str, s))) for i, s in enumerate(sets)], "set_id string, keys array<string>")
+    held = {r["set_id"]: ([e["rank"] for e in r["entries"]], r["bound"]) for r in sketch.bottom_k(nested, k, "uniform", 7, method="md5").collect()}
+    want = {}
+    for (a, (x, p)), (b, (y, q)) in itertools.combinations(sorted(held.items()), 2):
+        known = sorted(r for r in set(x) | set(y) if r < min(p, q))
+        known = known[:k] if method == "union" else known
+        hit = len(set(x) & set(y) & set(known))
+        if 2 * hit >= len(known):
+            want[a, b] = hit / len(known)
+    rows = nested.select("set_id", F.explode("keys").alias("key"), F.lit(1.0).alias("weight"))
+    for sk in (sketch.bottom_k(nested, k, "uniform", 7, method="md5"), sketch.bottom_k(rows, k, "uniform", 7, method="md5")):
+        got = estimate.similar_pairs(sk, 0.5, method=method, k=k).collect()
+        assert len(got) == len(want) > 50 and all(math.isclose(want[r["a"], r["b"]], r["jaccard"]) for r in got)
+
+
+def test_keys_that_share_a_hash_are_counted_apart(spark):
+    low = spark.range(400_000).select(F.col("id").cast("string").alias("key")).groupBy(F.xxhash64("key").bitwiseAND(F.lit(0xFFFFFFFF))).agg(F.min("key").alias("u"), F.max("key").alias("v")).where("u <> v")
+    u, v = (r := low.first())["u"], r["v"]
+    rows = spark.createDataFrame([("a", ["x", u]), ("b", ["x", v]), ("c", ["x", u, v]), ("d", ["x", u])], "set_id string, keys array<string>")
+    got = {(r["a"], r["b"]): round(r["exact"], 4) for r in exact.similar_pairs(rows, 0.5).collect()}
+    assert got == {("a", "c"): 0.6667, ("b", "c"): 0.6667, ("a", "d"): 1.0, ("c", "d"): 0.6667}
+
+
+def test_bottom_k_of_arrays_is_that_of_rows(spark):
+    rows = spark.createDataFrame([("a", [f"w{i}" for i in range(40)]), ("a", [f"w{i}" for i in range(30, 60)]), ("b", ["w1"]), ("c", []), ("c", None), (None, ["w2"])], "set_id string, keys array<string>")
+    got = sketch.to_long(sketch.bottom_k(rows, 8, "uniform", 7, method="md5"))
+    want = sketch.bottom_k(rows.select("set_id", F.explode("keys").alias("key"), F.lit(1.0).alias("weight")), 8, "uniform", 7, method="md5")
+    key = lambda r: (r["set_id"], r["pos"])
+    columns = ["set_id", "pos", "key", "weight", "rank", "bound"]
+    assert [tuple(r) for r in sorted(got.select(columns).collect(), key=key)] == [tuple(r) for r in sorted(want.select(columns).collect(), key=key)]
+
+
 def test_batches_have_few_branches(spark):
     sk = sketch.bottom_k(members(spark), 32)
     queries = {i: P.any_of([f"s{i % 3}", f"s{(i + 1) % 3}"]) if i % 2 else P.AtLeast(2, ("s0", "s1", "s2")) for i in range(40)}
