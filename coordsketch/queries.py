@@ -12,7 +12,7 @@ from .functions import adjust, ranks
 from .functions.ranks import with_rank
 from .operators import combine, estimate, exact, graph, metrics, ml, selectivity, sketch
 from .plans import predicate as P
-from .plans.lineage import shared_folder
+from .plans.lineage import shared_folder, stored
 from .sources import datasets as D
 from .streaming import sketches as S
 
@@ -300,9 +300,9 @@ def _similar(spark, d):
 
 
 def _similar_quality(spark, d):
-    rows = D.doc_terms(spark, d)
-    sk = sketch.bottom_k(rows, K_SMALL * 2, "uniform", SEED, **MD5)
-    real = exact.similar_pairs(rows, 0.5)
+    rows = stored(D.doc_sets(spark, d))
+    sk = stored(sketch.bottom_k(rows, K_SMALL * 2, "uniform", SEED, **MD5))
+    real = stored(exact.similar_pairs(rows, 0.5))
     out = [metrics.pair_confusion(estimate.similar_pairs(sk, 0.5, method=m, k=K_SMALL * 2), real, 0.5).select(F.lit(m).alias("method"), "true_pairs", "reported", "correct", r6("precision").alias("precision"), r6("recall").alias("recall")) for m in ("union", "short")]
     return out[0].unionByName(out[1])
 
