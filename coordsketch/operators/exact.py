@@ -7,9 +7,12 @@ from pyspark.sql import functions as F
 
 from ..plans import predicate as P
 from ..plans.lineage import stored
-from .meeting import Rule, equal_sets, meeting, members, same, spread
+from .meeting import Rule, meeting, same, spread
 from .sketch import gathered
 
+#: Pairs whose sets are told by a broadcast list of their names.
+COUNTED = 100_000
+
 
 def keys(memberships: DataFrame, query_sets: DataFrame, attrs: tuple[str, ...] = ()) -> DataFrame:
     """query_id, key, weight, member_of, attrs of every key in the union of each query's sets."""
@@ -54,14 +57,16 @@ def similar_pairs(memberships: DataFrame, theta: float) -> DataFrame:
         sets = stored(rows.groupBy("set_id").agg(F.collect_list("key").alias("keys")))
     size = F.size("keys")
     hashed = sets.select("set_id", F.transform("keys", lambda x: F.xxhash64(x)).alias("of"), size.alias("whole"), size.cast("double").alias("place"), (size * theta - 1e-6).alias("since"), F.lit(None).cast("array<double>").alias("marks"))
-    hashed = hashed.withColumn("like", equal_sets(F.col("of")))
-    held = members(hashed)
-    met = stored(meeting(hashed, Rule(0.0, theta / (1 + theta))))
+    met, held = meeting(hashed, Rule(0.0, theta / (1 + theta)))
+    met, held = stored(met), stored(held)
     counted = met.where("sure").select("a", "b", (F.col("both") / (F.col("n_a") + F.col("n_b") - F.col("both"))).alias("exact"))
-    if not met.where("not sure").isEmpty():
+    unsure = met.where("not sure").select("a", "b")
+    if n := unsure.count():
+        if n <= COUNTED:  # else all keys are shuffled
+            sets = stored(sets.join(F.broadcast(unsure.select(F.explode(F.array("a", "b")).alias("set_id")).distinct()), "set_id", "left_semi"))
         one = lambda c: sets.select(F.col("set_id").alias(c), F.col("keys").alias(f"of_{c}"))
         both = F.size(F.array_intersect("of_a", "of_b"))
-        again = met.where("not sure").select("a", "b").join(one("a"), "a").join(one("b"), "b").select("a", "b", (both / (F.size("of_a") + F.size("of_b") - both)).alias("exact"))
+        again = unsure.join(one("a"), "a").join(one("b"), "b").select("a", "b", (both / (F.size("of_a") + F.size("of_b") - both)).alias("exact"))
         counted = counted.unionByName(again)
     every = counted.unionByName(same(held).withColumn("exact", F.lit(1.0)))
     return spread(every.where(F.col("exact") >= theta - 1e-12), held)

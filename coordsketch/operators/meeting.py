@@ -19,10 +19,13 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.lineage import stored
+
 #: Keys and sets of a range, on average; the least number of ranges; keys of partners in a task; lookups that are counted at a time, and cells for them.
-BLOCK_KEYS, BLOCK_SETS, LEAST_BLOCKS, PARTNER_KEYS, LOOKUPS, CELLS = 8_000_000, 65_536, 12, 48_000_000, 4_000_000, 1 << 32
+BLOCK_KEYS, BLOCK_SETS, LEAST_BLOCKS, PARTNER_KEYS, LOOKUPS, CELLS = 8_000_000, 65_536, 12, 24_000_000, 1_000_000, 1 << 32
 #: Cells for the counts by which keys are ordered; bits of a set's signature.
-COUNTS, BITS = 1 << 20, 512
+CELL_BITS, BITS = 20, 512
+COUNTS = 1 << CELL_BITS
 
 
 @dataclass(frozen=True)
@@ -83,7 +86,7 @@ def _shared(left: Sets, right: Sets, x: np.ndarray, y: np.ndarray) -> np.ndarray
 def _signatures(sets: Sets) -> np.ndarray:
     """The parities of the hashes in so many cells: sets differ in at least as many hashes as they do in parities."""
     out = np.empty((len(sets.size), BITS // 64), np.uint64)
-    for a, b in _stretches(sets.size, LOOKUPS // 4, 8192):
+    for a, b in _stretches(sets.size, LOOKUPS // 4, 2048):
         i = np.arange(a, b)
         mixed = (sets.keys(i) * np.uint32(2654435769)) >> np.uint32(32 - int(math.log2(BITS)))
         odd = np.bincount(np.repeat(i - a, sets.size[a:b]) * BITS + mixed, minlength=(b - a) * BITS).astype(np.uint8) & 1
@@ -101,14 +104,17 @@ def _meets(left: Sets, right: Sets, b: np.ndarray, rule: Rule, most: float) -> I
     order = np.argsort(b, kind="stable")
     right, b = right.take(order), b[order]
     first = np.clip(right.size - np.maximum(rule.need(np.full(1, fewest), b) - off, 1) + meets, 0, right.size)
-    mine = np.repeat(np.arange(len(b)), first)
-    posting = (right.flat[_ranges(right.start, first)].astype(np.uint64) << np.uint64(32)) | mine.astype(np.uint64)
+    posting = np.empty(int(first.sum()), np.uint64)
+    ends = np.cumsum(first)
+    for u, v in _stretches(first, LOOKUPS, len(first)):
+        mine = np.repeat(np.arange(u, v, dtype=np.uint64), first[u:v])
+        posting[ends[u] - first[u] : ends[v - 1]] = (right.flat[_ranges(right.start[u:v], first[u:v])].astype(np.uint64) << np.uint64(32)) | mine
     posting.sort()
-    names, at = np.unique((posting >> np.uint64(32)).astype(np.uint32), return_index=True)
+    at = np.flatnonzero(np.append(True, (posting[1:] ^ posting[:-1]) >> np.uint64(32) > 0)[: len(posting)])
+    names = (posting[at] >> np.uint64(32)).astype(np.uint32)
     if not len(names):
         return
     ends = np.append(at[1:], len(posting))
-    posting = posting.astype(np.uint32)  # the sets alone
     total = len(b)
     open_turn = left.turn.max() < right.turn.min()
     asks = np.clip(left.size - least + meets, 0, left.size)
@@ -118,24 +124,22 @@ def _meets(left: Sets, right: Sets, b: np.ndarray, rule: Rule, most: float) -> I
         spare = left.size[owner] - (np.arange(len(owner)) - np.repeat(np.cumsum(asks[u:v]) - asks[u:v], asks[u:v])) + meets - 1 + (left.whole - left.size)[owner]
         name = np.minimum(np.searchsorted(names, ask), len(names) - 1)
         held = np.flatnonzero(names[name] == ask)
-        owner, spare, name = owner[held], spare[held], name[held]
+        owner, spare, name, ask = owner[held], spare[held], name[held], ask[held]
         limit = most * left.whole[owner] + 1e-9
         if rule.part:
             limit = np.minimum(limit, np.where(spare >= rule.cap, np.inf, spare / rule.part - left.whole[owner] + 1e-6))
         upper = np.searchsorted(b, limit, "right")
         begin, end = at[name], ends[name]
-        for _ in range(int(np.ceil(np.log2(max(2, int((end - begin).max(initial=1)) + 1))))):  # the end of the sets below upper
-            middle = (begin + end) >> 1
-            low = (posting[np.minimum(middle, len(posting) - 1)] < upper) & (begin < end)
-            begin, end = np.where(low, middle + 1, begin), np.where(low | (begin >= end), end, middle)
-        begin, count = at[name], np.maximum(begin - at[name], 0)
+        few = np.flatnonzero(upper < total)
+        end[few] = np.searchsorted(posting, (ask[few].astype(np.uint64) << np.uint64(32)) | upper[few].astype(np.uint64))
+        count = end - begin
         edge = np.searchsorted(owner, np.arange(u, v + 1))
         sums = np.concatenate([[0], np.cumsum(count)])
         for p, q in _stretches(sums[edge[1:]] - sums[edge[:-1]], LOOKUPS, max(1, CELLS // total - 1)):
             i = slice(edge[p], edge[q])
             if sums[edge[q]] - sums[edge[p]] < meets:
                 continue
-            other = posting[_ranges(begin[i], count[i])]
+            other = posting[_ranges(begin[i], count[i])].astype(np.uint32)
             asker = np.repeat((owner[i] - (u + p)).astype(np.uint32), count[i])
             if not open_turn:
                 later = right.turn[other] > left.turn[u + p : u + q][asker]
@@ -154,7 +158,8 @@ def _found(left: Sets, right: Sets, b: np.ndarray, rule: Rule, most: float = mat
     """Indices of the pairs of _meets that do share as many hashes, and how many."""
     marks = _signatures(left), _signatures(right)
     found = [(np.zeros(0, np.int64),) * 3]
-    for x, y in _meets(left, right, b, rule, most):
+    at_once = max(1, LOOKUPS // 16)
+    for x, y in ((x[i : i + at_once], y[i : i + at_once]) for x, y in _meets(left, right, b, rule, most) for i in range(0, len(x), at_once)):
         least = np.maximum(rule.need(left.whole[x], b[y]) - (left.whole - left.size)[x], 1)
         near = np.bitwise_count(marks[0][x] ^ marks[1][y]).sum(1, dtype=np.int64) <= left.size[x] + right.size[y] - 2 * least
         x, y, least = x[near], y[near], least[near]
@@ -192,8 +197,19 @@ def _listed(column: pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
     return held.values.to_numpy()[: edges[-1]], edges
 
 
+def _joined(parts: list[np.ndarray]) -> np.ndarray:
+    """parts in one array; each of them is dropped when it is copied."""
+    out, a = np.empty(sum(map(len, parts)), parts[0].dtype), 0
+    parts.reverse()
+    while parts:
+        part = parts.pop()
+        out[a : a + len(part)] = part
+        a += len(part)
+    return out
+
+
 def _prepared(sets: DataFrame) -> DataFrame:
-    """sets with `of` as unique 32-bit hashes, those of rare keys first, and `odd`, whether one of them is the hash of two keys."""
+    """sets with `of` as unique 32-bit numbers of hashes, in order, those of rare keys first, and `odd`, whether one of them is the hash of two keys."""
     low = F.col("key").bitwiseAND(F.lit(0xFFFFFFFF))
     names = sets.select(F.explode("of").alias("key")).groupBy(low.alias("h")).agg(F.count(F.lit(1)).alias("n"), F.min("key").alias("x"), F.max("key").alias("y"))
     cells = names.groupBy(F.pmod("h", F.lit(COUNTS)).cast("int").alias("cell")).agg(F.max("n").alias("n"), F.flatten(F.collect_list(F.when(F.col("x") != F.col("y"), F.array("h")))).alias("twice"))
@@ -202,7 +218,12 @@ def _prepared(sets: DataFrame) -> DataFrame:
     counts[table["cell"].to_numpy()] = table["n"].to_numpy()
     order = np.empty(COUNTS, np.uint32)
     order[np.argsort(counts, kind="stable")] = np.arange(COUNTS, dtype=np.uint32)
-    twice = np.sort(_listed(table["twice"])[0].astype(np.uint32))
+
+    def code(order: np.ndarray, hashes: np.ndarray) -> np.ndarray:
+        """The place of a hash's cell, and the rest of the hash: as many numbers as hashes, those of rare keys first."""
+        return (order[hashes & np.uint32(COUNTS - 1)] << np.uint32(32 - CELL_BITS)) | (hashes >> np.uint32(CELL_BITS))
+
+    twice = code(order, _listed(table["twice"])[0].astype(np.uint32))
     shared = sets.sparkSession.sparkContext.broadcast((order, twice))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -211,15 +232,16 @@ def _prepared(sets: DataFrame) -> DataFrame:
             if not batch.num_rows:
                 continue
             values, edges = _listed(pa.chunked_array([batch.column("of")]))
-            flat, owner = values[edges[0] :].astype(np.uint32), np.repeat(np.arange(batch.num_rows), np.diff(edges))
-            turn = np.lexsort((flat, order[flat % np.uint32(COUNTS)], owner))
-            flat, owner = flat[turn], owner[turn]
-            new = np.append(True, (flat[1:] != flat[:-1]) | (owner[1:] != owner[:-1]))[: len(flat)]
+            held = np.repeat(np.arange(batch.num_rows, dtype=np.uint64) << np.uint64(32), np.diff(edges))
+            held |= code(order, values[edges[0] :].astype(np.uint32))
+            held.sort()
+            held = held[np.append(True, held[1:] != held[:-1])[: len(held)]]
+            flat, owner = held.astype(np.uint32), (held >> np.uint64(32)).astype(np.int64)
             odd = np.zeros(batch.num_rows, bool)
             if len(twice):
-                odd[owner[twice[np.minimum(np.searchsorted(twice, flat), len(twice) - 1)] == flat]] = True
-            ends = np.append(0, np.cumsum(np.bincount(owner[new], minlength=batch.num_rows))).astype(np.int32)
-            of = pa.ListArray.from_arrays(pa.array(ends), pa.array(flat[new].view(np.int32)))
+                odd[owner[np.isin(flat, twice)]] = True
+            ends = np.append(0, np.cumsum(np.bincount(owner, minlength=batch.num_rows))).astype(np.int32)
+            of = pa.ListArray.from_arrays(pa.array(ends), pa.array(flat.view(np.int32)))
             held = {n: batch.column(n) for n in batch.schema.names} | {"of": of, "odd": pa.array(odd)}
             yield pa.RecordBatch.from_arrays(list(held.values()), names=list(held))
 
@@ -227,12 +249,12 @@ def _prepared(sets: DataFrame) -> DataFrame:
     return sets.mapInArrow(run, ", ".join([*kinds, "odd boolean"]))
 
 
-def equal_sets(of: Column) -> Column:
+def _equal_sets(of: Column) -> Column:
     """A number that equal sets have in common. of: 64-bit hashes of keys, each key once."""
     return F.aggregate(of, F.lit(0).cast("long"), lambda a, x: a.bitwiseXOR(x))
 
 
-def members(sets: DataFrame) -> DataFrame:
+def _members(sets: DataFrame) -> DataFrame:
     """rep, set_id: for each set the first one that equals it."""
     same = sets.groupBy("like", "whole", "place").agg(F.collect_list("set_id").alias("ids"))
     return same.select(F.array_min("ids").alias("rep"), F.explode("ids").alias("set_id"))
@@ -266,21 +288,21 @@ def _labels(sets: DataFrame, n: int) -> list[int]:
     return [at.get(p, -1 - p) for p in range(n)]
 
 
-def meeting(sets: DataFrame, rule: Rule) -> DataFrame:
-    """a, b, both, n_a, n_b, sure of the pairs of unlike sets (the first of equal ones by `members`) that share as many keys as the rule
-    needs; a has the lower place. sets: set_id, of (64-bit hashes of keys), whole (their number), like (equal_sets), place, since (the
-    least place that a partner before it has), marks (sorted numbers of which those below the other set's place can count; null: all keys);
-    stored, as it is read several times."""
+def meeting(sets: DataFrame, rule: Rule) -> tuple[DataFrame, DataFrame]:
+    """a, b, both, n_a, n_b, sure of the pairs of unlike sets that share as many keys as the rule needs, a the one of lower place; and
+    rep, set_id: of equal sets only the first one is in these pairs. sets: set_id, of (64-bit hashes of keys), whole (their number),
+    place, since (the least place that a partner before it has), marks (sorted numbers of which those below the other set's place can
+    count; null: all keys); read twice."""
     log = F.floor(F.log(F.least("place", F.lit(1e300))) * 64)
-    binned = sets.withColumn("bin", F.coalesce(log, F.lit(-(1 << 40))).cast("long"))
-    plan = _plan(binned)
+    coded = stored(_prepared(sets.withColumn("like", _equal_sets(F.col("of"))).withColumn("bin", F.coalesce(log, F.lit(-(1 << 40))).cast("long"))))
+    plan, held = _plan(coded), _members(coded)
     if not plan:
-        return sets.sparkSession.createDataFrame([], "a string, b string, both long, n_a long, n_b long, sure boolean")
+        return sets.sparkSession.createDataFrame([], "a string, b string, both long, n_a long, n_b long, sure boolean"), held
     tasks = sum(x["parts"] * x["chunks"] for x in plan)
     of_plan = lambda name, j, kind="int": F.element_at(F.array(*[F.lit(x[name]).cast(kind) for x in plan]), (j + 1).cast("int"))
     begins = F.array(*[F.lit(x["bin"]).cast("long") for x in plan])
     mine = (F.size(F.filter(begins, lambda s: s <= F.col("bin"))) - 1).alias("mine")
-    ready = _prepared(binned).withColumn("mine", mine).withColumn("part", F.pmod("like", of_plan("parts", F.col("mine"))).cast("int"))
+    ready = coded.withColumn("mine", mine).withColumn("part", F.pmod("like", of_plan("parts", F.col("mine"))).cast("int"))
     chunk = lambda j: F.pmod(F.shiftright("like", 17), of_plan("chunks", j)).cast("int")
     later = F.filter(F.sequence(F.col("mine"), F.lit(len(plan) - 1)), lambda j: F.col("place") >= of_plan("since", j, "double"))
     of_part = lambda j, s: of_plan("base", j) + s * of_plan("chunks", j) + chunk(j)
@@ -295,11 +317,17 @@ def meeting(sets: DataFrame, rule: Rule) -> DataFrame:
     first = [float(x["first"]) for x in plan]
     spans = [(x["base"], x["chunks"]) for x in plan]
 
-    def run(table: pa.Table) -> pa.Table:
-        flat, edges = _listed(table["of"])
-        here, ids = table["here"].to_numpy(), np.array(table["set_id"].to_pylist(), object)
-        like, whole, place, odd, at = (table[c].to_numpy() for c in ("like", "whole", "place", "odd", "mine"))
-        number = table["number"][0].as_py()
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        flats, sizes, marks, marked, rows = [], [], [], [], []
+        for batch in batches:  # copied, so that Arrow's memory goes with the batch
+            for name, values, counts in (("of", flats, sizes), ("marks", marks, marked)):
+                held, edges = _listed(pa.chunked_array([batch.column(name)]))
+                values.append(held[edges[0] :].copy())
+                counts.append(np.diff(edges).astype(np.int64))
+            rows.append((np.array(batch.column("set_id").to_pylist(), object), *(batch.column(c).to_numpy(zero_copy_only=False).copy() for c in ("here", "like", "whole", "place", "odd", "mine"))))
+            number = batch.column("number")[0].as_py()
+        ids, here, like, whole, place, odd, at = map(np.concatenate, zip(*rows, strict=True))
+        flat, size, marks, marked = _joined(flats), np.concatenate(sizes), _joined(marks), np.concatenate(marked)
         base, chunks = next(s for s in reversed(spans) if s[0] <= number)
         kind = np.lexsort((like, whole, place))
         new = np.append(True, np.any([c[kind][1:] != c[kind][:-1] for c in (place, whole, like)], axis=0))
@@ -310,28 +338,24 @@ def meeting(sets: DataFrame, rule: Rule) -> DataFrame:
             if q - p > 1:  # equal sets come together, all with one role
                 ids[kind[p]] = min(ids[kind[p:q]])
         one = kind[begins]  # one of equal sets
-        all_of = Sets(flat.view(np.uint32), edges[:-1].astype(np.int64), np.diff(edges).astype(np.int64), whole.astype(np.int64), turn)
+        all_of = Sets(flat.view(np.uint32), np.cumsum(size) - size, size, whole.astype(np.int64), turn)
         held = one[here[one]]
-        out = [pa.table({"a": pa.array([], pa.string()), "b": pa.array([], pa.string()), "both": pa.array([], pa.int64()), "n_a": pa.array([], pa.int64()), "n_b": pa.array([], pa.int64()), "sure": pa.array([], pa.bool_())})]
         if not len(held):
-            return out[0]
-        marked = table["marks"].null_count < len(table)
-        if marked:
-            marks, cuts = _listed(table["marks"])
+            return
         asking = one[~here[one] | ((like[one] >> 17) % chunks == (number - base) % chunks)]
         right = all_of.take(held)
         for i in np.unique(at[asking]).tolist():
             left = asking[at[asking] == i]
             b = whole[held].astype(np.int64)
-            if marked:
+            if len(marks):
                 below = np.concatenate([[0], np.cumsum(marks < first[i])])
-                b = (below[cuts[1:]] - below[cuts[:-1]])[held]
+                ends = np.cumsum(marked)
+                b = (below[ends] - below[ends - marked])[held]
             x, y, both = _found(all_of.take(left), right, b, rule)
             x, y = left[x], held[y]
-            out.append(pa.table({"a": pa.array(ids[x], pa.string()), "b": pa.array(ids[y], pa.string()), "both": both, "n_a": whole[x].astype(np.int64), "n_b": whole[y].astype(np.int64), "sure": ~(odd[x] & odd[y])}))
-        return pa.concat_tables(out)
+            yield pa.RecordBatch.from_arrays([pa.array(ids[x], pa.string()), pa.array(ids[y], pa.string()), pa.array(both), pa.array(whole[x].astype(np.int64)), pa.array(whole[y].astype(np.int64)), pa.array(~(odd[x] & odd[y]))], names=["a", "b", "both", "n_a", "n_b", "sure"])
 
-    return dealt.repartition(tasks, "task").groupBy("task").applyInArrow(run, "a string, b string, both long, n_a long, n_b long, sure boolean")
+    return dealt.repartition(tasks, "task").groupBy("task").applyInArrow(run, "a string, b string, both long, n_a long, n_b long, sure boolean"), held
 
 
 def spread(pairs: DataFrame, held: DataFrame) -> DataFrame:

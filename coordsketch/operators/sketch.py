@@ -13,6 +13,7 @@ from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -64,15 +65,17 @@ def _of_arrays(memberships: DataFrame, k: int, seed: Column | int | str) -> Data
             names = held.values.slice(edges[0], edges[-1] - edges[0]).dictionary_encode()
             code = names.indices.to_numpy()
             unit = np.fromiter((int(hashlib.md5(mark + n.encode()).hexdigest()[:13], 16) for n in names.dictionary.to_pylist()), np.float64, len(names.dictionary))
-            rank = ((unit + 0.5) / 2.0**52)[code]
+            rank = (unit + 0.5) / 2.0**52
+            order = pc.sort_indices(pa.table({"rank": rank, "key": names.dictionary}), sort_keys=[("rank", "ascending"), ("key", "ascending")]).to_numpy()
+            turn = np.empty(len(order), np.uint64)
+            turn[order] = np.arange(len(order), dtype=np.uint64)
             size = np.diff(edges)
-            owner = np.repeat(np.arange(batch.num_rows), size)
-            first = np.cumsum(size) - size
-            order = np.lexsort((rank, owner))
-            kept = np.arange(len(order)) - np.repeat(first, size) <= k
-            order, owner = order[kept], owner[kept]
+            held = np.repeat(np.arange(batch.num_rows, dtype=np.uint64) << np.uint64(32), size) | turn[code]
+            held.sort()  # each set's keys by rank
+            kept = np.arange(len(held)) - np.repeat(np.cumsum(size) - size, size) <= k
+            code = order[held[kept].astype(np.uint32)].astype(np.int64)
             ends = pa.array(np.append(0, np.cumsum(np.minimum(size, k + 1))).astype(np.int32))
-            entries = pa.StructArray.from_arrays([pa.array(rank[order]), names.dictionary.take(pa.array(code[order])), pa.array(np.ones(len(order)))], ["rank", "key", "weight"])
+            entries = pa.StructArray.from_arrays([pa.array(rank[code]), names.dictionary.take(pa.array(code)), pa.array(np.ones(len(code)))], ["rank", "key", "weight"])
             yield pa.RecordBatch.from_arrays([batch.column("set_id"), pa.ListArray.from_arrays(ends, entries)], names=["set_id", "low"])
 
     low = gathered(memberships).select("set_id", "keys").mapInArrow(run, "set_id string, low array<struct<rank: double, key: string, weight: double>>")

@@ -303,7 +303,8 @@ def _similar_quality(spark, d):
     rows = stored(D.doc_sets(spark, d))
     sk = stored(sketch.bottom_k(rows, K_SMALL * 2, "uniform", SEED, **MD5))
     real = stored(exact.similar_pairs(rows, 0.5))
-    out = [metrics.pair_confusion(estimate.similar_pairs(sk, 0.5, method=m, k=K_SMALL * 2), real, 0.5).select(F.lit(m).alias("method"), "true_pairs", "reported", "correct", r6("precision").alias("precision"), r6("recall").alias("recall")) for m in ("union", "short")]
+    met = estimate.met_pairs(sk, 0.5, method="union", k=K_SMALL * 2)
+    out = [metrics.pair_confusion(estimate.similar_pairs(sk, 0.5, method=m, k=K_SMALL * 2, met=met), real, 0.5).select(F.lit(m).alias("method"), "true_pairs", "reported", "correct", r6("precision").alias("precision"), r6("recall").alias("recall")) for m in ("union", "short")]
     return out[0].unionByName(out[1])
 
 
